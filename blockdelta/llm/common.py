@@ -3,11 +3,16 @@
 from __future__ import annotations
 
 import atexit
+import pathlib
+import shutil
 import tempfile
 import uuid
+import zipfile
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -19,6 +24,32 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_shipped: set[str] = set()
+
+
+def ship_package(spark: SparkSession) -> None:
+    """Makes this package importable in the Python workers of a session that was started without it on their path."""
+    sc = spark.sparkContext
+    if sc.applicationId in _shipped:
+        return
+    root = pathlib.Path(__file__).resolve().parents[2]
+    package = pathlib.Path(__file__).resolve().parents[1]
+    folder = tempfile.mkdtemp(prefix="blockdelta-code-")  # executors fetch the archive from the driver at any time
+    atexit.register(shutil.rmtree, folder, True)
+    archive = f"{folder}/{package.name}-code.zip"
+    with zipfile.ZipFile(archive, "w") as out:
+        for source in sorted(package.rglob("*.py")):
+            out.write(source, source.relative_to(root))
+    sc.addPyFile(archive)
+    _shipped.add(sc.applicationId)
+
+
+def map_batches(df: DataFrame, function: Callable, schema: str | StructType) -> DataFrame:
+    """``mapInArrow`` with this package at hand in the workers."""
+    ship_package(df.sparkSession)
+    return df.mapInArrow(function, schema)
+
+
 def work_dir(spark: SparkSession) -> str:
     """The folder all executors share, from ``spark.checkpoint.dir``; a temporary folder only for a local master without that setting."""
     where = spark.conf.get("spark.checkpoint.dir", None)
@@ -28,8 +59,6 @@ def work_dir(spark: SparkSession) -> str:
     if not (master.startswith("local[") or master == "local"):
         raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     if "dir" not in _local_work:
-        import shutil
-
         _local_work["dir"] = tempfile.mkdtemp(prefix="blockdelta-")
         atexit.register(shutil.rmtree, _local_work["dir"], True)
     return f"file://{_local_work['dir']}"
@@ -75,6 +104,29 @@ def spans_of(text: Column, pattern: str, offset: Column | None = None) -> Column
     return F.when(F.size(found) > 0, folded).otherwise(empty)
 
 
+#: An entry that stands for at least this part of all rows is looked up by broadcast; there are no more of these than its inverse.
+HOT_SHARE = 1 / 1000
+
+
+def look_up(rows: DataFrame, entries: DataFrame, key: str, count: str, spread: Column) -> DataFrame:
+    """``rows`` left-joined with ``entries`` on the binary or string column ``key``; ``count`` is the rows that each entry stands for.
+
+    Entries of many rows are few by arithmetic and go by broadcast. Their rows, and rows without a key, take a key of
+    their own (from ``spread``) in the shuffle join with the rest, so no task gets all rows of one key.
+    """
+    total = entries.agg(F.sum(count)).first()[0] or 0
+    floor = max(2, int(total * HOT_SHARE))
+    values = [c for c in entries.columns if c != key]
+    hot = F.broadcast(entries.where(F.col(count) >= floor).select(F.col(key).alias("__hot_key"), *[F.col(c).alias(f"__hot_{c}") for c in values]))
+    cold = entries.where(F.col(count) < floor).select(F.col(key).alias("__cold_key"), *[F.col(c).alias(f"__cold_{c}") for c in values])
+    own = [c for c in rows.columns if c not in values]
+    found = rows.select(*own).join(hot, F.col(key) == F.col("__hot_key"), "left")
+    alone = F.concat(F.lit("-"), spread.cast("string")).cast(rows.schema[key].dataType)
+    found = found.withColumn("__key", F.when(F.col("__hot_key").isNull() & F.col(key).isNotNull(), F.col(key)).otherwise(alone))
+    found = found.join(cold, F.col("__key") == F.col("__cold_key"), "left")
+    return found.select(*own, *[F.coalesce(f"__hot_{c}", f"__cold_{c}").alias(c) for c in values])
+
+
 def joined_spans(spans: Column) -> Column:
     """kind:start:end of array<struct<kind,start,end,..>>, comma-joined in the order given."""
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")

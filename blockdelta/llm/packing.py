@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import map_batches, staged
 
 #: Fixed value: the special token of the byte-level vocabulary.
 END_OF_TEXT = "<|endoftext|>"
@@ -66,7 +66,7 @@ def pieces_of(docs: DataFrame, ranks_path: str, pattern: str, capacity: int, end
             numbers = [pa.array(values, pa.int64()) for values in rows]
             yield pa.RecordBatch.from_arrays([batch.column(0).take(numbers[0]), *numbers[1:]], names=["id", "start", "length", "ids_crc32", "doc_tokens"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(cut, "id long, start long, length long, ids_crc32 long, doc_tokens long")
+    return map_batches(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), cut, "id long, start long, length long, ids_crc32 long, doc_tokens long")
 
 
 @dataclass(frozen=True)
@@ -161,7 +161,7 @@ def place(pieces: DataFrame, capacity: int) -> DataFrame:
             kept = [batch.column(c) for c in range(5)]
             yield pa.RecordBatch.from_arrays([*kept, pa.array(sequence), pa.array(offset)], names=[*batch.schema.names[:5], "sequence_id", "offset"])
 
-    return numbered.mapInArrow(look_up, "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return map_batches(numbered, look_up, "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
 
 
 def pack(docs: DataFrame, ranks_path: str, pattern: str, capacity: int = 2048, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import map_batches, staged
 
 # The three patterns asked for, and the least lengths of what they match.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -155,7 +155,7 @@ def scanned(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), base, found], names=["id", "base", "candidates"])
 
     schema = "id long, base array<struct<start:int,kind:int,end:int>>, candidates array<struct<start:int,end:int,length_class:int,step:int>>"
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, schema)
+    return map_batches(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), run, schema)
 
 
 def step_cuts(found: DataFrame, q: float) -> dict[int, int]:
@@ -230,7 +230,7 @@ def redact(docs: DataFrame, q: float = 0.05, text_col: str = "text", chars_col:
                 batch = pa.RecordBatch.from_arrays(columns, schema=batch.schema)
             yield batch
 
-    return docs.mapInArrow(run, docs.schema)
+    return map_batches(docs, run, docs.schema)
 
 
 def _masked(text: str, spans: list[tuple[int, int]]) -> str:
