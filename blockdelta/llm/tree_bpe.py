@@ -1,12 +1,15 @@
 """BPE encoding and decoding by tree concatenation.
 
-A long text is halved until no part is longer than a leaf; all leaves of a batch are encoded side by side. Going up
-the tree, a window around each join is encoded anew and must agree with both sides: on the left side there has to be a
-place where window and left part both end a word, on the right side one where window and right part both end
-a word, each far enough from the edges of what was encoded that nothing beyond them could have moved it. Splitting
-into words runs from left to right and looks only a few characters ahead, so from such a place on window and whole
-text have the same tokens. If there is no such place the window doubles, at the end to both parts whole, which are then
-encoded as one. The result is therefore always that of the whole text; where no word is long, windows stay small.
+A text is halved until no part is longer than a leaf, and the leaves are encoded side by side. Going up the tree, a
+window around each join is encoded anew and must agree with both sides: on the left it begins where the left part ends
+a word, on the right there has to be a place where window and right part both end one, each far enough from the edges
+of what was encoded that nothing beyond them could have moved it. Splitting into words runs from left to right and
+looks only a few characters ahead, so from such a place on parts and whole text have the same tokens. If there is none
+the window doubles, at the end to both parts whole, which are then encoded as one. The result is therefore always that
+of the whole text; unless words are very long, windows stay small.
+
+A part holds the ids of each of its words. Words of everyday scripts are found by an expression and their ids kept in a table of
+bounded size; all else goes through the library's own normaliser and splitter. Special tokens part a text beforehand.
 
 Defined cases: null text is the empty text, without ids; an empty table gives no rows; each row is encoded by itself.
 """
@@ -14,21 +17,63 @@ Defined cases: null text is the empty text, without ids; an empty table gives no
 from __future__ import annotations
 
 import hashlib
-from bisect import bisect_left
+import json
+import re
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import map_batches
+
 #: Characters of a leaf and of the first window on each side.
 LEAF, WINDOW = 8192, 96
-#: A word end counts as settled at this distance from the edge of an encoded part; longer than any special token.
-GUARD = 32
-#: Texts that are encoded side by side: characters of a group.
-GROUP = 1 << 19
+#: A word end counts as settled at this distance from the edge of an encoded part; the splitter looks three characters ahead.
+GUARD = 8
+#: Words whose ids are kept, at most, and the longest of them.
+KEPT_WORDS, KEPT_LENGTH = 400_000, 48
+
+# How the tokenizer of these vocabulary files splits words.
+WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\p{White_Space}\p{L}\p{N}]+")
+#: Beyond these characters, or with separators that libraries classify differently, the library itself normalises and splits.
+UNUSUAL = re.compile("[^\x00-ɏ]|[\x1c-\x1f\x85]")
+
+Ids = tuple[int, ...]
+
+
+class Part:
+    """The words of text[begin:end] and the ids of each."""
+
+    __slots__ = ("begin", "end", "words", "ids")
+
+    def __init__(self, begin: int, end: int, words: list[str], ids: list[Ids]):
+        self.begin, self.end, self.words, self.ids = begin, end, words, ids
+
+    def ends(self, text: str) -> Iterator[int]:
+        """Where each word ends, from the first on; only white space lies between words."""
+        at = self.begin
+        for word in self.words:
+            while not text.startswith(word, at):
+                at += 1
+            at += len(word)
+            yield at
+
+    def last_end(self, text: str, limit: int) -> tuple[int, int]:
+        """(words, end) up to the last word that ends at or before ``limit``; (0, begin) if there is none."""
+        at = self.end
+        for count in range(len(self.words), 0, -1):
+            word = self.words[count - 1]
+            while not text.endswith(word, self.begin, at):
+                at -= 1
+            if at <= limit:
+                return count, at
+            at -= len(word)
+        return 0, self.begin
 
 
 class TreeBPE:
@@ -37,129 +82,90 @@ class TreeBPE:
     def __init__(self, path: str, leaf: int = LEAF, window: int = WINDOW):
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.no_truncation()
-        self.tokenizer.no_padding()
-        vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.library = Tokenizer.from_file(path)
+        with open(path) as source:
+            parts = json.load(source)
+        # Words reach it normalised, and normalising twice is not the same for some letters.
+        self.normalised = Tokenizer.from_str(json.dumps(parts | {"normalizer": None, "truncation": None, "padding": None, "added_tokens": []}))
+        vocabulary = self.library.get_vocab(with_added_tokens=True)
         self.tokens: list[str] = [""] * (max(vocabulary.values(), default=-1) + 1)
         for token, i in vocabulary.items():
             self.tokens[i] = token
-        special = {i for i, t in self.tokenizer.get_added_tokens_decoder().items()}
-        self.ends_word = np.array([t.endswith("</w>") or i in special for i, t in enumerate(self.tokens)])
-        self.leaf, self.window, self.plain_decoder = leaf, window, self.tokenizer.decoder is None
+        self.special = {t.content: i for i, t in self.library.get_added_tokens_decoder().items()}
+        self.special_text = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
+        self.leaf, self.window, self.plain_decoder = leaf, window, self.library.decoder is None
+        self.kept: dict[str, Ids] = {}
         self.widened = 0
 
-    def encode_batch(self, texts: list[str]) -> list[np.ndarray]:
-        leaves, spans = [], []
-        for text in texts:
-            cuts = self._cuts(len(text))
-            spans.append((len(leaves), cuts))
-            leaves += [text[a:b] for a, b in zip(cuts, cuts[1:])]
-        encoded = self.tokenizer.encode_batch(leaves, add_special_tokens=False) if leaves else []
-        out = []
-        for text, (first, cuts) in zip(texts, spans):
-            parts = [_Part(e, a, b) for e, a, b in zip(encoded[first : first + len(cuts) - 1], cuts, cuts[1:])]
-            while len(parts) > 1:  # one level of the tree
-                parts = [self._join(text, *parts[k : k + 2]) if k + 1 < len(parts) else parts[k] for k in range(0, len(parts), 2)]
-            out.append(parts[0].ids if parts else np.zeros(0, np.uint32))
-        return out
+    def encode(self, text: str) -> np.ndarray:
+        out: list[list[Ids]] = []
+        for k, stretch in enumerate(self.special_text.split(text) if self.special_text else [text]):
+            if k % 2:
+                out.append([(self.special[stretch],)])
+            elif stretch:
+                usual = UNUSUAL.search(stretch) is None
+                # White space is dropped by the splitter, so in usual text folding case is all there is to normalise.
+                out.append(self._tree(stretch.lower() if usual else self.library.normalizer.normalize_str(stretch)).ids)
+        return np.fromiter(chain.from_iterable(chain.from_iterable(out)), np.uint32)
 
     def decode(self, ids: np.ndarray) -> str:
         """As the library's decode(ids, skip_special_tokens=False); without a decoder that is the tokens with blanks between."""
         if not self.plain_decoder:
-            return self.tokenizer.decode(ids.tolist(), skip_special_tokens=False)
+            return self.library.decode(ids.tolist(), skip_special_tokens=False)
         return " ".join(map(self.tokens.__getitem__, ids.tolist()))
 
-    def _cuts(self, n: int) -> list[int]:
-        cuts = [0, n] if n else [0]
-        while len(cuts) > 1 and max(b - a for a, b in zip(cuts, cuts[1:])) > self.leaf:
+    def _tree(self, text: str) -> Part:
+        cuts = [0, len(text)]
+        while max(b - a for a, b in zip(cuts, cuts[1:])) > self.leaf:
             cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
-        return cuts
-
-    def _join(self, text: str, left: "_Part", right: "_Part") -> "_Part":
+        parts = [self._encoded(text, a, b) for a, b in zip(cuts, cuts[1:])]
+        while len(parts) > 1:  # one level of the tree
+            parts = [self._join(text, *parts[k : k + 2]) if k + 1 < len(parts) else parts[k] for k in range(0, len(parts), 2)]
+        return parts[0]
+
+    def _encoded(self, text: str, a: int, b: int) -> Part:
+        piece = text[a:b]
+        if UNUSUAL.search(piece) is None:
+            words = WORD.findall(piece)
+        else:
+            words = [piece[x:y] for _, (x, y) in self.normalised.pre_tokenizer.pre_tokenize_str(piece)]
+        kept = self.kept
+        ids = [kept.get(w) for w in words]
+        missing = list({w for w, i in zip(words, ids) if i is None})
+        if missing:
+            fresh = {w: tuple(e.ids) for w, e in zip(missing, self.normalised.encode_batch(missing, add_special_tokens=False))}
+            ids = [fresh[w] if i is None else i for w, i in zip(words, ids)]
+            if len(kept) < KEPT_WORDS:
+                kept.update((w, i) for w, i in fresh.items() if len(w) <= KEPT_LENGTH)
+        return Part(a, b, words, ids)
+
+    def _join(self, text: str, left: Part, right: Part) -> Part:
         at, reach = right.begin, self.window
         while True:
-            a, b = max(left.begin, at - reach), min(right.end, at + reach)
-            whole = a == left.begin and b == right.end
-            if not whole:
-                # The window begins where a word of the left part ends, so that it is in step with it.
-                i = left.last_end(self, a) if a > left.begin else 0
-                a = left.ends_at(i) if i else left.begin
-                whole = a == left.begin and b == right.end
-            middle = _Part(self.tokenizer.encode(text[a:b], add_special_tokens=False), a, b)
-            if whole:
+            i, a = left.last_end(text, min(at - reach, left.end - GUARD))
+            b = min(right.end, at + reach)
+            middle = self._encoded(text, a, b)
+            if a == left.begin and b == right.end:
                 return middle
-            right_join = self._agree(middle, right, at, b)
-            if right_join:
-                m, r = right_join
-                return _Part.spliced(left, i, middle, m, right, r)
+            agreed = self._agree(text, middle, right)
+            if agreed:
+                m, r = agreed
+                return Part(left.begin, right.end, left.words[:i] + middle.words[:m] + right.words[r:], left.ids[:i] + middle.ids[:m] + right.ids[r:])
             self.widened += 1
             reach *= 2
 
-    def _agree(self, middle: "_Part", right: "_Part", at: int, edge: int) -> tuple[int, int] | None:
-        """Token counts (of the window, of the right part) at the first place where both end a word."""
-        stop = edge - GUARD if edge < right.end else edge
-        ends = {middle.ends_at(k): k for k in range(1, len(middle.ids) + 1) if middle.breaks_at(self, k) and at + GUARD <= middle.ends_at(k) <= stop}
-        for r in range(1, len(right.ids) + 1):
-            end = right.ends_at(r)
-            if end > stop:
-                return None
-            if end in ends and right.breaks_at(self, r):
+    def _agree(self, text: str, middle: Part, right: Part) -> tuple[int, int] | None:
+        """Words (of the window, of the right part) up to the first place where both end one."""
+        settled = middle.end - GUARD if middle.end < right.end else middle.end
+        ends = {end: k for k, end in enumerate(middle.ends(text), 1) if right.begin + GUARD <= end <= settled}
+        for r, end in enumerate(right.ends(text), 1):
+            if end in ends:
                 return ends[end], r
+            if end > settled:
+                break
         return None
 
 
-class _Part:
-    """Tokens of text[begin:end], with the ends of those near both edges read from the library only when asked for."""
-
-    def __init__(self, encoded, begin: int, end: int):
-        self.begin, self.end = begin, end
-        self.ids = np.array(encoded.ids, dtype=np.uint32) if encoded is not None else np.zeros(0, np.uint32)
-        self.pieces = [(0, len(self.ids), encoded, begin, 0)] if encoded is not None else []
-
-    @classmethod
-    def spliced(cls, left: "_Part", i: int, middle: "_Part", m: int, right: "_Part", r: int) -> "_Part":
-        part = cls(None, left.begin, right.end)
-        part.ids = np.concatenate([left.ids[:i], middle.ids[:m], right.ids[r:]])
-        at = 0
-        for source, low, high in ((left, 0, i), (middle, 0, m), (right, r, len(right.ids))):
-            for first, last, encoded, base, skip in source.pieces:
-                a, b = max(first, low), min(last, high)
-                if a < b:
-                    part.pieces.append((at, at + b - a, encoded, base, skip + a - first))
-                    at += b - a
-        return part
-
-    def _chars(self, count: int) -> tuple[int, int]:
-        """Where the token number ``count`` (from 1) lies in the text."""
-        k = bisect_left(self.pieces, count, key=lambda p: p[1])
-        first, _, encoded, base, skip = self.pieces[k]
-        start, end = encoded.token_to_chars(skip + count - 1 - first)
-        return base + start, base + end
-
-    def ends_at(self, count: int) -> int:
-        """Where the first ``count`` tokens end in the text."""
-        return self._chars(count)[1] if count else self.begin
-
-    def breaks_at(self, coder: TreeBPE, count: int) -> bool:
-        """Whether a word ends after ``count`` tokens, at a place that parts characters: case folding can make two words of one."""
-        return bool(coder.ends_word[self.ids[count - 1]]) and (count == len(self.ids) or self._chars(count + 1)[0] >= self._chars(count)[1])
-
-    def last_end(self, coder: TreeBPE, limit: int) -> int:
-        """The largest token count that ends a word at or before ``limit`` and away from the part's end."""
-        limit = min(limit, self.end - GUARD)
-        low, high = 0, len(self.ids)
-        while low < high:
-            mid = (low + high + 1) // 2
-            if self.ends_at(mid) <= limit:
-                low = mid
-            else:
-                high = mid - 1
-        while low and not self.breaks_at(coder, low):
-            low -= 1
-        return low
-
-
 @lru_cache(maxsize=2)
 def _coder(path: str, leaf: int, window: int) -> TreeBPE:
     return TreeBPE(path, leaf, window)
@@ -172,25 +178,20 @@ def encode_documents(docs: DataFrame, path: str, leaf: int = LEAF, window: int =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = _coder(path, leaf, window)
         for batch in batches:
-            texts, k = [t or "" for t in batch.column(1).to_pylist()], 0
             counts, ids_hash, text_hash, all_ids, all_text = [], [], [], [], []
-            while k < len(texts):
-                last, size = k, 0
-                while last < len(texts) and (last == k or size + len(texts[last]) <= GROUP):
-                    size += len(texts[last])
-                    last += 1
-                for ids in coder.encode_batch(texts[k:last]):
-                    decoded = coder.decode(ids)
-                    counts.append(len(ids))
-                    ids_hash.append(hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest())
-                    text_hash.append(hashlib.sha256(decoded.encode()).hexdigest())
-                    if keep_ids:
-                        all_ids.append(ids.tolist())
-                        all_text.append(decoded)
-                k = last
+            for text in batch.column(1):
+                ids = coder.encode(text.as_py() or "")
+                decoded = coder.decode(ids)
+                counts.append(len(ids))
+                ids_hash.append(hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest())
+                text_hash.append(hashlib.sha256(decoded.encode()).hexdigest())
+                if keep_ids:
+                    all_ids.append(ids.tolist())
+                    all_text.append(decoded)
             columns = [batch.column(0), pa.array(counts, pa.int64()), pa.array(ids_hash, pa.string()), pa.array(text_hash, pa.string())]
             if keep_ids:
                 columns += [pa.array(all_ids, pa.list_(pa.int64())), pa.array(all_text, pa.string())]
             yield pa.RecordBatch.from_arrays(columns, names=["id", "n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"][: len(columns)])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    return map_batches(texts, run, schema).withColumnRenamed("id", id_col)
