@@ -199,8 +199,10 @@ def as_text(spans: Column) -> Column:
 
 def digest(found: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """Counts, checksum and text of the spans."""
-    of = [F.size(F.filter("base", lambda s, k=k: s["kind"] == k)).cast("long") for k in range(3)]
-    return found.select(id_col, of[0].alias("n_assign"), of[1].alias("n_access"), of[2].alias("n_hex"), F.sha2(as_text(F.col("base")), 256).alias("base_sha256"), as_text(F.col("spans")).alias("spans"))
+    def of(kind: int) -> Column:
+        return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long")
+
+    return found.select(id_col, of(0).alias("n_assign"), of(1).alias("n_access"), of(2).alias("n_hex"), F.sha2(as_text(F.col("base")), 256).alias("base_sha256"), as_text(F.col("spans")).alias("spans"))
 
 
 def redact(docs: DataFrame, q: float = 0.05, text_col: str = "text", chars_col: str | None = "n_chars") -> DataFrame:
