@@ -19,10 +19,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, staged
-
-#: An entry of at least this fraction of all rows is looked up by broadcast; there can be no more than its inverse.
-HOT_SHARE = 1 / 1000
+from .common import ascii_lower, look_up, staged
 
 
 @dataclass(frozen=True)
@@ -97,22 +94,19 @@ def build_index(keyed: DataFrame, capacity: int = 1_000_000, bits: int = 8) -> t
     return staged(owned, "dedup-index", partition_by="bucket"), directory
 
 
-def mark_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = 1_000_000, bits: int = 8) -> DataFrame:
-    """``docs`` with keep_id, group_size, kept and text_sha256."""
+def mark_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = 1_000_000, bits: int = 8, prefix: str = "") -> DataFrame:
+    """``docs`` with keep_id, group_size, kept and text_sha256, their names prefixed as asked."""
     norm = ascii_lower(F.coalesce(F.col(text_col), F.lit("")))
     keyed = docs.select(F.col(id_col).alias("id"), norm.alias("norm")).select("id", F.xxhash64("norm").alias("h"), "norm")
     index, _ = build_index(keyed, capacity, bits)
     index = index.select("h", "sha", "keep_id", "n")
-    rows = index.agg(F.sum("n")).first()[0] or 0
-    floor = max(2, int(rows * HOT_SHARE))
-    hot = F.broadcast(index.where(F.col("n") >= floor).select(F.col("h").alias("__hot_h"), F.col("sha").alias("__hot_sha"), F.col("keep_id").alias("__hot_keep"), F.col("n").alias("__hot_n")))
-    cold = index.where(F.col("n") < floor).select(F.col("h").alias("__h1"), F.col("sha").alias("__sha1"), F.col("keep_id").alias("__keep"), F.col("n").alias("__n"))
-    added = ("keep_id", "group_size", "kept", "text_sha256")
+    added = [f"{prefix}{name}" for name in ("keep_id", "group_size", "kept", "text_sha256")]
     own = [c for c in docs.columns if c not in added]
+    if id_col in added or text_col in added:
+        raise ValueError("the prefix must keep the names of id and text apart from the added ones")
     keyed_docs = docs.select(*own, norm.alias("__norm")).select(*own, F.xxhash64("__norm").alias("__h"), F.sha2("__norm", 256).alias("__sha"))
-    found = keyed_docs.join(hot, (F.col("__h") == F.col("__hot_h")) & (F.col("__sha") == F.col("__hot_sha")), "left")
-    # Rows of hot entries have their answer; a key of their own spreads them over the tasks of the second look-up.
-    found = found.withColumn("__key", F.when(F.col("__hot_n").isNull(), F.col("__sha")).otherwise(F.concat(F.lit("-"), F.xxhash64(id_col).cast("string"))))
-    found = found.join(cold, (F.col("__key") == F.col("__sha1")) & (F.col("__h") == F.col("__h1")), "left")
-    keep = F.coalesce("__hot_keep", "__keep")
-    return found.select(*own, keep.alias("keep_id"), F.coalesce("__hot_n", "__n").alias("group_size"), F.col(id_col).eqNullSafe(keep).alias("kept"), F.col("__sha").alias("text_sha256"))
+    # Both hashes make up the key: two texts that shared them would have stopped the job.
+    keyed_docs = keyed_docs.select(*own, "__sha", F.concat(F.hex("__h"), "__sha").alias("__both"))
+    entries = index.select(F.concat(F.hex("h"), "sha").alias("__both"), F.col("keep_id").alias("__keep"), F.col("n").alias("__n"))
+    found = look_up(keyed_docs, entries, "__both", "__n", F.xxhash64(id_col))
+    return found.select(*own, F.col("__keep").alias(added[0]), F.col("__n").alias(added[1]), F.col(id_col).eqNullSafe(F.col("__keep")).alias(added[2]), F.col("__sha").alias(added[3]))
