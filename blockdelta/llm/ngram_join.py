@@ -5,11 +5,14 @@
   count may include others that share its slot; any common order keeps the filter exact), then by hash.
 * A similar pair shares one of the first n - ceil(t n) + 1 shingles of each. Rows of these prefixes meet by shingle,
   sorted by set size; length and positional filters drop pairs before they are formed.
-* Few rows at a shingle: all their pairs are candidates. Many rows: at first only neighbours in size are. Pairs that links already
-  connect need no look at all, so in a second pass the rows of these shingles meet again with their components known, and all
-  pairs across components become candidates. No link that joins two components is lost, and a group of thousands of near copies costs rows, not pairs.
-* Each candidate pair is verified once, on whole sets that are computed anew for the texts concerned: a bound from the counts in fixed ranges
-  of hashes (a suffix filter over the whole sets), then the exact intersection.
+* Few rows at a shingle: all their pairs are candidates. Many rows: at first each is held against one of them, the
+  class that most crowded shingles have. A pair that links already connect needs no look, so candidates are verified in
+  steps, the best one of each class first, and after each step those within a component go. At last the rows of crowded shingles meet again
+  with their components known, and all pairs across components become candidates. No link that joins two components
+  is lost, and a group of thousands of near copies costs rows, not pairs.
+* Each candidate pair is verified once. A suffix filter over the whole sets comes first: every class keeps how many of its shingles fall
+  into each of equal ranges of hashes, about four a range, and the smaller counts of two classes bound their intersection. Then the
+  sets of the texts concerned are computed anew and intersected exactly.
 
 Defined cases: null or wordless texts have no shingles and link with nothing; a text of fewer than five words is one
 shingle; an empty table gives no rows; rows repeated under one id are nodes each, named by that id; null ids are never the smallest.
@@ -23,7 +26,7 @@ from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import look_up, map_batches, staged
@@ -32,12 +35,12 @@ from .shingles import shingle_sets
 
 #: Slots of the count table and parts in which it is summed.
 SLOT_BITS, PARTS = 18, 16
-#: Rows at a shingle up to which all pairs are formed at once; beyond, neighbours up to this distance.
-FEW, NEAR = 8, 2
+#: Rows at a shingle up to which all pairs are formed at once.
+FEW = 8
 #: Slots of the filter that tells which texts are hashed again for verification.
 FILTER_BITS = 20
-#: Ranges of hashes whose counts bound an intersection.
-RANGE_BITS = 4
+#: Bits of the largest number of ranges whose counts bound an intersection, and bits of a shingle by which prefixes meet.
+RANGE_BITS, MEET_BITS = 12, 48
 
 
 class Threshold:
@@ -87,25 +90,42 @@ def slot_counts(docs: DataFrame, text_col: str) -> np.ndarray:
     return table
 
 
+def range_counts(s: np.ndarray) -> bytes | None:
+    """How many of a sorted set's hashes fall into each of 2**k equal ranges, a byte each; null for an empty set or if a count is too large."""
+    if not len(s):
+        return None
+    bits = min(RANGE_BITS, max(0, (len(s) // 4).bit_length()))
+    counts = np.bincount((s >> np.uint64(64 - bits)).astype(np.int64) if bits else np.zeros(len(s), np.int64), minlength=1 << bits)
+    return counts.astype(np.uint8).tobytes() if counts.max() < 256 else None
+
+
+def intersection_bound(x: bytes, y: bytes) -> tuple[int, int, int]:
+    """(most shingles in common, size, size) of two sets by their counts; the finer counts are summed to the coarser ranges."""
+    x, y = (np.frombuffer(v, np.uint8).astype(np.int64) for v in (x, y))
+    k = min(len(x), len(y))
+    return int(np.minimum(x.reshape(k, -1).sum(1), y.reshape(k, -1).sum(1)).sum()), int(x.sum()), int(y.sum())
+
+
 def prefixes(docs: DataFrame, counts: np.ndarray, t: Threshold, id_col: str, text_col: str) -> DataFrame:
-    """id, n, sig (of the whole set; null for an empty one) and the prefix in rare-first order, per row."""
+    """id, n, sig (of the whole set; null for an empty one), counts by range, and the prefix in rare-first order, per row."""
     shared = docs.sparkSession.sparkContext.broadcast(counts.astype(np.int64))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = shared.value
         for batch in batches:
             for part in range(0, batch.num_rows, 512):
-                piece, n, sig, first = batch.slice(part, 512), [], [], []
+                piece, n, sig, ranges, first = batch.slice(part, 512), [], [], [], []
                 for s in shingle_sets(piece.column(1).to_pylist()):
                     n.append(len(s))
                     sig.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
+                    ranges.append(range_counts(s))
                     order = np.lexsort((s, rank[(s >> np.uint64(64 - SLOT_BITS)).astype(np.int64)]))
-                    first.append(s[order[: t.prefix(len(s))]].view(np.int64) if len(s) else np.zeros(0, np.int64))
+                    first.append((s[order[: t.prefix(len(s))]] >> np.uint64(64 - MEET_BITS)).view(np.int64) if len(s) else np.zeros(0, np.int64))
                 offsets = np.cumsum([0, *map(len, first)])
                 lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(first)))
-                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), lists], names=["id", "n", "sig", "prefix"])
+                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(ranges, pa.binary()), lists], names=["id", "n", "sig", "ranges", "prefix"])
 
-    return map_batches(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), run, "id long, n long, sig binary, prefix array<long>")
+    return map_batches(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), run, "id long, n long, sig binary, ranges binary, prefix array<long>")
 
 
 def _pairs_near(token, cid, n, pos, most: int, t: Threshold) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -158,11 +178,12 @@ def _first_meeting(t: Threshold):
             edge = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
             length = np.repeat(np.diff(np.append(edge, len(token))), np.diff(np.append(edge, len(token))))
             few, many = (length > 1) & (length <= FEW), length > FEW
-            pairs = _pairs_near(*(x[few] for x in (token, cid, n, pos)), FEW, t) + _pairs_near(*(x[many] for x in (token, cid, n, pos)), NEAR, t)
+            pairs = _pairs_near(*(x[few] for x in (token, cid, n, pos)), FEW, t)
             if pairs:
-                both = np.unique(np.stack([np.concatenate([p[k] for p in pairs]) for k in (0, 1)], 1), axis=0)
+                both = np.sort(np.stack([np.concatenate([p[k] for p in pairs]) for k in (0, 1)], 1), axis=1)
+                both, times = np.unique(both, axis=0, return_counts=True)
                 if len(both):
-                    yield _batch(both.min(1), both.max(1))
+                    yield _batch(both[:, 0], both[:, 1], n=times)
             if many.any():
                 yield _batch(cid[many], np.full(many.sum(), -1), token[many], n[many], pos[many])
 
@@ -192,17 +213,26 @@ def _second_meeting(t: Threshold):
     return run
 
 
-def _verify(t: Threshold):
-    edges = (np.arange(1, 1 << RANGE_BITS, dtype=np.uint64) << np.uint64(64 - RANGE_BITS))
+def _may_match(t: Threshold):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = []
+            for x, y in zip(batch.column(6).to_pylist(), batch.column(7).to_pylist()):
+                if x is not None and y is not None:
+                    common, m, n = intersection_bound(x, y)
+                good.append(x is None or y is None or common >= t.overlap(m, n))
+            yield pa.RecordBatch.from_arrays([batch.column(k).filter(pa.array(good, pa.bool_())) for k in range(6)], names=batch.schema.names[:6])
+
+    return run
 
+
+def _verify(t: Threshold):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             good = []
             for x, y in zip(batch.column(2), batch.column(3)):
                 x, y = (np.asarray(v.values).view(np.uint64) for v in (x, y))
-                need = t.overlap(len(x), len(y))
-                parts = [np.diff(np.concatenate([[0], np.searchsorted(v, edges), [len(v)]])) for v in (x, y)]
-                good.append(np.minimum(*parts).sum() >= need and len(np.intersect1d(x, y, assume_unique=True)) >= need)
+                good.append(len(np.intersect1d(x, y, assume_unique=True)) >= t.overlap(len(x), len(y)))
             keep = pa.array(good, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(k).filter(keep) for k in (0, 1)], names=["a", "b"])
 
@@ -211,11 +241,15 @@ def _verify(t: Threshold):
 
 def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold, id_col: str, text_col: str) -> DataFrame:
     """The pairs (a, b) of classes that are similar. Sets are computed again, for one text of each class in a pair."""
-    nodes = pairs.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
-    wanted = staged(nodes.join(classes.select("cid", "sig", "min_id"), "cid"), "join-wanted")
-    slot = F.pmod(F.xxhash64("min_id"), F.lit(1 << FILTER_BITS))
+    ends = classes.select("cid", "min_id", "sig", "ranges")
+    named = pairs
+    for end in "ab":
+        named = named.join(ends.select(*[F.col(c).alias(f"{c}_{end}") for c in ends.columns]), F.col(end) == F.col(f"cid_{end}"))
+    named = named.select("a", "b", "min_id_a", "sig_a", "min_id_b", "sig_b", "ranges_a", "ranges_b")
+    wanted = staged(map_batches(named, _may_match(t), "a long, b long, min_id_a long, sig_a binary, min_id_b long, sig_b binary"), "join-wanted")
+    ids = wanted.select(F.explode(F.array("min_id_a", "min_id_b")).alias("id"))
     mask = np.zeros(1 << FILTER_BITS, bool)
-    mask[[r["s"] for r in wanted.select(slot.alias("s")).distinct().collect()]] = True  # at most 2**FILTER_BITS numbers
+    mask[[r["s"] for r in ids.select(F.pmod(F.xxhash64("id"), F.lit(1 << FILTER_BITS)).alias("s")).distinct().collect()]] = True  # at most 2**FILTER_BITS numbers
     shared = docs.sparkSession.sparkContext.broadcast(np.packbits(mask))
 
     def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -231,37 +265,81 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold
                 sig = pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary())
                 yield pa.RecordBatch.from_arrays([piece.column(2), sig, lists], names=["id", "sig", "items"])
 
-    ids = F.col(id_col).cast("long")
-    hashed = docs.select(F.pmod(F.xxhash64(ids), F.lit(1 << FILTER_BITS)).alias("slot"), F.col(text_col).alias("text"), ids.alias("id")).where(F.col("id").isNotNull())
-    sets = map_batches(hashed, again, "id long, sig binary, items array<long>")
-    sets = staged(wanted.join(sets, (F.col("min_id") == F.col("id")) & (wanted["sig"] == sets["sig"])).select("cid", "items").dropDuplicates(["cid"]), "join-sets")
-    left = pairs.join(sets.select(F.col("cid").alias("a"), F.col("items").alias("x")), "a")
-    both = left.join(sets.select(F.col("cid").alias("b"), F.col("items").alias("y")), "b").select("a", "b", "x", "y")
+    own = F.col(id_col).cast("long")
+    hashed = docs.select(F.pmod(F.xxhash64(own), F.lit(1 << FILTER_BITS)).alias("slot"), F.col(text_col).alias("text"), own.alias("id")).where(F.col("id").isNotNull())
+    # The sets are the large side, so they are exchanged by id once and serve both ends of the pairs.
+    sets = map_batches(hashed, again, "id long, sig binary, items array<long>").hint("merge")
+    left = wanted.join(sets.select(F.col("id").alias("id_a"), F.col("sig").alias("s_a"), F.col("items").alias("x")), (F.col("min_id_a") == F.col("id_a")) & (F.col("sig_a") == F.col("s_a")))
+    left = left.select("a", "b", "min_id_b", "sig_b", "x")
+    both = left.join(sets.select(F.col("id").alias("id_b"), F.col("sig").alias("s_b"), F.col("items").alias("y")), (F.col("min_id_b") == F.col("id_b")) & (F.col("sig_b") == F.col("s_b"))).select("a", "b", "x", "y")
     return map_batches(both, _verify(t), "a long, b long")
 
 
+def _stars(crowded: DataFrame, centre: Column, t: Threshold) -> DataFrame:
+    """Candidate pairs (a, b): the rows of a crowded shingle against the one of them with the largest ``centre``, unless of its component.
+
+    ``crowded`` has token, cid, n and component.
+    """
+    pivot = crowded.groupBy("token").agg(F.max(F.struct(centre.alias("rank"), "cid", "n", "component")).alias("p"))
+    pivot = pivot.select(F.col("token").alias("at"), F.col("p.cid").alias("c2"), F.col("p.n").alias("n2"), F.col("p.component").alias("k2"))
+    met = crowded.join(pivot, F.col("token") == F.col("at")).where("component <> k2")
+    small, large = F.least("n", "n2"), F.greatest("n", "n2")
+    return met.where(small * t.den >= large * t.num).select(F.least("cid", "c2").alias("a"), F.greatest("cid", "c2").alias("b")).distinct()
+
+
+def _with_components(rows: DataFrame, links: DataFrame) -> DataFrame:
+    """``rows`` with the component of their class ``cid``; its own where it has no link."""
+    parts = connected(links).select(F.col("node").alias("member"), F.col("component").alias("part"))
+    return rows.join(parts, F.col("cid") == F.col("member"), "left").withColumn("component", F.coalesce("part", "cid")).drop("member", "part")
+
+
+def _across(pairs: DataFrame, links: DataFrame) -> DataFrame:
+    """The pairs whose classes are not connected yet."""
+    parts = connected(links)
+    out = pairs
+    for end in "ab":
+        out = out.join(parts.select(F.col("node").alias(f"node_{end}"), F.col("component").alias(f"part_{end}")), F.col(end) == F.col(f"node_{end}"), "left")
+    return out.where(F.coalesce("part_a", "a") != F.coalesce("part_b", "b")).select("a", "b")
+
+
 def join_classes(docs: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Rows (id, n, sig), classes (cid, sig, min_id, copies, ..) and links between classes (a, b) that connect all components."""
     t = Threshold(threshold)
     rows = staged(prefixes(docs, slot_counts(docs, text_col), t, id_col, text_col), "join-prefixes")
-    named = rows.where(F.col("sig").isNotNull()).groupBy("sig").agg(F.min("id").alias("min_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("prefix").alias("prefix"))
+    named = rows.where(F.col("sig").isNotNull()).groupBy("sig").agg(F.min("id").alias("min_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("ranges").alias("ranges"), F.first("prefix").alias("prefix"))
     classes = staged(named.withColumn("cid", F.monotonically_increasing_id()), "join-classes")
     posted = classes.select("cid", "n", F.posexplode("prefix").alias("pos", "token")).select("token", "cid", "n", F.col("pos").cast("long").alias("pos"))
-    ways = posted.sparkSession.conf.get("spark.sql.shuffle.partitions")
-    met = posted.repartition(int(ways), "token").sortWithinPartitions("token", "n", "cid")
+    ways = int(posted.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    met = posted.repartition(ways, "token").sortWithinPartitions("token", "n", "cid")
     met = staged(map_batches(met, _first_meeting(t), _MEET), "join-meetings")
-    pairs = staged(met.where("b >= 0").select("a", "b").distinct(), "join-pairs")
-    links = staged(verified(pairs, docs, classes, t, id_col, text_col), "join-links")
-    crowded = met.where("b < 0")
-    if crowded.limit(1).count():
-        parts = connected(links)
-        again = crowded.select("token", F.col("a").alias("cid"), "n", "pos").join(parts.select(F.col("node").alias("cid"), "component"), "cid", "left")
-        again = again.select("token", "cid", "n", "pos", F.coalesce("component", "cid").alias("component"))
-        again = again.repartition(int(ways), "token").sortWithinPartitions("token", "n", "cid")
-        more = map_batches(again, _second_meeting(t), _MEET).select("a", "b").distinct()
-        more = staged(more.join(pairs, ["a", "b"], "left_anti"), "join-pairs")
-        if more.limit(1).count():
-            links = staged(links.union(verified(more, docs, classes, t, id_col, text_col)), "join-links")
+    pairs = staged(met.where("b >= 0").groupBy("a", "b").agg(F.sum("n").alias("times")), "join-pairs")
+    crowded = met.where("b < 0").select("token", F.col("a").alias("cid"), "n", "pos")
+    some_crowded = crowded.limit(1).count() > 0
+    best = pairs.groupBy("a").agg(F.max(F.struct("times", "b")).alias("m")).select("a", F.col("m.b").alias("b"))
+    best = best.union(pairs.groupBy("b").agg(F.max(F.struct("times", "a")).alias("m")).select(F.col("m.a").alias("a"), "b"))
+    if some_crowded:
+        spread = crowded.groupBy("cid").agg(F.count(F.lit(1)).alias("spread"))
+        crowded = staged(crowded.join(spread, "cid"), "join-crowded")
+        best = best.union(_stars(crowded.withColumn("component", F.col("cid")), F.col("spread"), t))
+    done = staged(best.distinct(), "join-pairs")
+    links = staged(verified(done, docs, classes, t, id_col, text_col), "join-links")
+    if some_crowded:
+        # What missed the main class may well be similar to others around it: try one of these at each shingle, another one each time.
+        parts = staged(_with_components(crowded, links), "join-crowded")
+        main = parts.groupBy("token").agg(F.max(F.struct("spread", "cid", "component")).alias("p")).select(F.col("token").alias("main_at"), F.col("p.component").alias("main"))
+        centre = F.when(F.col("component") == F.col("main"), F.xxhash64("token", "cid"))
+        more = _stars(parts.join(main, F.col("token") == F.col("main_at")), centre, t)
+        more = staged(more.join(done, ["a", "b"], "left_anti"), "join-pairs")
+        done = done.union(more)
+        links = staged(links.union(verified(more, docs, classes, t, id_col, text_col)), "join-links")
+    more = _across(pairs.join(done, ["a", "b"], "left_anti"), links)
+    if some_crowded:
+        again = _with_components(crowded.select("token", "cid", "n", "pos"), links).select("token", "cid", "n", "pos", "component")
+        again = again.repartition(ways, "token").sortWithinPartitions("token", "n", "cid")
+        more = more.union(map_batches(again, _second_meeting(t), _MEET).select("a", "b").join(done, ["a", "b"], "left_anti"))
+    more = staged(more.distinct(), "join-pairs")
+    if more.limit(1).count():
+        links = staged(links.union(verified(more, docs, classes, t, id_col, text_col)), "join-links")
     return rows.select("id", "n", "sig"), classes.select("cid", "sig", "min_id", "copies"), links
 
 
