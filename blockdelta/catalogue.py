@@ -1,6 +1,1048 @@
-"""All queries of the checkpoint engine with their SQL twins, by name."""
+"""All queries of the checkpoint engine by name, with the SQL that gives the same rows on the same tables.
+
+``QUERIES`` values take (spark, sf_dir). Digests appear as lower-case hexadecimal text, shares per million.
+"""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from . import workloads
+from .functions import costmodel, digests
+from .functions.encode import cell_hex, cents, integer, micros_of
+from .operators import blocks, containers, gather, levels, protect, regions, tracker
+from .plans import baselines, collision, engine, metrics, sqlsurface, udfs
+from .session import fresh_folder, settled, table
+from .sources import datasource, restore
+from .sources.store import BlockStore
+from .streaming import epochs
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLE_SQL: dict[str, str] = {}
+
+T1, T2 = "2024-01-10 00:00:00", "2024-01-11 00:00:00"
+DAYS = ["2024-01-05 00:00:00", "2024-01-10 00:00:00", "2024-01-20 00:00:00", "2024-01-30 00:00:00"]
+B = 128
+LADDER = [100, 99, 95, 87, 79, 71, 63, 56, 40]
+
+
+def query(name: str, sql: str | None = None):
+    """Registers a query, and the SQL that says the same if there is any."""
+
+    def add(f):
+        QUERIES[name] = f
+        if sql is not None:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return add
+
+
+# ---- SQL building blocks of the twins
+
+
+def sql_wave(t: str, ranks: int = 16) -> str:
+    return f"""SELECT CAST((event_id * {ranks}) // n AS INTEGER) AS rank, 'value' AS dataset_id,
+        event_id - (((event_id * {ranks}) // n) * n + {ranks - 1}) // {ranks} AS pos,
+        CASE WHEN ts <= TIMESTAMP '{t}' THEN CAST(round(value * 100) AS BIGINT) ELSE 0 END AS cell
+        FROM events, (SELECT count(*) AS n FROM events)"""
+
+
+def sql_blocks(cells: str, b: int) -> str:
+    return f"""SELECT rank, dataset_id, (pos * 8) // {b} AS block_no, count(*) * 8 AS block_len,
+        md5(unhex(string_agg(lpad(hex(cell), 16, '0'), '' ORDER BY pos))) AS digest
+        FROM ({cells}) GROUP BY rank, dataset_id, (pos * 8) // {b}"""
+
+
+def sql_states(before: str, after: str, b: int) -> str:
+    return f"""SELECT coalesce(n.rank, o.rank) AS rank, coalesce(n.dataset_id, o.dataset_id) AS dataset_id, coalesce(n.block_no, o.block_no) AS block_no,
+        coalesce(n.block_len, o.block_len) AS block_len,
+        CASE WHEN n.block_len IS NULL THEN 'retired' WHEN o.block_len IS NULL OR o.block_len <> n.block_len THEN 'invalid'
+             WHEN n.digest = o.digest THEN 'clean' ELSE 'dirty' END AS status
+        FROM ({sql_blocks(after, b)}) n FULL OUTER JOIN ({sql_blocks(before, b)}) o
+        ON n.rank = o.rank AND n.dataset_id = o.dataset_id AND n.block_no = o.block_no"""
+
+
+def sql_regions(states: str, b: int) -> str:
+    return f"""SELECT rank, dataset_id, CAST(row_number() OVER (PARTITION BY rank, dataset_id ORDER BY start_byte) AS INTEGER) AS region_no,
+        start_byte, n_bytes, n_blocks, n_invalid FROM (
+        SELECT rank, dataset_id, min(block_no) * {b} AS start_byte, CAST(sum(block_len) AS BIGINT) AS n_bytes, count(*) AS n_blocks,
+               count(*) FILTER (status = 'invalid') AS n_invalid
+        FROM (SELECT *, block_no - row_number() OVER (PARTITION BY rank, dataset_id ORDER BY block_no) AS island
+              FROM ({states}) WHERE status IN ('dirty', 'invalid')) GROUP BY rank, dataset_id, island)"""
+
+
+def sql_ppm(part: str, whole: str) -> str:
+    return f"CAST(CASE WHEN {whole} > 0 THEN (1000000 * CAST({part} AS HUGEINT)) // {whole} END AS BIGINT)"
+
+
+def sql_share(states: str, by: str = "") -> str:
+    keys = f"{by}, " if by else ""
+    group = f"GROUP BY {by}" if by else ""
+    written = "count(*) FILTER (status IN ('dirty', 'invalid'))"
+    size, wrote = "CAST(sum(block_len) AS BIGINT)", "CAST(coalesce(sum(block_len) FILTER (status IN ('dirty', 'invalid')), 0) AS BIGINT)"
+    return f"""SELECT {keys}count(*) AS n_blocks, {written} AS n_written, {size} AS state_bytes, {wrote} AS written_bytes,
+        {sql_ppm(written, 'count(*)')} AS block_ppm, {sql_ppm(wrote, size)} AS byte_ppm FROM ({states}) WHERE status <> 'retired' {group}"""
+
+
+LINE_KEY = "l_orderkey, l_linenumber, l_partkey, l_suppkey"
+
+
+def sql_stacked(step: int, config: str, ranks: int = 10) -> str:
+    group = "l_partkey % 53" if config == "A" else "0"
+    columns = [("orderkey", "l_orderkey"), ("partkey", "l_partkey"), ("suppkey", "l_suppkey")]
+    columns += [(c, f"CAST(round(l_{c} * 100) AS BIGINT) + {step}") for c in ("quantity", "extendedprice", "discount")]
+    if config == "B":
+        columns += [("tax", f"CAST(round(l_tax * 100) AS BIGINT) + {step}"), ("shipdate", f"epoch_us(l_shipdate) + {step}")]
+    parts = [f"SELECT rank, grp, pos, {i} AS col_no, '{n}' AS col_name, c{i} AS cell FROM numbered" for i, (n, _) in enumerate(columns)]
+    values = ", ".join(f"{e} AS c{i}" for i, (_, e) in enumerate(columns))
+    return f"""WITH numbered AS (SELECT CAST(l_suppkey % {ranks} AS INTEGER) AS rank, {group} AS grp,
+        row_number() OVER (PARTITION BY l_suppkey % {ranks}, {group} ORDER BY {LINE_KEY}) - 1 AS pos, {values} FROM lineitem)
+        {' UNION ALL '.join(parts)}"""
+
+
+def sql_plasma(step: int, config: str, expose: str, layout: str = "column", ranks: int = 10) -> str:
+    stacked = sql_stacked(step, config, ranks)
+    if expose == "many":
+        return f"SELECT rank, col_name || '_' || grp AS dataset_id, pos, cell FROM ({stacked})"
+    if layout == "row":
+        width = 6 if config == "A" else 8
+        return f"""SELECT rank, 'all' AS dataset_id, start + pos * {width} + col_no AS pos, cell FROM ({stacked}) JOIN (
+            SELECT rank, grp, CAST(sum(n) OVER (PARTITION BY rank ORDER BY grp) - n AS BIGINT) AS start FROM (
+            SELECT rank, grp, count(*) AS n FROM ({stacked}) GROUP BY rank, grp)) USING (rank, grp)"""
+    return f"""SELECT rank, 'all' AS dataset_id, start + pos AS pos, cell FROM ({stacked}) JOIN (
+        SELECT rank, grp, col_no, CAST(sum(n) OVER (PARTITION BY rank ORDER BY grp, col_no) - n AS BIGINT) AS start FROM (
+        SELECT rank, grp, col_no, count(*) AS n FROM ({stacked}) GROUP BY rank, grp, col_no)) USING (rank, grp, col_no)"""
+
+
+def sql_lines(value: str, dataset: str, ranks: int = 1) -> str:
+    return f"""SELECT CAST(l_suppkey % {ranks} AS INTEGER) AS rank, '{dataset}' AS dataset_id,
+        row_number() OVER (PARTITION BY l_suppkey % {ranks} ORDER BY {LINE_KEY}) - 1 AS pos, {value} AS cell FROM lineitem"""
+
+
+def sql_scatter(day: str) -> str:
+    return sql_lines(f"CASE WHEN l_shipdate <= TIMESTAMP '{day}' THEN CAST(round(l_extendedprice * 100) AS BIGINT) ELSE 0 END", "extendedprice")
+
+
+def sql_series(t: str, days: int | None = None, ranks: int = 4) -> str:
+    low = f"AND ts > TIMESTAMP '{t}' - INTERVAL {days} DAY" if days else ""
+    return f"""SELECT CAST(user_id % {ranks} AS INTEGER) AS rank, CAST(user_id AS VARCHAR) AS dataset_id,
+        row_number() OVER (PARTITION BY user_id ORDER BY event_id) - 1 AS pos, CAST(round(value * 100) AS BIGINT) AS cell
+        FROM events WHERE ts <= TIMESTAMP '{t}' {low}"""
+
+
+def sql_sizes(days: int | None = None, ranks: int = 4) -> str:
+    asked = " UNION ALL ".join(f"SELECT {k + 1} AS version, TIMESTAMP '{t}' AS t" for k, t in enumerate(DAYS))
+    low = f"AND ts > t - INTERVAL {days} DAY" if days else ""
+    return f"""SELECT CAST(user_id % {ranks} AS INTEGER) AS rank, CAST(user_id AS VARCHAR) AS dataset_id, version,
+        count(*) FILTER (ts <= t {low}) * 8 AS size_bytes FROM events, ({asked}) GROUP BY user_id, version"""
+
+
+def sql_containers(days: int | None = 7) -> str:
+    return f"""SELECT rank, dataset_id, CAST(row_number() OVER (PARTITION BY rank, dataset_id ORDER BY version) AS INTEGER) AS container_no,
+        version AS born_version, size_bytes - room AS container_bytes, room AS virtual_start FROM (
+        SELECT *, coalesce(max(size_bytes) OVER (PARTITION BY rank, dataset_id ORDER BY version ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS room
+        FROM ({sql_sizes(days)})) WHERE size_bytes > room"""
+
+
+def sql_placed(days: int | None = 7, meta: int = 64) -> str:
+    return f"""SELECT *, CAST(sum(container_bytes) OVER (PARTITION BY rank ORDER BY born_version, dataset_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - container_bytes
+        + count(*) OVER (PARTITION BY rank ORDER BY born_version) * {meta} AS BIGINT) AS file_offset FROM ({sql_containers(days)})"""
+
+
+def sql_filled(days: int | None = 7) -> str:
+    return f"""SELECT s.rank, s.dataset_id, s.version, container_no, greatest(0, least(container_bytes, size_bytes - virtual_start)) AS chunk_bytes, container_bytes
+        FROM ({sql_sizes(days)}) s JOIN ({sql_containers(days)}) c ON s.rank = c.rank AND s.dataset_id = c.dataset_id AND born_version <= version"""
+
+
+# ---- states that several queries use
+
+
+def wave_states(spark: SparkSession, sf_dir: str, b: int = B, t1: str = T1, t2: str = T2, hint: str | None = None, ranks: int = 16) -> DataFrame:
+    before, after = (blocks.cut(workloads.wave(spark, sf_dir, t, ranks), b) for t in (t1, t2))
+    return tracker.classify(after, tracker.create_ledger(before), hint=hint)
+
+
+def states_of(before: DataFrame, after: DataFrame, b: int, algo: str = "md5") -> DataFrame:
+    return tracker.classify(blocks.cut(after, b), tracker.create_ledger(blocks.cut(before, b), algo), algo)
+
+
+def plasma_states(spark: SparkSession, sf_dir: str, config: str, expose: str, layout: str = "column", b: int = 1024) -> DataFrame:
+    return states_of(*(workloads.plasma(spark, sf_dir, step, config, expose, layout) for step in (0, 1)), b)
+
+
+def labelled(parts: dict, column: str) -> DataFrame:
+    out = None
+    for name, df in parts.items():
+        df = df.withColumn(column, F.lit(name))
+        out = df if out is None else out.unionByName(df)
+    return out
+
+
+SQL_WAVE_STATES = sql_states(sql_wave(T1), sql_wave(T2), B)
+SQL_WAVE_REGIONS = sql_regions(SQL_WAVE_STATES, B)
+
+
+def sql_plasma_states(config: str, expose: str, layout: str = "column", b: int = 1024) -> str:
+    return sql_states(sql_plasma(0, config, expose, layout), sql_plasma(1, config, expose, layout), b)
+
+
+# ---- reading and encoding
+
+
+@query("scan_cells", sql_wave(T2))
+def scan_cells(spark, sf_dir):
+    return workloads.wave(spark, sf_dir, T2)
+
+
+@query("encode_cells", "SELECT o_orderkey AS key, CAST(round(o_totalprice * 100) AS BIGINT) AS price, epoch_us(o_orderdate) AS at, lpad(hex(CAST(round(o_totalprice * 100) AS BIGINT)), 16, '0') AS hex FROM orders")
+def encode_cells(spark, sf_dir):
+    price = cents(F.col("o_totalprice"))
+    return table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key"), price.alias("price"), micros_of(F.col("o_orderdate")).alias("at"), cell_hex(price).alias("hex"))
+
+
+@query("encode_negative", "SELECT c_custkey AS key, lpad(hex(CAST(round(c_acctbal * 100) AS BIGINT)), 16, '0') AS hex FROM customer WHERE c_acctbal < 0")
+def encode_negative(spark, sf_dir):
+    return table(spark, sf_dir, "customer").where("c_acctbal < 0").select(F.col("c_custkey").alias("key"), cell_hex(cents(F.col("c_acctbal"))).alias("hex"))
+
+
+@query("props_cells", """SELECT user_id, 'k' AS dataset_id, row_number() OVER (PARTITION BY user_id ORDER BY event_id) - 1 AS pos, coalesce(CAST(json_extract_string(props, '$.k') AS BIGINT), -9223372036854775808) AS cell FROM events""")
+def props_cells(spark, sf_dir):
+    value = integer(F.get_json_object("props", "$.k"))
+    pos = F.row_number().over(Window.partitionBy("user_id").orderBy("event_id")).cast("bigint") - 1
+    return table(spark, sf_dir, "events").select("user_id", F.lit("k").alias("dataset_id"), pos.alias("pos"), value.alias("cell"))
+
+
+@query("size_map", "SELECT CAST(user_id % 4 AS INTEGER) AS rank, count(DISTINCT user_id) AS n_datasets, count(*) * 8 AS bytes, max(c) * 8 AS largest FROM (SELECT user_id, count(*) OVER (PARTITION BY user_id) AS c FROM events) GROUP BY user_id % 4")
+def size_map(spark, sf_dir):
+    """Sizes of each rank's datasets as a map, and what a reader takes from it."""
+    sizes = protect.catalogue(workloads.series(spark, sf_dir, "2100-01-01 00:00:00"))
+    maps = sizes.groupBy("rank").agg(F.map_from_entries(F.collect_list(F.struct("dataset_id", "size_bytes"))).alias("m"))
+    values = F.map_values("m")
+    return maps.select("rank", F.size(F.map_keys("m")).cast("bigint").alias("n_datasets"), F.aggregate(values, F.lit(0).cast("bigint"), lambda a, x: a + x).alias("bytes"), F.array_max(values).alias("largest"))
+
+
+@query("daily_wave", "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS cells, min(epoch_us(ts)) AS first_us FROM events GROUP BY 1")
+def daily_wave(spark, sf_dir):
+    return table(spark, sf_dir, "events").groupBy(F.date_trunc("day", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("day")).agg(F.count(F.lit(1)).alias("cells"), F.min(micros_of(F.col("ts"))).alias("first_us"))
+
+
+# ---- blocks and digests
+
+
+@query("block_md5", sql_blocks(sql_wave("2100-01-01 00:00:00"), 1024))
+def block_md5(spark, sf_dir):
+    cut = blocks.cut(workloads.wave(spark, sf_dir, "2100-01-01 00:00:00"), 1024)
+    return tracker.hashed(cut).select("rank", "dataset_id", "block_no", "block_len", F.lower(F.hex("digest")).alias("digest"))
+
+
+@query("udaf_digest", f"SELECT rank, dataset_id, block_no, digest FROM ({sql_blocks(sql_wave('2100-01-01 00:00:00'), 1024)})")
+def udaf_digest(spark, sf_dir):
+    return udfs.grouped_md5(workloads.wave(spark, sf_dir, "2100-01-01 00:00:00"), 1024)
+
+
+def sql_weak(cells: str, b: int) -> str:
+    octets = " UNION ALL ".join(f"SELECT rank, dataset_id, pos * 8 + {k} AS addr, (cell >> {56 - 8 * k}) & 255 AS d FROM c" for k in range(8))
+    return f"""WITH c AS ({cells}), o AS ({octets}),
+        s AS (SELECT rank, dataset_id, addr // {b} AS block_no, count(*) AS n, sum(d) AS s, sum((addr % {b}) * d) AS si,
+              sum(CASE WHEN addr % 2 = 0 THEN d ELSE 256 * d END) AS w, sum(((addr % {b}) // 2) * CASE WHEN addr % 2 = 0 THEN d ELSE 256 * d END) AS wi
+              FROM o GROUP BY rank, dataset_id, addr // {b})
+        SELECT rank, dataset_id, block_no, n AS block_len,
+               CAST(((n + n * s - si) % 65521) * 65536 + (1 + s) % 65521 AS BIGINT) AS adler32,
+               CAST((((n // 2) * w - wi) % 65535) * 65536 + w % 65535 AS BIGINT) AS fletcher32_65535,
+               CAST((((n // 2) * w - wi) % 65536) * 65536 + w % 65536 AS BIGINT) AS fletcher32_65536 FROM s"""
+
+
+_WEAK = sql_weak(sql_wave("2100-01-01 00:00:00"), 512)
+
+
+@query("adler_blocks", f"SELECT rank, dataset_id, block_no, block_len, adler32 FROM ({_WEAK})")
+def adler_blocks(spark, sf_dir):
+    return digests.block_sums(workloads.wave(spark, sf_dir, "2100-01-01 00:00:00"), 512).drop("fletcher32_65535", "fletcher32_65536")
+
+
+@query("fletcher_blocks", f"SELECT rank, dataset_id, block_no, block_len, fletcher32_65535, fletcher32_65536 FROM ({_WEAK})")
+def fletcher_blocks(spark, sf_dir):
+    return digests.block_sums(workloads.wave(spark, sf_dir, "2100-01-01 00:00:00"), 512).drop("adler32")
+
+
+@query("crc32_blocks")
+def crc32_blocks(spark, sf_dir):
+    cut = blocks.cut(workloads.wave(spark, sf_dir, "2100-01-01 00:00:00"), 512)
+    return tracker.hashed(cut, "crc32").select("rank", "dataset_id", "block_no", "block_len", F.lower(F.hex("digest")).alias("digest"))
+
+
+@query("xor64_blocks")
+def xor64_blocks(spark, sf_dir):
+    return digests.xor_blocks(workloads.wave(spark, sf_dir, T2), 512).select("rank", "dataset_id", "block_no", "block_len", F.lower(F.hex("digest")).alias("digest"))
+
+
+def sql_records(source: str, key: str, text: str, b: int) -> str:
+    return f"""SELECT {key}, k AS block_no, least({b}, n - k * {b}) AS block_len, md5(unhex(substr(h, CAST(k * {2 * b} + 1 AS BIGINT), {2 * b}))) AS digest
+        FROM (SELECT {key}, hex(encode({text})) AS h, octet_length(encode({text})) AS n, unnest(range((octet_length(encode({text})) + {b - 1}) // {b})) AS k FROM {source})"""
+
+
+@query("text_blocks", sql_records("documents", "doc_id", "coalesce(text, '')", 1024))
+def text_blocks(spark, sf_dir):
+    cut = blocks.cut_records(workloads.docs(spark, sf_dir, 1), "doc_id", "payload", 1024)
+    return cut.select("doc_id", "block_no", "block_len", F.md5("payload").alias("digest"))
+
+
+@query("page_blocks", sql_records("pages", "page_id", "coalesce(html, '')", 1024))
+def page_blocks(spark, sf_dir):
+    cut = blocks.cut_records(workloads.pages(spark, sf_dir), "page_id", "payload", 1024)
+    return cut.select("page_id", "block_no", "block_len", F.md5("payload").alias("digest"))
+
+
+@query("stream_blocks", """SELECT rank, 'stream' AS dataset_id, k AS block_no, least(4096, n - k * 4096) AS block_len, md5(unhex(substr(h, CAST(k * 8192 + 1 AS BIGINT), 8192))) AS digest FROM (
+        SELECT rank, h, length(h) // 2 AS n, unnest(range((length(h) // 2 + 4095) // 4096)) AS k FROM (
+        SELECT CAST(doc_id % 4 AS INTEGER) AS rank, string_agg(hex(encode(coalesce(text, ''))), '' ORDER BY doc_id) AS h FROM documents GROUP BY doc_id % 4))""")
+def stream_blocks(spark, sf_dir):
+    cut = blocks.cut_stream(workloads.docs(spark, sf_dir, 1), "rank", "doc_id", "payload", 4096)
+    return cut.select("rank", "dataset_id", "block_no", "block_len", F.md5("payload").alias("digest"))
+
+
+@query("xor_flip", "SELECT event_id, xor(CAST(round(value * 100) AS BIGINT), 3) AS flipped, CAST(bit_count(xor(CAST(round(value * 100) AS BIGINT), 255)) AS INTEGER) AS ones FROM events")
+def xor_flip(spark, sf_dir):
+    cell = cents(F.col("value"))
+    return table(spark, sf_dir, "events").select("event_id", cell.bitwiseXOR(F.lit(3)).alias("flipped"), F.bit_count(cell.bitwiseXOR(F.lit(255))).alias("ones"))
+
+
+# ---- states and regions
+
+
+@query("classify_blocks", SQL_WAVE_STATES)
+def classify_blocks(spark, sf_dir):
+    return wave_states(spark, sf_dir).drop("digest")
+
+
+@query("classify_shj", SQL_WAVE_STATES)
+def classify_shj(spark, sf_dir):
+    return wave_states(spark, sf_dir, hint="shuffle_hash").drop("digest")
+
+
+_SHRINK = sql_states(sql_series(DAYS[0], 7), sql_series(DAYS[1], 7), 64)
+
+
+@query("classify_nullsafe", _SHRINK)
+def classify_nullsafe(spark, sf_dir):
+    """Growing and shrinking datasets: all four states occur."""
+    return states_of(workloads.series(spark, sf_dir, DAYS[0], 7), workloads.series(spark, sf_dir, DAYS[1], 7), 64).drop("digest")
+
+
+@query("filter_dirty", f"SELECT rank, dataset_id, block_no, block_len FROM ({SQL_WAVE_STATES}) WHERE status = 'dirty'")
+def filter_dirty(spark, sf_dir):
+    return wave_states(spark, sf_dir).where(F.col("status") == "dirty").select("rank", "dataset_id", "block_no", "block_len")
+
+
+_GROWTH = sql_states(sql_series(DAYS[0]), sql_series(DAYS[1]), 64)
+
+
+@query("invalid_blocks", f"SELECT rank, dataset_id, block_no, block_len FROM ({_GROWTH}) WHERE status = 'invalid'")
+def invalid_blocks(spark, sf_dir):
+    before, after = (blocks.cut(workloads.series(spark, sf_dir, t), 64) for t in DAYS[:2])
+    return tracker.invalid_blocks(after, tracker.create_ledger(before))
+
+
+@query("dirty_regions", SQL_WAVE_REGIONS)
+def dirty_regions(spark, sf_dir):
+    return regions.merge(wave_states(spark, sf_dir), B)
+
+
+@query("dirty_regions_stitched", SQL_WAVE_REGIONS)
+def dirty_regions_stitched(spark, sf_dir):
+    """The same regions with runs found in ranges of three blocks and stitched."""
+    return regions.merge(wave_states(spark, sf_dir), B, stride=3)
+
+
+@query("sql_dirty_regions", f"SELECT rank, dataset_id, start_byte, n_bytes, n_blocks, n_invalid FROM ({SQL_WAVE_REGIONS})")
+def sql_dirty_regions(spark, sf_dir):
+    return sqlsurface.regions(workloads.wave(spark, sf_dir, T2), tracker.create_ledger(blocks.cut(workloads.wave(spark, sf_dir, T1), B)), B)
+
+
+@query("udtf_regions", f"SELECT rank, dataset_id, start_byte // {B} AS first_block, n_bytes, n_blocks FROM ({SQL_WAVE_REGIONS})")
+def udtf_regions(spark, sf_dir):
+    udfs.register_regions_udtf(spark)
+    wave_states(spark, sf_dir).drop("digest").createOrReplaceTempView("wave_states")
+    return spark.sql("SELECT * FROM dirty_regions(TABLE(SELECT * FROM wave_states) PARTITION BY (rank, dataset_id) ORDER BY block_no)")
+
+
+_PLASMA_A = sql_regions(sql_plasma_states("A", "one"), 1024)
+
+
+@query("plasma_regions", _PLASMA_A)
+def plasma_regions(spark, sf_dir):
+    return regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024)
+
+
+@query("top_regions", f"SELECT rank, dataset_id, start_byte, n_bytes FROM ({sql_regions(sql_plasma_states('B', 'one'), 1024)}) ORDER BY n_bytes DESC, rank, start_byte LIMIT 10")
+def top_regions(spark, sf_dir):
+    """A report of the ten largest regions."""
+    merged = regions.merge(plasma_states(spark, sf_dir, "B", "one"), 1024)
+    return merged.select("rank", "dataset_id", "start_byte", "n_bytes").orderBy(F.desc("n_bytes"), "rank", "start_byte").limit(10)
+
+
+@query("largest_by_rank", f"SELECT rank, start_byte, n_bytes FROM ({_PLASMA_A}) QUALIFY row_number() OVER (PARTITION BY rank ORDER BY n_bytes DESC, start_byte) = 1")
+def largest_by_rank(spark, sf_dir):
+    place = F.row_number().over(Window.partitionBy("rank").orderBy(F.desc("n_bytes"), "start_byte"))
+    return regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024).withColumn("place", place).where("place = 1").select("rank", "start_byte", "n_bytes")
+
+
+# ---- shares and other measures
+
+
+@query("dirty_share", sql_share(SQL_WAVE_STATES))
+def dirty_share(spark, sf_dir):
+    return metrics.dirty_share(wave_states(spark, sf_dir))
+
+
+@query("hot_rank_share", None)
+def hot_rank_share(spark, sf_dir):
+    return metrics.dirty_share(states_of(*(workloads.hot_rank(spark, sf_dir, s, B) for s in (0, 1)), B), "rank")
+
+
+_HOT = sql_states(sql_wave("2100-01-01 00:00:00"), f"""SELECT rank, dataset_id, pos, cell + CASE WHEN CASE WHEN rank = 0 THEN (pos * 8 // {B}) % 5 <> 0 ELSE (pos * 8 // {B}) % 40 = 0 END THEN 1 ELSE 0 END AS cell FROM ({sql_wave("2100-01-01 00:00:00")})""", B)
+ORACLE_SQL["hot_rank_share"] = sql_share(_HOT, "rank")
+
+
+@query("rank_skew", f"""WITH p AS ({sql_share(_HOT, 'rank')}) SELECT max_by(rank, block_ppm * 1000 - rank) AS rank, max(block_ppm) AS most_ppm,
+        {sql_ppm('sum(n_written)', 'sum(n_blocks)')} AS mean_ppm, CAST((max(block_ppm) * sum(n_blocks)) // (sum(n_written) * 1000) AS BIGINT) AS ratio_permille FROM p""")
+def rank_skew(spark, sf_dir):
+    return metrics.rank_skew(states_of(*(workloads.hot_rank(spark, sf_dir, s, B) for s in (0, 1)), B))
+
+
+_LIVE_A = f"SELECT *, split_part(dataset_id, '_', 1) AS name FROM ({sql_plasma_states('A', 'many')})"
+
+
+def _plasma_named(spark, sf_dir):
+    return plasma_states(spark, sf_dir, "A", "many").withColumn("name", F.split("dataset_id", "_")[0])
+
+
+def _sets(sql: str) -> str:
+    return f"SELECT rank, name, count(*) AS n_blocks, count(*) FILTER (status <> 'clean') AS n_written, grouping(rank, name) AS level FROM ({_LIVE_A}) GROUP BY {sql}"
+
+
+def _counts(grouped, *by):
+    return grouped.agg(F.count(F.lit(1)).alias("n_blocks"), F.count_if(F.col("status") != "clean").alias("n_written"), F.grouping_id(*by).alias("level"))
+
+
+@query("dirty_rollup", _sets("ROLLUP (rank, name)"))
+def dirty_rollup(spark, sf_dir):
+    return _counts(_plasma_named(spark, sf_dir).rollup("rank", "name"), "rank", "name")
+
+
+@query("dirty_cube", _sets("CUBE (rank, name)"))
+def dirty_cube(spark, sf_dir):
+    return _counts(_plasma_named(spark, sf_dir).cube("rank", "name"), "rank", "name")
+
+
+@query("dirty_gsets", _sets("GROUPING SETS ((rank), (name))"))
+def dirty_gsets(spark, sf_dir):
+    return _counts(_plasma_named(spark, sf_dir).groupingSets([["rank"], ["name"]], "rank", "name"), "rank", "name")
+
+
+@query("ranks_touched", f"SELECT status, count(DISTINCT rank) AS n_ranks, count(DISTINCT digest) AS n_digests FROM (SELECT s.*, b.digest FROM ({SQL_WAVE_STATES}) s JOIN ({sql_blocks(sql_wave(T2), B)}) b USING (rank, dataset_id, block_no)) GROUP BY status")
+def ranks_touched(spark, sf_dir):
+    return wave_states(spark, sf_dir).groupBy("status").agg(F.countDistinct("rank").alias("n_ranks"), F.countDistinct("digest").alias("n_digests"))
+
+
+@query("hash_count", f"SELECT count(*) FILTER (status <> 'invalid') AS compared, count(*) FILTER (status IN ('dirty', 'invalid')) AS committed, count(*) + count(*) FILTER (status = 'dirty') AS by_model FROM ({_SHRINK}) WHERE status <> 'retired'")
+def hash_count(spark, sf_dir):
+    return metrics.hash_count(states_of(workloads.series(spark, sf_dir, DAYS[0], 7), workloads.series(spark, sf_dir, DAYS[1], 7), 64))
+
+
+@query("ledger_bytes", f"SELECT count(*) * 16 AS ledger_bytes, CAST(sum(block_len) AS BIGINT) AS state_bytes, {sql_ppm('count(*) * 16', 'sum(block_len)')} AS share_ppm FROM ({SQL_WAVE_STATES})")
+def ledger_bytes(spark, sf_dir):
+    return metrics.ledger_bytes(wave_states(spark, sf_dir), "md5")
+
+
+MAP_DAYS = ["2024-01-02 00:00:00", "2024-01-05 00:00:00", "2024-01-10 00:00:00", "2024-01-15 00:00:00", "2024-01-20 00:00:00", "2024-01-30 00:00:00"]
+
+
+def _versions(spark, sf_dir, base: str) -> DataFrame:
+    pairs = [(MAP_DAYS[k - 1] if base == "previous" else MAP_DAYS[0], t) for k, t in enumerate(MAP_DAYS) if k]
+    return labelled({k + 2: wave_states(spark, sf_dir, t1=a, t2=c).drop("digest") for k, (a, c) in enumerate(pairs)}, "version")
+
+
+def _sql_versions(base: str) -> str:
+    pairs = [(MAP_DAYS[k - 1] if base == "previous" else MAP_DAYS[0], t) for k, t in enumerate(MAP_DAYS) if k]
+    return " UNION ALL ".join(f"SELECT *, {k + 2} AS version FROM ({sql_states(sql_wave(a), sql_wave(c), B)})" for k, (a, c) in enumerate(pairs))
+
+
+def _add_space_time(base: str) -> None:
+    @query(f"space_time_{base}", f"SELECT version, rank, block_ppm FROM ({sql_share(_sql_versions(base), 'version, rank')})")
+    def space_time(spark, sf_dir):
+        return metrics.space_time(_versions(spark, sf_dir, base))
+
+
+for _base in ("previous", "first"):
+    _add_space_time(_base)
+
+_PIVOT = ", ".join(f'max(block_ppm) FILTER (rank = {r}) AS "{r}"' for r in range(16))
+
+
+@query("space_time_pivot", f"SELECT version, {_PIVOT} FROM ({sql_share(_sql_versions('previous'), 'version, rank')}) GROUP BY version")
+def space_time_pivot(spark, sf_dir):
+    return metrics.space_time_map(_versions(spark, sf_dir, "previous"), 16)
+
+
+@query("read_only_datasets", f"SELECT rank, dataset_id FROM ({sql_plasma_states('A', 'many')}) GROUP BY rank, dataset_id HAVING bool_and(status = 'clean')")
+def read_only_datasets(spark, sf_dir):
+    return metrics.read_only(plasma_states(spark, sf_dir, "A", "many"))
+
+
+@query("read_only_blocks", f"SELECT rank, dataset_id, block_no FROM ({_sql_versions('previous')}) WHERE status <> 'retired' GROUP BY rank, dataset_id, block_no HAVING bool_and(status = 'clean')")
+def read_only_blocks(spark, sf_dir):
+    return metrics.read_only(_versions(spark, sf_dir, "previous"), by_block=True)
+
+
+SCENARIOS = {"wave": ("wave", None), "plasma_a_one": ("A", "one"), "plasma_b_one": ("B", "one"), "plasma_b_many": ("B", "many")}
+
+
+def _scenario(spark, sf_dir, name: str) -> DataFrame:
+    config, expose = SCENARIOS[name]
+    return wave_states(spark, sf_dir, 1024) if config == "wave" else plasma_states(spark, sf_dir, config, expose)
+
+
+def _sql_scenario(name: str) -> str:
+    config, expose = SCENARIOS[name]
+    return sql_states(sql_wave(T1), sql_wave(T2), 1024) if config == "wave" else sql_plasma_states(config, expose)
+
+
+def _sql_cdf(name: str) -> str:
+    return f"""SELECT n_bytes, n, {sql_ppm('sum(n) OVER (ORDER BY n_bytes)', 'sum(n) OVER ()')} AS by_count_ppm,
+        {sql_ppm('sum(n * n_bytes) OVER (ORDER BY n_bytes)', 'sum(n * n_bytes) OVER ()')} AS by_bytes_ppm, '{name}' AS scenario
+        FROM (SELECT n_bytes, count(*) AS n FROM ({sql_regions(_sql_scenario(name), 1024)}) GROUP BY n_bytes)"""
+
+
+@query("chunk_cdf", " UNION ALL ".join(_sql_cdf(n) for n in SCENARIOS))
+def chunk_cdf(spark, sf_dir):
+    return labelled({n: metrics.chunk_cdf(regions.merge(_scenario(spark, sf_dir, n), 1024)) for n in SCENARIOS}, "scenario")
+
+
+@query("chunk_quantiles", f"SELECT quantile_disc(n_bytes, 0.25) AS q25, quantile_disc(n_bytes, 0.5) AS q50, quantile_disc(n_bytes, 0.75) AS q75 FROM ({_PLASMA_A})")
+def chunk_quantiles(spark, sf_dir):
+    return metrics.chunk_quantiles(regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024))
+
+
+@query("chunk_quantiles_approximate")
+def chunk_quantiles_approximate(spark, sf_dir):
+    return metrics.chunk_quantiles(regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024), approximate=True)
+
+
+@query("fragmentation", " UNION ALL ".join(f"SELECT count(*) AS n_regions, CAST(sum(n_bytes) AS BIGINT) AS bytes, CAST(sum(n_bytes) // count(*) AS BIGINT) AS mean_bytes, max(n_bytes) AS max_bytes, '{n}' AS scenario FROM ({sql_regions(_sql_scenario(n), 1024)})" for n in SCENARIOS))
+def fragmentation(spark, sf_dir):
+    return labelled({n: metrics.fragmentation(regions.merge(_scenario(spark, sf_dir, n), 1024)) for n in SCENARIOS}, "scenario")
+
+
+@query("state_sizes", f"SELECT rank, count(*) AS n_datasets, CAST(sum(s) AS BIGINT) AS bytes, CAST(sum(s) // count(*) AS BIGINT) AS mean_bytes FROM (SELECT rank, dataset_id, count(*) * 8 AS s FROM ({sql_plasma(0, 'A', 'many')}) GROUP BY rank, dataset_id) GROUP BY ROLLUP (rank)")
+def state_sizes(spark, sf_dir):
+    return metrics.sizes(protect.catalogue(workloads.plasma(spark, sf_dir, 0, "A", "many")))
+
+
+@query("serial_overhead", "SELECT count(*) * 48 AS buffer_bytes, count(*) * 48 AS dataset_bytes, 1000000 AS extra_memory_ppm FROM lineitem")
+def serial_overhead(spark, sf_dir):
+    return metrics.serial_overhead(workloads.plasma(spark, sf_dir, 0, "A", "one"), protect.catalogue(workloads.plasma(spark, sf_dir, 0, "A", "many")))
+
+
+@query("resize_plan", f"""SELECT rank, dataset_id, coalesce(o, 0) AS old_bytes, coalesce(n, 0) AS new_bytes, (coalesce(o, 0) + 63) // 64 AS old_blocks, (coalesce(n, 0) + 63) // 64 AS new_blocks,
+        greatest(0, (coalesce(n, 0) + 63) // 64 - (coalesce(o, 0) + 63) // 64) AS added_blocks FROM (SELECT rank, dataset_id, count(*) * 8 AS o FROM ({sql_series(DAYS[0], 7)}) GROUP BY ALL)
+        FULL OUTER JOIN (SELECT rank, dataset_id, count(*) * 8 AS n FROM ({sql_series(DAYS[1], 7)}) GROUP BY ALL) USING (rank, dataset_id)""")
+def resize_plan(spark, sf_dir):
+    return protect.resize(*(protect.catalogue(workloads.series(spark, sf_dir, t, 7)) for t in DAYS[:2]), 64)
+
+
+# ---- layout of growing files
+
+
+def _sizes(spark, sf_dir):
+    return workloads.series_sizes(spark, sf_dir, DAYS, 7)
+
+
+@query("container_plan", sql_containers())
+def container_plan(spark, sf_dir):
+    return containers.plan(_sizes(spark, sf_dir))
+
+
+@query("container_offsets", sql_placed())
+def container_offsets(spark, sf_dir):
+    return containers.place(containers.plan(_sizes(spark, sf_dir)))
+
+
+@query("chunk_fill", sql_filled())
+def chunk_fill(spark, sf_dir):
+    return containers.fill(containers.plan(_sizes(spark, sf_dir)), _sizes(spark, sf_dir))
+
+
+@query("chunk_meta", f"SELECT rank, version, count(*) AS n_entries, CAST(sum(chunk_bytes) AS BIGINT) AS live, CAST(sum(container_bytes) AS BIGINT) AS room FROM ({sql_filled()}) GROUP BY rank, version")
+def chunk_meta(spark, sf_dir):
+    """Nested metadata blocks, and what a reader gets out of them."""
+    meta = containers.chunk_meta(containers.fill(containers.plan(_sizes(spark, sf_dir)), _sizes(spark, sf_dir)))
+    entries = meta.select("rank", "version", F.inline("entries"))
+    return entries.groupBy("rank", "version").agg(F.count(F.lit(1)).alias("n_entries"), F.sum("chunk_bytes").alias("live"), F.sum("container_bytes").alias("room"))
+
+
+@query("sparsity", f"SELECT version, CAST(sum(container_bytes) AS BIGINT) AS capacity, CAST(sum(chunk_bytes) AS BIGINT) AS live, {sql_ppm('(sum(container_bytes) - sum(chunk_bytes))', 'sum(container_bytes)')} AS empty_ppm FROM ({sql_filled()}) GROUP BY version")
+def sparsity(spark, sf_dir):
+    return metrics.sparsity(containers.fill(containers.plan(_sizes(spark, sf_dir)), _sizes(spark, sf_dir)))
+
+
+@query("extents", f"""SELECT rank, dataset_id, region_no, container_no, file_offset + greatest(start_byte, virtual_start) - virtual_start AS file_offset,
+        least(start_byte + n_bytes, virtual_start + container_bytes) - greatest(start_byte, virtual_start) AS n_bytes
+        FROM ({sql_regions(sql_states(sql_series(DAYS[0], 7), sql_series(DAYS[1], 7), 64), 64)}) JOIN ({sql_placed()}) USING (rank, dataset_id)
+        WHERE start_byte < virtual_start + container_bytes AND start_byte + n_bytes > virtual_start""")
+def extents(spark, sf_dir):
+    states = states_of(workloads.series(spark, sf_dir, DAYS[0], 7), workloads.series(spark, sf_dir, DAYS[1], 7), 64)
+    return containers.extents(regions.merge(states, 64), containers.place(containers.plan(_sizes(spark, sf_dir))))
+
+
+@query("size_history", f"SELECT rank, dataset_id, version, size_bytes, size_bytes - coalesce(lag(size_bytes) OVER (PARTITION BY rank, dataset_id ORDER BY version), 0) AS growth FROM ({sql_sizes(7)})")
+def size_history(spark, sf_dir):
+    return restore.size_history(_sizes(spark, sf_dir))
+
+
+# ---- gathering
+
+_FOLD = f"""WITH RECURSIVE r AS (SELECT *, row_number() OVER (PARTITION BY rank ORDER BY dataset_id, region_no) AS i FROM ({_PLASMA_A})),
+    f AS (SELECT rank, i, n_bytes, CAST(0 AS BIGINT) AS unit_no, n_bytes AS held FROM r WHERE i = 1
+      UNION ALL SELECT r.rank, r.i, r.n_bytes, CASE WHEN held > 4096 THEN unit_no + 1 ELSE unit_no END, CASE WHEN held > 4096 THEN r.n_bytes ELSE held + r.n_bytes END
+      FROM f JOIN r ON r.rank = f.rank AND r.i = f.i + 1)"""
+
+
+@query("gather_pack", _FOLD + " SELECT rank, dataset_id, region_no, start_byte, r.n_bytes, n_blocks, n_invalid, unit_no FROM f JOIN r USING (rank, i)")
+def gather_pack(spark, sf_dir):
+    return gather.pack(regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024), 4096)
+
+
+@query("gather_units", _FOLD + " SELECT rank, unit_no, CAST(sum(n_bytes) AS BIGINT) AS unit_bytes, count(*) AS n_regions FROM f GROUP BY rank, unit_no")
+def gather_units(spark, sf_dir):
+    return gather.units(gather.pack(regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024), 4096))
+
+
+@query("gather_cutline", f"SELECT *, CAST((sum(n_bytes) OVER (PARTITION BY rank ORDER BY dataset_id, region_no) - n_bytes) // 4096 AS BIGINT) AS unit_no FROM ({_PLASMA_A})")
+def gather_cutline(spark, sf_dir):
+    return gather.pack(regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024), 4096, "cutline")
+
+
+# ---- experiments: shares over parameters
+
+
+def _sql_ladder(percent: int, b: int = B) -> str:
+    per = b // 8
+    base = sql_wave("2100-01-01 00:00:00", 1)
+    return sql_states(base, f"SELECT rank, dataset_id, pos, cell + CASE WHEN pos % {per} = 0 AND ((pos // {per}) * 37) % 100 < {percent} THEN 1 ELSE 0 END AS cell FROM ({base})", b)
+
+
+@query("ladder_shares", " UNION ALL ".join(f"SELECT *, {p} AS percent FROM ({sql_share(_sql_ladder(p))})" for p in LADDER))
+def ladder_shares(spark, sf_dir):
+    base = workloads.wave(spark, sf_dir, "2100-01-01 00:00:00", 1)
+    return labelled({p: metrics.dirty_share(states_of(base, workloads.ladder(spark, sf_dir, p, B), B)) for p in LADDER}, "percent")
+
+
+SWEEP = [1 << k for k in range(7, 16)]
+
+
+@query("block_sweep_wave", " UNION ALL ".join(f"SELECT *, {b} AS b FROM ({sql_share(sql_states(sql_wave(T1, 1), sql_wave(T2, 1), b))})" for b in SWEEP))
+def block_sweep_wave(spark, sf_dir):
+    return labelled({b: metrics.dirty_share(wave_states(spark, sf_dir, b, ranks=1)) for b in SWEEP}, "b")
+
+
+WEEK = ("1998-01-01 00:00:00", "1998-01-08 00:00:00")
+
+
+@query("block_sweep_scatter", " UNION ALL ".join(f"SELECT *, {b} AS b FROM ({sql_share(sql_states(sql_scatter(WEEK[0]), sql_scatter(WEEK[1]), b))})" for b in SWEEP))
+def block_sweep_scatter(spark, sf_dir):
+    before, after = (settled(workloads.scatter(spark, sf_dir, d), "scatter") for d in WEEK)
+    return labelled({b: metrics.dirty_share(states_of(before, after, b)) for b in SWEEP}, "b")
+
+
+GRID = [("A", "many", "column"), ("A", "one", "column"), ("A", "one", "row"), ("B", "many", "column"), ("B", "one", "column"), ("B", "one", "row")]
+
+
+@query("plasma_grid", " UNION ALL ".join(f"SELECT *, '{'_'.join(g)}' AS variant FROM ({sql_share(sql_plasma_states(*g))})" for g in GRID))
+def plasma_grid(spark, sf_dir):
+    """Every exposure and layout of both configurations."""
+    return labelled({"_".join(g): metrics.dirty_share(plasma_states(spark, sf_dir, *g)) for g in GRID}, "variant")
+
+
+_HEAT0 = "SELECT vec_id AS r, i - 1 AS c, CASE WHEN vec_id % 50 = 0 THEN abs(CAST(round(CAST(embedding[i] AS DOUBLE) * 1000000) AS BIGINT)) ELSE 0 END AS v FROM embeddings, (SELECT unnest(range(1, 65)) AS i)"
+
+
+def _sql_heat(t: int) -> str:
+    grid = _HEAT0
+    for _ in range(t):
+        near = f"""SELECT r, c, v, lag(v) OVER (PARTITION BY c ORDER BY r) AS n, lead(v) OVER (PARTITION BY c ORDER BY r) AS s,
+            lag(v) OVER (PARTITION BY r ORDER BY c) AS w, lead(v) OVER (PARTITION BY r ORDER BY c) AS e FROM ({grid})"""
+        grid = f"SELECT r, c, CASE WHEN n IS NULL OR s IS NULL OR w IS NULL OR e IS NULL THEN v ELSE (n + s + w + e) // 4 END AS v FROM ({near})"
+    return f"SELECT CAST(r // 25 AS INTEGER) AS rank, 'grid' AS dataset_id, (r % 25) * 64 + c AS pos, CAST(v AS BIGINT) AS cell FROM ({grid})"
+
+
+@query("stencil_step", _sql_heat(1))
+def stencil_step(spark, sf_dir):
+    return workloads.heat(spark, sf_dir, 1)
+
+
+@query("heat_shares", sql_share(sql_states(_sql_heat(1), _sql_heat(3), 512), "rank"))
+def heat_shares(spark, sf_dir):
+    return metrics.dirty_share(states_of(workloads.heat(spark, sf_dir, 1), workloads.heat(spark, sf_dir, 3), 512), "rank")
+
+
+@query("domain_shares", f"""WITH d AS ({' UNION ALL '.join(f"SELECT CAST((user_id + {k}) % 5 AS INTEGER) AS domain, {k} AS step FROM events WHERE ts <= TIMESTAMP '{t}'" for k, t in zip((5, 10, 20, 30), DAYS))}) SELECT domain, step, count(*) AS particles FROM d GROUP BY ALL""")
+def domain_shares(spark, sf_dir):
+    counts = {k: workloads.domains(spark, sf_dir, t, k).groupBy(F.col("rank").alias("domain")).agg(F.count(F.lit(1)).alias("particles")) for k, t in zip((5, 10, 20, 30), DAYS)}
+    return labelled(counts, "step")
+
+
+def _sql_domain(t: str, day: int) -> str:
+    return f"SELECT CAST((user_id + {day}) % 5 AS INTEGER) AS rank, 'particles' AS dataset_id, row_number() OVER (PARTITION BY (user_id + {day}) % 5 ORDER BY event_id) - 1 AS pos, CAST(round(value * 100) AS BIGINT) AS cell FROM events WHERE ts <= TIMESTAMP '{t}'"
+
+
+@query("domain_states", f"SELECT status, count(*) AS n FROM ({sql_states(_sql_domain(DAYS[0], 5), _sql_domain(DAYS[1], 10), 256)}) GROUP BY status")
+def domain_states(spark, sf_dir):
+    return states_of(workloads.domains(spark, sf_dir, DAYS[0], 5), workloads.domains(spark, sf_dir, DAYS[1], 10), 256).groupBy("status").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("turn_sizes", " UNION ALL ".join(f"SELECT conv_id, {k} AS last_turn, octet_length(encode(string_agg(coalesce(text, ''), '' ORDER BY turn))) AS bytes FROM conversations WHERE turn <= {k} GROUP BY conv_id" for k in (0, 2, 7)))
+def turn_sizes(spark, sf_dir):
+    return labelled({k: workloads.turns(spark, sf_dir, k).select("conv_id", F.octet_length("payload").cast("bigint").alias("bytes")) for k in (0, 2, 7)}, "last_turn")
+
+
+@query("doc_edits", """WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS o, CASE WHEN doc_id % 97 = 0 THEN '23' || substr(hex(encode(coalesce(text, ''))), 3) WHEN doc_id = 1 THEN '23' || hex(encode(coalesce(text, ''))) ELSE hex(encode(coalesce(text, ''))) END AS n FROM documents),
+    b AS (SELECT doc_id, unnest(range((greatest(length(o), length(n)) + 2047) // 2048)) AS k, o, n FROM d)
+    SELECT doc_id, count(*) FILTER (substr(o, CAST(k * 2048 + 1 AS BIGINT), 2048) <> substr(n, CAST(k * 2048 + 1 AS BIGINT), 2048)) AS n_changed FROM b GROUP BY doc_id HAVING n_changed > 0""")
+def doc_edits(spark, sf_dir):
+    """Edited documents and how many of their blocks differ: one byte replaced changes one, one byte inserted all behind it."""
+    old, new = (blocks.cut_records(workloads.docs(spark, sf_dir, v), "doc_id", "payload", 1024).select("doc_id", "block_no", F.md5("payload").alias(f"d{v}")) for v in (1, 2))
+    return old.join(new, ["doc_id", "block_no"], "full_outer").where(~F.col("d1").eqNullSafe(F.col("d2"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_changed"))
+
+
+# ---- baselines
+
+_NOOP = sql_lines("CAST(round(l_discount * 100) AS BIGINT)", "discount")
+_NOOP_NEW = f"SELECT rank, dataset_id, pos, cell + CASE WHEN (pos * 8 // 256) % 40 = 0 THEN 1 ELSE 0 END AS cell FROM ({_NOOP})"
+
+
+@query("noop_writes", f"""SELECT count(*) AS n_blocks, count(*) FILTER (block_no % 4 = 0) AS n_touched, count(*) FILTER (status = 'dirty') AS n_dirty FROM ({sql_states(_NOOP, _NOOP_NEW, 256)})""")
+def noop_writes(spark, sf_dir):
+    """Blocks that were written and blocks that really changed."""
+    before, log, after = workloads.noop_blocks(spark, sf_dir, 256)
+    states = states_of(before, after, 256)
+    counts = states.agg(F.count(F.lit(1)).alias("n_blocks"), F.count_if(F.col("status") == "dirty").alias("n_dirty"))
+    return counts.crossJoin(baselines.touched(log, 256).agg(F.count(F.lit(1)).alias("n_touched")))
+
+
+@query("touched_then_hash", f"SELECT rank, dataset_id, block_no, block_len, status FROM ({sql_states(_NOOP, _NOOP_NEW, 256)}) WHERE block_no % 4 = 0")
+def touched_then_hash(spark, sf_dir):
+    before, log, after = workloads.noop_blocks(spark, sf_dir, 256)
+    return baselines.touched_then_hash(log, before, after, 256).drop("digest")
+
+
+def _sql_several(longer: bool) -> str:
+    parts = [f"SELECT 0 AS rank, '{n}' AS dataset_id, row_number() OVER (ORDER BY {k}) - 1 AS pos, CAST(round({v} * 100) AS BIGINT) AS cell FROM {t}" for n, t, k, v in (("a_customer", "customer", "c_custkey", "c_acctbal"), ("b_part", "part", "p_partkey", "p_retailprice"), ("c_supplier", "supplier", "s_suppkey", "s_acctbal"))]
+    if longer:
+        parts.append("SELECT 0, 'a_customer', (SELECT count(*) FROM customer) + i, i FROM (SELECT unnest(range(5)) AS i)")
+    return " UNION ALL ".join(parts)
+
+
+def _sql_memory(cells: str) -> str:
+    return f"""SELECT rank, 'memory' AS dataset_id, start + pos AS pos, cell FROM ({cells}) JOIN (SELECT rank, dataset_id, CAST(sum(n) OVER (PARTITION BY rank ORDER BY dataset_id) - n AS BIGINT) AS start
+        FROM (SELECT rank, dataset_id, count(*) AS n FROM ({cells}) GROUP BY rank, dataset_id)) USING (rank, dataset_id)"""
+
+
+_BY_DATASET, _BY_ADDRESS = sql_states(_sql_several(False), _sql_several(True), 512), sql_states(_sql_memory(_sql_several(False)), _sql_memory(_sql_several(True)), 512)
+
+
+@query("relocation", " UNION ALL ".join(f"SELECT '{n}' AS tracked_by, status, count(*) AS n FROM ({s}) GROUP BY status" for n, s in (("dataset", _BY_DATASET), ("address", _BY_ADDRESS))))
+def relocation(spark, sf_dir):
+    """One dataset grows: by dataset little changes, by memory address all that lies behind it."""
+    before, after = workloads.several(spark, sf_dir), workloads.several(spark, sf_dir, longer=True)
+    by = {"dataset": states_of(before, after, 512), "address": baselines.page_hash(baselines.address_space(before), baselines.address_space(after), 512)}
+    return labelled({k: s.groupBy("status").agg(F.count(F.lit(1)).alias("n")) for k, s in by.items()}, "tracked_by")
+
+
+@query("early_commit_loses", f"SELECT rank, dataset_id, block_no FROM ({SQL_WAVE_STATES}) WHERE status IN ('dirty', 'invalid')")
+def early_commit_loses(spark, sf_dir):
+    return baselines.early_commit_loses(workloads.wave(spark, sf_dir, T1), workloads.wave(spark, sf_dir, T2), B)
+
+
+@query("all_dirty", f"SELECT CASE WHEN status = 'clean' THEN 'dirty' ELSE status END AS status, count(*) AS n FROM ({SQL_WAVE_STATES}) GROUP BY 1")
+def all_dirty(spark, sf_dir):
+    before, after = (blocks.cut(workloads.wave(spark, sf_dir, t), B) for t in (T1, T2))
+    return tracker.classify(after, tracker.create_ledger(before), force_dirty=True).groupBy("status").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("false_clean", " UNION ALL ".join(f"SELECT '{a}' AS algo, count(*) FILTER (status = 'dirty') AS n_changed, 0 AS n_missed FROM ({SQL_WAVE_STATES})" for a in ("md5", "crc32")))
+def false_clean(spark, sf_dir):
+    """Changed blocks, and those that a digest does not see as such."""
+    before, after = workloads.wave(spark, sf_dir, T1), workloads.wave(spark, sf_dir, T2)
+    exact = states_of(before, after, B, "exact")
+    return labelled({a: metrics.false_clean(states_of(before, after, B, a), exact) for a in ("md5", "crc32")}, "algo")
+
+
+# ---- collision test
+
+
+def _sql_element(it: str, i: str, seed: int = 42) -> str:
+    low = f"((((({it} * 7919 + {i} * 104729 + {seed}) * 48271) % 2147483647) * 1103515245 + 12345) % 2147483647)"
+    high = f"((((({it} * 15485863 + {i} * 32452843 + {seed}) * 16807) % 2147483629) * 69621 + 7) % 2147483629)"
+    return f"xor({high} << 32, {low})"
+
+
+def _sql_collisions(b: int, n: int) -> str:
+    base = f"SELECT it AS rank, 'x' AS dataset_id, i AS pos, {_sql_element('it', 'i')} AS cell FROM (SELECT unnest(range({n})) AS it), (SELECT unnest(range({b // 8})) AS i)"
+    parts = []
+    for name, mask in collision.PATTERNS["bits"].items():
+        change = str(mask) if mask is not None else _sql_element("rank", "CAST(1048576 AS BIGINT)")
+        flipped = f"SELECT rank, dataset_id, pos, xor(cell, {change}) AS cell FROM ({base})"
+        for algo in ("adler32", "fletcher32_65535", "fletcher32_65536"):
+            parts.append(f"""SELECT '{algo}' AS algo, {b} AS b, '{name}' AS pattern, count(*) AS n_iter, count(*) FILTER (x.{algo} = y.{algo}) AS hits,
+                count(*) FILTER (x.{algo} = y.{algo}) * 1000000000 // count(*) AS per_billion FROM ({sql_weak(base, b)}) x JOIN ({sql_weak(flipped, b)}) y USING (rank)""")
+    return " UNION ALL ".join(parts)
+
+
+@query("collision_rates", _sql_collisions(128, 2000))
+def collision_rates(spark, sf_dir):
+    return collision.run(spark, 128, 2000, ("adler32", "fletcher32_65535", "fletcher32_65536"), generator="linear")
+
+
+@query("collision_strong", " UNION ALL ".join(f"SELECT '{a}' AS algo, 128 AS b, '{p}' AS pattern, 2000 AS n_iter, 0 AS hits, 0 AS per_billion" for a in ("crc32", "md5") for p in collision.PATTERNS["bits"]))
+def collision_strong(spark, sf_dir):
+    return collision.run(spark, 128, 2000, ("crc32", "md5"))
+
+
+@query("collision_real_data")
+def collision_real_data(spark, sf_dir):
+    """Buffers are blocks of real prices."""
+    cells = workloads.scatter(spark, sf_dir, "2100-01-01 00:00:00")
+    given = cells.groupBy(F.expr("pos div 16").alias("iteration")).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "cell"))), lambda s: s["cell"]).alias("xs")).where(F.size("xs") == 16)
+    return collision.run(spark, 128, 0, given=given)
+
+
+@query("collision_grid", " UNION ALL ".join(f"SELECT {b} AS b, '{p}' AS pattern, {m if m is not None else 'CAST(NULL AS BIGINT)'} AS mask FROM (SELECT 1)" for b in collision.SIZES for p, m in collision.PATTERNS["literal"].items()))
+def collision_grid(spark, sf_dir):
+    return collision.grid(spark, patterns="literal")
+
+
+# ---- cost model
+
+
+@query("model_ladder", f"""WITH l AS ({ORACLE_SQL['ladder_shares']}) SELECT percent, n_blocks, n_written,
+        CAST(round(1e9 * (0.029 - 1 + (n_written / n_blocks) * 1.029)) AS BIGINT) AS predicted_ppb, CAST(round(1e9 * ((n_blocks - n_written) * 0.00135)) AS BIGINT) AS saving_ns,
+        CAST(round(1e9 * ((n_blocks + n_written) * 0.0000392)) AS BIGINT) AS overhead_ns FROM l""")
+def model_ladder(spark, sf_dir):
+    """What the model says at each share, with the published seconds for writing and hashing a block."""
+    n, d = F.col("n_blocks"), F.col("n_written")
+    return ladder_shares(spark, sf_dir).select(
+        "percent", "n_blocks", "n_written",
+        F.round(1e9 * costmodel.speedup(d / n, F.lit(0.029).cast("double"))).cast("bigint").alias("predicted_ppb"),
+        F.round(1e9 * costmodel.saving(n, d, F.lit(0.00135).cast("double"))).cast("bigint").alias("saving_ns"),
+        F.round(1e9 * costmodel.overhead(n, d, F.lit(0.0000392).cast("double"))).cast("bigint").alias("overhead_ns"),
+    )
+
+
+@query("break_even_grid", """SELECT r AS rho_permille, CASE WHEN r < 1000 THEN CAST(round(1e9 * (1 - r / 1000) / (1 + r / 1000)) AS BIGINT) END AS dirty_ppb,
+        CASE WHEN r < 1000 THEN CAST(round(1e9 * (1 - (1 - r / 1000) / (1 + r / 1000))) AS BIGINT) END AS clean_ppb, CAST(round(1e9 * 2 * r / 1000) AS BIGINT) AS worst_ppb FROM (SELECT unnest(range(1, 1100, 7)) AS r)""")
+def break_even_grid(spark, sf_dir):
+    rho = F.col("rho_permille") / 1000
+    return spark.range(1, 1100, 7).select(F.col("id").alias("rho_permille")).select(
+        "rho_permille", F.round(1e9 * costmodel.break_even(rho)).cast("bigint").alias("dirty_ppb"), F.round(1e9 * costmodel.break_even(rho, kind="clean")).cast("bigint").alias("clean_ppb"),
+        F.round(1e9 * costmodel.worst_case(F.lit(1.0), rho)).cast("bigint").alias("worst_ppb"),
+    )
+
+
+@query("skew_bracket", f"""WITH s AS ({ORACLE_SQL['rank_skew']}) SELECT CAST(round(1e6 * (0.029 - 1 + mean_ppm / 1e6 * 1.029)) AS BIGINT) AS optimistic_ppm, CAST(round(1e6 * (0.029 - 1 + most_ppm / 1e6 * 1.029)) AS BIGINT) AS pessimistic_ppm FROM s""")
+def skew_bracket(spark, sf_dir):
+    low, high = costmodel.speedup_bounds(F.col("mean_ppm") / 1e6, F.col("most_ppm") / 1e6, F.lit(0.029).cast("double"))
+    return rank_skew(spark, sf_dir).select(F.round(1e6 * low).cast("bigint").alias("optimistic_ppm"), F.round(1e6 * high).cast("bigint").alias("pessimistic_ppm"))
+
+
+@query("sampled_share", sql_share(f"SELECT * FROM ({sql_states(_NOOP, _NOOP_NEW, 256)}) WHERE (block_no * 2654435761 + rank * 40503) % 8 = 0"))
+def sampled_share(spark, sf_dir):
+    """The share estimated from one block in eight, which decides between full and differential."""
+    before, _, after = workloads.noop_blocks(spark, sf_dir, 256)
+    old, new = (metrics.sampled_share(blocks.cut(x, 256), 8) for x in (before, after))
+    return metrics.dirty_share(tracker.classify(new, tracker.create_ledger(old)))
+
+
+# ---- versions, restart, levels
+
+
+def _store(spark, b: int = B, **options) -> BlockStore:
+    return BlockStore(spark, fresh_folder(spark, "store"), b, bucket_blocks=8, **options)
+
+
+def _two_versions(spark, sf_dir, mode: str, **options) -> BlockStore:
+    store = _store(spark, **options)
+    for t in (T1, T2):
+        engine.checkpoint(workloads.wave(spark, sf_dir, t), store, mode, gather_target=2048)
+    return store
+
+
+def _add_restores() -> None:
+    for mode in ("copy_on_write", "delta_chain", "buffered", "full"):
+
+        @query(f"restore_{mode}", sql_wave(T2))
+        def restored(spark, sf_dir, mode=mode):
+            return restore.read(_two_versions(spark, sf_dir, mode))
+
+
+_add_restores()
+
+
+@query("restore_first_version", sql_wave(T1))
+def restore_first_version(spark, sf_dir):
+    return restore.read(_two_versions(spark, sf_dir, "copy_on_write"), 1)
+
+
+@query("restore_one_rank", f"SELECT * FROM ({sql_wave(T2)}) WHERE rank = 3")
+def restore_one_rank(spark, sf_dir):
+    """Only the files of one rank are read."""
+    return restore.read(_two_versions(spark, sf_dir, "copy_on_write"), ranks=[3])
+
+
+@query("restore_roundtrip", sql_blocks(sql_wave(T2), B))
+def restore_roundtrip(spark, sf_dir):
+    """Through the data source ``blockstore``."""
+    store = _two_versions(spark, sf_dir, "copy_on_write")
+    datasource.register(spark)
+    read = spark.read.format("blockstore").option("path", store.path).option("version", "2").load()
+    return read.select("rank", "dataset_id", "block_no", "block_len", F.md5("payload").alias("digest"))
+
+
+@query("restore_growth", sql_series(DAYS[1], 7))
+def restore_growth(spark, sf_dir):
+    """Datasets that grew, shrank, appeared and went, with a delta chain."""
+    store = _store(spark, 64)
+    for t in DAYS[:2]:
+        engine.checkpoint(workloads.series(spark, sf_dir, t, 7), store, "delta_chain")
+    return restore.read(store)
+
+
+@query("write_update")
+def write_update(spark, sf_dir):
+    """What each mode writes for the same update."""
+    rows = []
+    for mode in ("copy_on_write", "delta_chain", "buffered", "full"):
+        store = _store(spark)
+        engine.checkpoint(workloads.wave(spark, sf_dir, T1), store)
+        out = engine.checkpoint(workloads.wave(spark, sf_dir, T2), store, mode, gather_target=2048)
+        rows.append((mode, out.total_blocks, out.dirty, out.written_bytes, out.physical_bytes, out.n_regions, *metrics.file_counts(store.manifest(2)).values()))
+    return spark.createDataFrame(rows, "mode string, n_blocks long, n_dirty long, written_bytes long, physical_bytes long, n_regions long, files_referred long, files_written long, metadata_records long")
+
+
+@query("ledger_after_update", f"SELECT rank, dataset_id, block_no, block_len, digest, CASE WHEN status = 'clean' THEN 1 ELSE 2 END AS version FROM ({sql_blocks(sql_wave(T2), B)}) JOIN (SELECT rank, dataset_id, block_no, status FROM ({SQL_WAVE_STATES})) USING (rank, dataset_id, block_no)")
+def ledger_after_update(spark, sf_dir):
+    ledger = _two_versions(spark, sf_dir, "copy_on_write").ledger(2)
+    return ledger.select("rank", "dataset_id", "block_no", "block_len", F.lower(F.hex("digest")).alias("digest"), "version")
+
+
+@query("verify_version", f"SELECT rank, block_no // 8 AS bucket, true AS ok FROM ({sql_blocks(sql_wave(T2), B)}) GROUP BY rank, block_no // 8")
+def verify_version(spark, sf_dir):
+    return restore.verify(_two_versions(spark, sf_dir, "copy_on_write"), 2).select("rank", "bucket", "ok")
+
+
+@query("version_diff_sets", f"""WITH a AS (SELECT rank, dataset_id, block_no, digest FROM ({sql_blocks(sql_wave(T1), B)})), c AS (SELECT rank, dataset_id, block_no, digest FROM ({sql_blocks(sql_wave(T2), B)}))
+    SELECT 'both' AS part, count(*) AS n FROM (SELECT * FROM a INTERSECT SELECT * FROM c) UNION ALL SELECT 'gone', count(*) FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM c) UNION ALL SELECT 'new', count(*) FROM (SELECT * FROM c EXCEPT ALL SELECT * FROM a)""")
+def version_diff_sets(spark, sf_dir):
+    a, c = (tracker.hashed(blocks.cut(workloads.wave(spark, sf_dir, t), B)).drop("block_len") for t in (T1, T2))
+    return labelled({n: s.agg(F.count(F.lit(1)).alias("n")) for n, s in (("both", a.intersect(c)), ("gone", a.exceptAll(c)), ("new", c.exceptAll(a)))}, "part")
+
+
+@query("asof_version", "SELECT o_orderdate AS asked_at, max(v) AS version FROM (SELECT DISTINCT o_orderdate FROM orders) LEFT JOIN (SELECT k AS v, TIMESTAMP '1995-01-01' + to_days(CAST(200 * k AS INTEGER)) AS t FROM (SELECT unnest(range(1, 11)) AS k)) ON t <= o_orderdate GROUP BY o_orderdate")
+def asof_version(spark, sf_dir):
+    """The version in force at each order date, of ten that were committed every 200 days."""
+    committed = spark.range(1, 11).select(F.col("id").alias("version"), (F.lit("1995-01-01").cast("timestamp_ntz") + F.make_dt_interval(F.col("id").cast("int") * 200)).alias("committed_at"))
+    return restore.asof(F.broadcast(committed), table(spark, sf_dir, "orders").select(F.col("o_orderdate").alias("asked_at")).distinct())
+
+
+@query("seal_missing", "SELECT DISTINCT CAST(l_suppkey % 10 AS INTEGER) AS rank, d || '_0' AS dataset_id FROM lineitem, (SELECT unnest(['discount', 'tax', 'shipdate']) AS d)")
+def seal_missing(spark, sf_dir):
+    """Datasets that an incomplete version still waits for."""
+    store = _store(spark, 1024)
+    store.open_version(1)
+    for part in workloads.arrivals(spark, sf_dir)[:5]:
+        store.add(1, blocks.cut(part, 1024))
+    return store.missing(1, protect.catalogue(workloads.plasma(spark, sf_dir, 0, "B", "many")))
+
+
+@query("incremental_version", sql_plasma(0, "B", "many"))
+def incremental_version(spark, sf_dir):
+    """A version that is completed dataset by dataset, restored."""
+    store = _store(spark, 1024)
+    store.open_version(1)
+    for part in workloads.arrivals(spark, sf_dir):
+        store.add(1, blocks.cut(part, 1024))
+    state = workloads.plasma(spark, sf_dir, 0, "B", "many")
+    store.seal(1, protect.catalogue(state), tracker.create_ledger(blocks.cut(state, 1024), version=1))
+    return restore.read(store)
+
+
+@query("parity_cells", f"SELECT CAST(rank // 4 AS INTEGER) AS group_no, dataset_id, pos, bit_xor(cell) AS cell FROM ({sql_wave(T2)}) GROUP BY rank // 4, dataset_id, pos")
+def parity_cells(spark, sf_dir):
+    return levels.parity(workloads.wave(spark, sf_dir, T2), 4)
+
+
+@query("parity_rebuild", f"SELECT * FROM ({sql_wave(T2)}) WHERE rank = 5")
+def parity_rebuild(spark, sf_dir):
+    """Rank 5 is lost and comes back from its group's parity and survivors."""
+    cells = workloads.wave(spark, sf_dir, T2)
+    size = cells.where("rank = 5").groupBy("dataset_id").agg(F.count(F.lit(1)).alias("n_cells"))
+    return levels.rebuild(levels.parity(cells, 4), cells.where("rank <> 5"), 5, 4, size)
+
+
+# ---- streaming
+
+
+@query("stream_daily", "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS cells FROM events GROUP BY 1")
+def stream_daily(spark, sf_dir):
+    stream = epochs.changed_cells_by_day(epochs.read_events(spark, epochs.daily_files(spark, sf_dir)))
+    return epochs.drained(stream, "daily", "complete").groupBy("day").agg(F.max_by("cells", "epoch").alias("cells"))
+
+
+@query("stream_sliding", "SELECT u AS until, count(*) * 8 AS bytes FROM (SELECT unnest(generate_series(date_trunc('day', ts)::TIMESTAMP + INTERVAL 1 DAY, date_trunc('day', ts)::TIMESTAMP + INTERVAL 7 DAY, INTERVAL 1 DAY)) AS u FROM events) GROUP BY u")
+def stream_sliding(spark, sf_dir):
+    stream = epochs.live_cells(epochs.read_events(spark, epochs.daily_files(spark, sf_dir)))
+    return epochs.drained(stream, "sliding", "update").groupBy("until").agg(F.max_by("bytes", "epoch").alias("bytes"))
+
+
+@query("stream_sessions")
+def stream_sessions(spark, sf_dir):
+    return epochs.drained(epochs.bursts(epochs.read_events(spark, epochs.daily_files(spark, sf_dir)).withWatermark("at", "1 day")), "sessions")
+
+
+@query("stream_dedup", "SELECT event_id FROM events")
+def stream_dedup(spark, sf_dir):
+    """Every file is delivered twice; each event counts once."""
+    path = epochs.daily_files(spark, sf_dir)
+    spark.read.parquet(path).drop("day").withColumn("day", F.date_format("ts", "yyyy-MM-dd")).repartition("day").write.mode("append").partitionBy("day").parquet(path)
+    return epochs.drained(epochs.once(epochs.read_events(spark, path, 8), "40 days").select("event_id"), "dedup")
+
+
+@query("stream_static_join", "SELECT event_id, CAST((event_id * 16) // n AS INTEGER) AS rank FROM events, (SELECT count(*) AS n FROM events)")
+def stream_static_join(spark, sf_dir):
+    """The stream against the catalogue of ranks."""
+    n = max(1, table(spark, sf_dir, "events").count())
+    ranks = spark.range(16).select(F.col("id").cast("int").alias("rank"))
+    stream = epochs.read_events(spark, epochs.daily_files(spark, sf_dir)).withColumn("r", F.expr(f"event_id * 16 div {n}").cast("int"))
+    return epochs.drained(stream.join(F.broadcast(ranks), F.col("r") == F.col("rank")).select("event_id", "rank"), "static")
+
+
+@query("stream_acknowledged", "SELECT event_id, CAST(epoch(date_trunc('second', ts)) AS BIGINT) + 60 AS acked_s FROM events WHERE event_id % 2 = 0")
+def stream_acknowledged(spark, sf_dir):
+    path = epochs.daily_files(spark, sf_dir)
+    acks = epochs.read_events(spark, path).where("event_id % 2 = 0").select("event_id", (F.col("at") + F.expr("INTERVAL 1 MINUTE")).alias("acked"))
+    return epochs.drained(epochs.acknowledged(epochs.read_events(spark, path), acks), "acked")
+
+
+@query("stream_epochs")
+def stream_epochs(spark, sf_dir):
+    return epochs.epoch_shares(spark, sf_dir)
+
+
+@query("stream_keyed_state", "SELECT user_id, count(*) AS seen FROM events GROUP BY user_id")
+def stream_keyed_state(spark, sf_dir):
+    stream = epochs.keyed_digests(epochs.read_events(spark, epochs.daily_files(spark, sf_dir), 10))
+    return epochs.drained(stream, "keyed").groupBy("user_id").agg(F.max("seen").alias("seen"))
