@@ -31,6 +31,8 @@ from .common import map_batches, staged
 
 #: Discount of every count, letters of a beginning, least count of a beginning among toxic words, and parts of these that count.
 DISCOUNT, LONGEST, LEAST, RESOLUTION = 2.0, 12, 3, 200_000
+#: Folds that are learnt from, and bits of the filter that tells which texts may have a label.
+FOLDS, FILTER_BITS = (0, 1, 3), 20
 #: A word's weight is clear beyond this.
 CLEAR = 2.0
 #: Training texts that the logistic curve is fitted to, about.
@@ -75,48 +77,53 @@ def evidence(text: str | None, weights: WordWeights) -> tuple[float, float, floa
 
 
 def _word_counts(train: DataFrame) -> DataFrame:
-    """(word, fold, n0, n1) of (text, toxic, fold), one row for each word and task before the sum."""
+    """(word, n0_f and n1_f for each training fold f) of (text, toxic, fold); one row for each word and task before the sum."""
+    names = [f"n{y}_{f}" for f in FOLDS for y in (0, 1)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: dict[tuple[int, int], Counter] = {}
+        counts: dict[str, Counter] = {}
 
         def out() -> pa.RecordBatch:
-            rows = [(w, f, n if y == 0 else 0, n if y == 1 else 0) for (f, y), c in counts.items() for w, n in c.items()]
-            return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.string() if k == 0 else pa.int64()) for k in range(4)], names=["word", "fold", "n0", "n1"])
+            words = list(set().union(*counts.values()))
+            columns = [pa.array([counts[n][w] for w in words] if n in counts else np.zeros(len(words), np.int64), pa.int64()) for n in names]
+            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *columns], names=["word", *names])
 
         for batch in batches:
             for text, toxic, part in zip(*(batch.column(k) for k in range(3))):
-                counts.setdefault((part.as_py(), toxic.as_py()), Counter()).update(WORD.findall((text.as_py() or "").lower()))
+                counts.setdefault(f"n{toxic.as_py()}_{part.as_py()}", Counter()).update(WORD.findall((text.as_py() or "").lower()))
             if sum(map(len, counts.values())) > KEPT_WORDS:
                 yield out()
                 counts.clear()
         if counts:
             yield out()
 
-    counted = map_batches(train.select("text", "toxic", "fold"), run, "word string, fold long, n0 long, n1 long")
-    return counted.groupBy("word", "fold").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    counted = map_batches(train.select("text", "toxic", "fold"), run, "word string, " + ", ".join(f"{n} long" for n in names))
+    return staged(counted.groupBy("word").agg(*[F.sum(n).alias(n) for n in names]), "toxicity-words")
 
 
-def _nodes(words: DataFrame, parts: list[int]) -> tuple[list, Counter, Counter]:
+def _nodes(words: DataFrame) -> tuple[list, Counter, Counter]:
     """The frequent beginnings with their counts by fold, and the number of different next letters after each, by class."""
-    by = [F.sum(F.when(F.col("fold") == f, F.col(c)).otherwise(0)).alias(f"{c}_{f}") for f in parts for c in ("n0", "n1")]
+    n0, n1 = (sum((F.col(f"n{y}_{f}") for f in FOLDS), F.lit(0)) for y in (0, 1))
     marked = F.concat(F.lit("^"), F.col("word"), F.lit("$"))
     size = F.length(marked)
     starts = F.transform(F.sequence(F.lit(1), F.least(size, F.lit(LONGEST))), lambda k: F.substring(marked, F.lit(1), k))
     starts = F.when(size > LONGEST, F.array_append(starts, marked)).otherwise(starts)
-    nodes = words.select("fold", "n0", "n1", F.explode(starts).alias("node")).groupBy("node").agg(*by)
-    n0, n1 = (sum((F.col(f"{c}_{f}") for f in parts), F.lit(0)) for c in ("n0", "n1"))
-    nodes = staged(nodes.withColumns({"n0": n0, "n1": n1}), "toxicity-nodes")
-    top = nodes.where("node = '^'").first()
-    if top is None:
+    total = words.agg(F.sum(n1)).first()[0] or 0
+    if not total:
         return [], Counter(), Counter()
-    least = max(LEAST, -(-top["n1"] // RESOLUTION))
-    frequent = nodes.where(F.col("n1") >= least)
+    least = max(LEAST, -(-total // RESOLUTION))
+    toxic = words.where(n1 > 0).select(F.explode(starts).alias("node"), n1.alias("n1"))
+    frequent = staged(toxic.groupBy("node").agg(F.sum("n1").alias("n1")).where(F.col("n1") >= least).select("node"), "toxicity-frequent")
+    # At most RESOLUTION * LONGEST rows, so the rest of the work meets them by broadcast before anything is exchanged.
+    spread = words.select("*", F.explode(starts).alias("node"))
+    names = [c for c in words.columns if c != "word"]
+    counts = spread.join(F.broadcast(frequent), "node", "left_semi").groupBy("node").agg(*[F.sum(n).alias(n) for n in names]).collect()
     up = F.when(F.length("node") > LONGEST, F.substring("node", 1, LONGEST)).otherwise(F.expr("left(node, length(node) - 1)"))
-    kinds = nodes.where("length(node) > 1").groupBy(up.alias("node")).agg(F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1"), F.sum("n1").alias("m1"))
-    kinds = kinds.where(F.col("m1") >= least)
-    spread = {r["node"]: (r["k0"], r["k1"]) for r in kinds.collect()}
-    return frequent.collect(), Counter({k: v[0] for k, v in spread.items()}), Counter({k: v[1] for k, v in spread.items()})
+    below = spread.where("length(node) > 1").select("node", up.alias("parent"), n0.alias("n0"), n1.alias("n1"))
+    below = below.join(F.broadcast(frequent.select(F.col("node").alias("parent"))), "parent", "left_semi")
+    kinds = below.groupBy("parent", "node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    kinds = kinds.groupBy("parent").agg(F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1")).collect()
+    return counts, Counter({r["parent"]: r["k0"] for r in kinds}), Counter({r["parent"]: r["k1"] for r in kinds})
 
 
 def weight_table(counts: dict[str, tuple[float, float]], kinds0: Counter, kinds1: Counter) -> dict[str, float]:
@@ -168,19 +175,40 @@ class ToxicityModel:
         return 1 / (1 + math.exp(-max(-700.0, min(700.0, x))))
 
 
+def _may_have(texts: DataFrame, marks: DataFrame) -> DataFrame:
+    """The rows of ``texts`` (id, text) whose id shares a slot with some mark: fewer texts move to their labels, the join decides."""
+    slot = F.pmod(F.xxhash64(F.lit(6), F.col("id")), F.lit(1 << FILTER_BITS))
+    mask = np.zeros(1 << FILTER_BITS, bool)
+    mask[[r["s"] for r in marks.select(F.col("mark_id").alias("id")).select(slot.alias("s")).distinct().collect()]] = True  # at most 2**FILTER_BITS numbers
+    shared = texts.sparkSession.sparkContext.broadcast(np.packbits(mask))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        wanted = np.unpackbits(shared.value).astype(bool)
+        for batch in batches:
+            kept = batch.filter(pa.array(wanted[batch.column(0).to_numpy()]))
+            yield pa.RecordBatch.from_arrays(kept.columns[1:], names=["id", "text"])
+
+    schema = texts.select("id", "text").schema
+    return map_batches(texts.select(slot.alias("slot"), "id", "text"), run, schema)
+
+
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> ToxicityModel:
     """Learns from the labelled rows whose fold is not 2."""
     marks = labels.select(F.col(id_col).alias("mark_id"), F.col(label_col).cast("int").alias("toxic")).where(F.col("toxic").isin(0, 1) & F.col("mark_id").isNotNull())
     marks = marks.where(fold("mark_id") != 2).groupBy("mark_id").agg(F.max("toxic").cast("long").alias("toxic"))
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).where(fold("id") != 2)
+    texts = _may_have(texts, marks)
     # The fold is taken again from the id, so that no part of the label's row but the label itself comes along.
-    rows = staged(texts.join(marks, F.col("id") == F.col("mark_id")).select("id", "text", "toxic", fold("id").cast("long").alias("fold")), "toxicity-train")
-    parts = [0, 1, 3]
-    nodes, kinds0, kinds1 = _nodes(_word_counts(rows), parts)
+    joined = texts.hint("merge").join(marks, F.col("id") == F.col("mark_id"))
+    rows = staged(joined.select("id", "text", "toxic", fold("id").cast("long").alias("fold")), "toxicity-train")
+    nodes, kinds0, kinds1 = _nodes(_word_counts(rows))
     if not nodes:
         return ToxicityModel({}, np.array([0.0, 0.0, 0.0, -1000.0]))
-    tables = {f: weight_table({r["node"]: (r["n0"] - r[f"n0_{f}"], r["n1"] - r[f"n1_{f}"]) for r in nodes}, kinds0, kinds1) for f in parts}
-    full = weight_table({r["node"]: (r["n0"], r["n1"]) for r in nodes}, kinds0, kinds1)
+
+    def without(left_out: int | None) -> dict[str, float]:
+        return weight_table({r["node"]: tuple(sum(r[f"n{y}_{f}"] for f in FOLDS if f != left_out) for y in (0, 1)) for r in nodes}, kinds0, kinds1)
+
+    tables, full = {f: without(f) for f in FOLDS}, without(None)
     shared = docs.sparkSession.sparkContext.broadcast(tables)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
