@@ -172,7 +172,7 @@ class ToxicityModel:
 
     def score(self, text: str | None, weights: WordWeights) -> float:
         x = float(np.dot(self.curve[:-1], evidence(text, weights)) + self.curve[-1])
-        return 1 / (1 + math.exp(-max(-700.0, min(700.0, x))))
+        return 1 / (1 + math.exp(-x)) if x > -700 else 0.0
 
 
 def _may_have(texts: DataFrame, marks: DataFrame) -> DataFrame:

@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -80,6 +81,7 @@ class TreeBPE:
     """Encoder and decoder around one tokenizer file."""
 
     def __init__(self, path: str, leaf: int = LEAF, window: int = WINDOW):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)

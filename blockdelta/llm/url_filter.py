@@ -4,7 +4,8 @@ Addresses that a rule settles train two Markov models of the next character, one
 one to four characters back are mixed by Witten-Bell weights, from the longest context seen down to an even
 distribution. A context counts if it makes up at least one part in ``RESOLUTION`` of all, so by arithmetic the
 tables have at most ORDER * RESOLUTION rows each and go by broadcast. An address's score is its log-likelihood
-difference per character; addresses of one fold are kept from training, and the cut is set so that the given part of their allowed ones would be blocked.
+difference per character; addresses of one fold are kept from training, and the cut lies midway between what the given part of their
+allowed ones stay below and what the same part of their blocked ones exceed.
 
 Defined cases: a null address, or one without ``://``, has empty host and path; an address without characters scores 0; if one kind has
 no training rows at all the models are silent and allow; an empty table gives no rows; rows repeated under one id are judged each.
@@ -110,7 +111,7 @@ def log_ratio(pages: DataFrame, model: DataFrame) -> DataFrame:
     return rows.groupBy("rid").agg((F.sum("x") / F.count(F.lit(1))).alias("score"))
 
 
-def judge(pages: DataFrame, rules: list[Rule], blocked_share: float = 0.01, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+def judge(pages: DataFrame, rules: list[Rule], tail: float = 0.01, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
     """Per row: id, host, path, rule, verdict and score."""
     host, path = address_parts(F.col(url_col))
     named = pages.select(F.col(id_col).alias("id"), host.alias("host"), path.alias("path"))
@@ -124,7 +125,9 @@ def judge(pages: DataFrame, rules: list[Rule], blocked_share: float = 0.01, id_c
     model = markov_model(known.where(fold != CALIBRATION_FOLD))
     scores = staged(log_ratio(named, model), "url-scores")
     judged = named.join(scores, "rid")
-    held = judged.where((F.col("settled") == "allow") & (fold == CALIBRATION_FOLD))
-    cut = held.agg(F.percentile_approx("score", blocked_share, 10_000)).first()[0]
-    by_model = F.when(F.col("score") < F.lit(cut if cut is not None else 0.0), F.lit("block")).otherwise(F.lit("allow"))
+    held = judged.where(F.col("settled").isNotNull() & (fold == CALIBRATION_FOLD))
+    allowed, blocked = (F.when(F.col("settled") == kind, F.col("score")) for kind in ("allow", "block"))
+    low, high = held.agg(F.percentile_approx(allowed, tail, 10_000), F.percentile_approx(blocked, 1 - tail, 10_000)).first()
+    cut = (low + high) / 2 if low is not None and high is not None else 0.0
+    by_model = F.when(F.col("score") < F.lit(cut), F.lit("block")).otherwise(F.lit("allow"))
     return judged.select(F.col("id").alias(id_col), "host", "path", "rule", F.coalesce("settled", by_model).alias("verdict"), "score")
