@@ -249,7 +249,7 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold
     wanted = staged(map_batches(named, _may_match(t), "a long, b long, min_id_a long, sig_a binary, min_id_b long, sig_b binary"), "join-wanted")
     ids = wanted.select(F.explode(F.array("min_id_a", "min_id_b")).alias("id"))
     mask = np.zeros(1 << FILTER_BITS, bool)
-    mask[[r["s"] for r in ids.select(F.pmod(F.xxhash64("id"), F.lit(1 << FILTER_BITS)).alias("s")).distinct().collect()]] = True  # at most 2**FILTER_BITS numbers
+    mask[ids.select(F.pmod(F.xxhash64("id"), F.lit(1 << FILTER_BITS)).alias("s")).distinct().toArrow().column(0).to_numpy()] = True  # at most 2**FILTER_BITS numbers
     shared = docs.sparkSession.sparkContext.broadcast(np.packbits(mask))
 
     def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import map_batches, staged
 
 #: Discount of every count, letters of a beginning, least count of a beginning among toxic words, and parts of these that count.
-DISCOUNT, LONGEST, LEAST, RESOLUTION = 2.0, 12, 3, 200_000
+DISCOUNT, LONGEST, LEAST, RESOLUTION = 2.0, 12, 3, 50_000
 #: Folds that are learnt from, and bits of the filter that tells which texts may have a label.
 FOLDS, FILTER_BITS = (0, 1, 3), 20
 #: A word's weight is clear beyond this.
@@ -179,7 +179,7 @@ def _may_have(texts: DataFrame, marks: DataFrame) -> DataFrame:
     """The rows of ``texts`` (id, text) whose id shares a slot with some mark: fewer texts move to their labels, the join decides."""
     slot = F.pmod(F.xxhash64(F.lit(6), F.col("id")), F.lit(1 << FILTER_BITS))
     mask = np.zeros(1 << FILTER_BITS, bool)
-    mask[[r["s"] for r in marks.select(F.col("mark_id").alias("id")).select(slot.alias("s")).distinct().collect()]] = True  # at most 2**FILTER_BITS numbers
+    mask[marks.select(F.col("mark_id").alias("id")).select(slot.alias("s")).distinct().toArrow().column(0).to_numpy()] = True  # at most 2**FILTER_BITS numbers
     shared = texts.sparkSession.sparkContext.broadcast(np.packbits(mask))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
