@@ -16,7 +16,7 @@ from .functions.encode import cell_hex, cents, integer, micros_of
 from .operators import blocks, containers, gather, levels, protect, regions, tracker
 from .plans import baselines, collision, engine, metrics, sqlsurface, udfs
 from .session import fresh_folder, settled, table
-from .sources import datasource, restore
+from .sources import datasource, reports, restore
 from .sources.store import BlockStore
 from .streaming import epochs
 
@@ -391,6 +391,21 @@ def largest_by_rank(spark, sf_dir):
     return regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024).withColumn("place", place).where("place = 1").select("rank", "start_byte", "n_bytes")
 
 
+@query("rank_profile", f"""SELECT rank, n_bytes, start_byte, CAST(dense_rank() OVER (PARTITION BY rank ORDER BY n_bytes DESC) AS INTEGER) AS size_rank, CAST(ntile(4) OVER (PARTITION BY rank ORDER BY n_bytes, start_byte) AS INTEGER) AS quarter,
+        first_value(n_bytes) OVER (PARTITION BY rank ORDER BY start_byte) AS first_bytes, nth_value(n_bytes, 2) OVER (PARTITION BY rank ORDER BY start_byte ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second_bytes,
+        lead(start_byte) OVER (PARTITION BY rank ORDER BY start_byte) - start_byte - n_bytes AS gap_after, CAST(floor(1000000 * percent_rank() OVER (PARTITION BY rank ORDER BY n_bytes)) AS BIGINT) AS percent_ppm FROM ({_PLASMA_A})""")
+def rank_profile(spark, sf_dir):
+    """Where each region stands among those of its rank."""
+    merged = regions.merge(plasma_states(spark, sf_dir, "A", "one"), 1024)
+    own = Window.partitionBy("rank")
+    place, size = own.orderBy("start_byte"), own.orderBy("n_bytes")
+    return merged.select(
+        "rank", "n_bytes", "start_byte", F.dense_rank().over(own.orderBy(F.desc("n_bytes"))).alias("size_rank"), F.ntile(4).over(own.orderBy("n_bytes", "start_byte")).alias("quarter"),
+        F.first_value("n_bytes").over(place).alias("first_bytes"), F.nth_value("n_bytes", 2).over(place.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second_bytes"),
+        (F.lead("start_byte").over(place) - F.col("start_byte") - F.col("n_bytes")).alias("gap_after"), F.floor(1000000 * F.percent_rank().over(size)).cast("bigint").alias("percent_ppm"),
+    )
+
+
 # ---- shares and other measures
 
 
@@ -659,13 +674,17 @@ def block_sweep_scatter(spark, sf_dir):
     return labelled({b: metrics.dirty_share(states_of(before, after, b)) for b in SWEEP}, "b")
 
 
-GRID = [("A", "many", "column"), ("A", "one", "column"), ("A", "one", "row"), ("B", "many", "column"), ("B", "one", "column"), ("B", "one", "row")]
+@query("block_sweep_plasma", " UNION ALL ".join(f"SELECT *, {b} AS b FROM ({sql_share(sql_plasma_states('B', 'one', b=b))})" for b in SWEEP))
+def block_sweep_plasma(spark, sf_dir):
+    before, after = (settled(workloads.plasma(spark, sf_dir, s, "B", "one"), "plasma") for s in (0, 1))
+    return labelled({b: metrics.dirty_share(states_of(before, after, b)) for b in SWEEP}, "b")
 
 
-@query("plasma_grid", " UNION ALL ".join(f"SELECT *, '{'_'.join(g)}' AS variant FROM ({sql_share(sql_plasma_states(*g))})" for g in GRID))
-def plasma_grid(spark, sf_dir):
-    """Every exposure and layout of both configurations."""
-    return labelled({"_".join(g): metrics.dirty_share(plasma_states(spark, sf_dir, *g)) for g in GRID}, "variant")
+@query("region_sweep_plasma", " UNION ALL ".join(f"SELECT count(*) AS n_regions, CAST(sum(n_bytes) AS BIGINT) AS bytes, CAST(sum(n_bytes) // count(*) AS BIGINT) AS mean_bytes, max(n_bytes) AS max_bytes, {b} AS b FROM ({sql_regions(sql_plasma_states('B', 'one', b=b), b)})" for b in SWEEP))
+def region_sweep_plasma(spark, sf_dir):
+    """Fragmentation by block size: larger blocks, fewer regions."""
+    before, after = (settled(workloads.plasma(spark, sf_dir, s, "B", "one"), "plasma") for s in (0, 1))
+    return labelled({b: metrics.fragmentation(regions.merge(states_of(before, after, b), b)) for b in SWEEP}, "b")
 
 
 _HEAT0 = "SELECT vec_id AS r, i - 1 AS c, CASE WHEN vec_id % 50 = 0 THEN abs(CAST(round(CAST(embedding[i] AS DOUBLE) * 1000000) AS BIGINT)) ELSE 0 END AS v FROM embeddings, (SELECT unnest(range(1, 65)) AS i)"
@@ -680,6 +699,33 @@ def _sql_heat(t: int) -> str:
     return f"SELECT CAST(r // 25 AS INTEGER) AS rank, 'grid' AS dataset_id, (r % 25) * 64 + c AS pos, CAST(v AS BIGINT) AS cell FROM ({grid})"
 
 
+def _sql_steps(cells: Callable[[int], str], steps: list[int], b: int) -> str:
+    return " UNION ALL ".join(f"SELECT *, {t} AS version FROM ({sql_states(cells(s), cells(t), b)})" for s, t in zip(steps, steps[1:]))
+
+
+def _steps(cells: Callable[[int], DataFrame], steps: list[int], b: int) -> DataFrame:
+    return labelled({t: states_of(cells(s), cells(t), b).drop("digest") for s, t in zip(steps, steps[1:])}, "version")
+
+
+@query("space_time_plasma", f"SELECT version, rank, block_ppm FROM ({sql_share(_sql_steps(lambda s: sql_plasma(s, 'B', 'one'), [0, 1, 2], 1024), 'version, rank')})")
+def space_time_plasma(spark, sf_dir):
+    return metrics.space_time(_steps(lambda s: workloads.plasma(spark, sf_dir, s, "B", "one"), [0, 1, 2], 1024))
+
+
+@query("space_time_heat", f"SELECT version, rank, block_ppm FROM ({sql_share(_sql_steps(lambda t: _sql_heat(t), [1, 2, 3], 512), 'version, rank')})")
+def space_time_heat(spark, sf_dir):
+    return metrics.space_time(_steps(lambda t: workloads.heat(spark, sf_dir, t), [1, 2, 3], 512))
+
+
+GRID = [("A", "many", "column"), ("A", "one", "column"), ("A", "one", "row"), ("B", "many", "column"), ("B", "one", "column"), ("B", "one", "row")]
+
+
+@query("plasma_grid", " UNION ALL ".join(f"SELECT *, '{'_'.join(g)}' AS variant FROM ({sql_share(sql_plasma_states(*g))})" for g in GRID))
+def plasma_grid(spark, sf_dir):
+    """Every exposure and layout of both configurations."""
+    return labelled({"_".join(g): metrics.dirty_share(plasma_states(spark, sf_dir, *g)) for g in GRID}, "variant")
+
+
 @query("stencil_step", _sql_heat(1))
 def stencil_step(spark, sf_dir):
     return workloads.heat(spark, sf_dir, 1)
@@ -859,8 +905,8 @@ def skew_bracket(spark, sf_dir):
     return rank_skew(spark, sf_dir).select(F.round(1e6 * low).cast("bigint").alias("optimistic_ppm"), F.round(1e6 * high).cast("bigint").alias("pessimistic_ppm"))
 
 
-@query("sampled_share", sql_share(f"SELECT * FROM ({sql_states(_NOOP, _NOOP_NEW, 256)}) WHERE (block_no * 2654435761 + rank * 40503) % 8 = 0"))
-def sampled_share(spark, sf_dir):
+@query("sampled_dirty_share", sql_share(f"SELECT * FROM ({sql_states(_NOOP, _NOOP_NEW, 256)}) WHERE (block_no * 2654435761 + rank * 40503) % 8 = 0"))
+def sampled_dirty_share(spark, sf_dir):
     """The share estimated from one block in eight, which decides between full and differential."""
     before, _, after = workloads.noop_blocks(spark, sf_dir, 256)
     old, new = (metrics.sampled_share(blocks.cut(x, 256), 8) for x in (before, after))
@@ -993,6 +1039,36 @@ def parity_rebuild(spark, sf_dir):
     return levels.rebuild(levels.parity(cells, 4), cells.where("rank <> 5"), 5, 4, size)
 
 
+@query("report_formats", f"SELECT f AS format, count(*) AS n, CAST(sum(n_bytes) AS BIGINT) AS bytes FROM ({SQL_WAVE_REGIONS}), (SELECT unnest(['csv', 'json', 'orc']) AS f) GROUP BY f")
+def report_formats(spark, sf_dir):
+    """Regions written as reports in each format and read again."""
+    made = regions.merge(wave_states(spark, sf_dir), B)
+    return labelled({f: reports.read(spark, reports.write(made, f), f, made.schema).agg(F.count(F.lit(1)).alias("n"), F.sum("n_bytes").alias("bytes")) for f in reports.FORMATS}, "format")
+
+
+@query("layout_metadata", f"SELECT m AS meta, rank, count(*) AS n_entries, CAST(sum(container_bytes) AS BIGINT) AS room FROM ({sql_filled()}), (SELECT unnest(['embedded', 'sidecar']) AS m) WHERE version = 1 GROUP BY m, rank")
+def layout_metadata(spark, sf_dir):
+    """The layout's metadata from the files themselves, and from a folder of its own."""
+    out = {}
+    for meta in ("embedded", "sidecar"):
+        store = _store(spark, 64, meta=meta)
+        meta_blocks = containers.chunk_meta(containers.fill(containers.plan(_sizes(spark, sf_dir)), _sizes(spark, sf_dir))).where("version = 1")
+        engine.checkpoint(workloads.series(spark, sf_dir, DAYS[0], 7), store, layout=meta_blocks)
+        entries = spark.read.parquet(store.manifest(1)["layout"]).select("rank", F.inline("entries"))
+        out[meta] = entries.groupBy("rank").agg(F.count(F.lit(1)).alias("n_entries"), F.sum("container_bytes").alias("room"))
+    return labelled(out, "meta")
+
+
+@query("stream_late", "SELECT count(*) AS n FROM events")
+def stream_late(spark, sf_dir):
+    """The first day's file comes again at the end, behind the watermark: its windows are closed and it changes nothing."""
+    path = epochs.daily_files(spark, sf_dir)
+    first = spark.read.parquet(path).agg(F.min("day")).first()[0]
+    stream = epochs.read_events(spark, path, 4).withWatermark("at", "1 day")
+    counted = stream.groupBy(F.window("at", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("day"), "n")
+    return epochs.drained_with_late(counted, path, first).agg(F.sum("n").alias("n"))
+
+
 # ---- streaming
 
 

@@ -43,6 +43,24 @@ def hash_time(state: DataFrame, algo: str = "md5", repeats: int = 3) -> float:
     return max(1e-12, hashed - bare) / n
 
 
+def hash_throughput(state: DataFrame, algo: str) -> float:
+    """Bytes hashed a second."""
+    n, size = state.count(), state.agg(F.sum("block_len")).first()[0] or 0
+    return size / max(1e-9, hash_time(state, algo) * n)
+
+
+def threshold(spark: SparkSession, sf: str, sizes: tuple[int, ...] = (2048, 8192, 32768), slots: tuple[int, ...] = (2, 4)) -> Iterator[dict]:
+    """Break-even shares by block size with two widths of the writing job, from times measured here."""
+    cells = settled(workloads.plasma(spark, sf, 1, "B", "one"), "state")
+    for b in sizes:
+        state = settled(blocks.cut(cells, b), "blocks")
+        for algo in ("md5", "crc32"):
+            t_h = hash_time(state, algo)
+            for n in slots:
+                t_w = write_time(state.coalesce(n))
+                yield {"experiment": "threshold", "b": b, "slots": n, "algo": algo, "rho": t_h / t_w, "dirty_share": costmodel.break_even(t_h / t_w)}
+
+
 def shares(before: DataFrame, after: DataFrame, b: int, algo: str = "md5") -> dict[str, float]:
     """The parts of an update's time that go into comparing and into writing."""
     ledger = settled(tracker.create_ledger(blocks.cut(before, b), algo), "ledger")
@@ -95,6 +113,9 @@ def everything(spark: SparkSession, sf: str) -> Iterator[dict]:
         measured = engine_share(states, b)
         yield {"experiment": "model", "workload": name, "t_write": t_w, "t_hash": t_h, "rho": t_h / t_w, "break_even": costmodel.break_even(t_h / t_w), "predicted": costmodel.speedup(measured, t_h / t_w)}
         yield {"experiment": "shares", "workload": name, **shares(*states, b)}
+        for algo in ("md5", "crc32"):
+            yield {"experiment": "hash throughput", "workload": name, "algo": algo, "mb_per_second": hash_throughput(state, algo) / 1e6}
+    yield from threshold(spark, sf)
     wave = scenarios(spark, sf)["plasma one-buffer B"]
     for size in (128, 512, 2048, 8192, 32768):
         states = tracker.classify(blocks.cut(wave[1], size), tracker.create_ledger(blocks.cut(wave[0], size)))

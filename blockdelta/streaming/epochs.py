@@ -40,6 +40,26 @@ def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.read.option("basePath", out).schema(f"{_ddl(stream)}, epoch bigint").parquet(out)
 
 
+def drained_with_late(stream: DataFrame, source: str, day: str) -> DataFrame:
+    """Drains an append query, then delivers the files of one day again and drains it on from its progress.
+
+    The windows still open at the end are closed by an event far ahead, so every window is in the result.
+    """
+    spark, out = stream.sparkSession, fresh_folder(stream.sparkSession, "stream-late")
+
+    def run() -> None:
+        stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", f"{out}-progress").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+
+    run()
+    again = spark.read.option("basePath", source).parquet(f"{source}/day={day}").drop("day")
+    again.write.parquet(f"{source}/again")
+    run()
+    ahead = again.limit(1).withColumn("ts", F.col("ts") + F.expr("INTERVAL 400 DAY"))
+    ahead.write.parquet(f"{source}/ahead")
+    run()
+    return spark.read.schema(stream.schema).parquet(out)
+
+
 def _ddl(df: DataFrame) -> str:
     return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema)
 
