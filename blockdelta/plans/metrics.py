@@ -8,8 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.costmodel import speedup
 from ..functions.digests import WIDTH
 
-LIVE = F.col("status") != "retired"
-WRITTEN = F.col("status").isin("dirty", "invalid")
+LIVE, WRITTEN = "status <> 'retired'", "status IN ('dirty', 'invalid')"
 
 
 def ppm(part: Column, whole: Column) -> Column:
@@ -23,7 +22,7 @@ def _count(c: Column) -> Column:
 def dirty_share(states: DataFrame, *by: str) -> DataFrame:
     """Blocks, written blocks and bytes, and both shares."""
     live = states.where(LIVE)
-    out = live.groupBy(*by).agg(F.count(F.lit(1)).alias("n_blocks"), _count(WRITTEN).alias("n_written"), F.sum("block_len").alias("state_bytes"), F.sum(F.when(WRITTEN, F.col("block_len")).otherwise(0)).alias("written_bytes"))
+    out = live.groupBy(*by).agg(F.count(F.lit(1)).alias("n_blocks"), _count(F.expr(WRITTEN)).alias("n_written"), F.sum("block_len").alias("state_bytes"), F.sum(F.when(F.expr(WRITTEN), F.col("block_len")).otherwise(0)).alias("written_bytes"))
     return out.select(*by, "n_blocks", "n_written", "state_bytes", "written_bytes", ppm(F.col("n_written"), F.col("n_blocks")).alias("block_ppm"), ppm(F.col("written_bytes"), F.col("state_bytes")).alias("byte_ppm"))
 
 

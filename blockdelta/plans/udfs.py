@@ -48,6 +48,11 @@ def grouped_md5(cells: DataFrame, b: int) -> DataFrame:
     return cells.groupBy("rank", "dataset_id", F.expr(f"pos * 8 div {b}").alias("block_no")).agg(md5_of("pos", "cell").alias("digest"))
 
 
-@pandas_udf("bigint")
-def adler32_reference(payload: pd.Series) -> pd.Series:
-    return payload.map(zlib.adler32)
+def adler32_reference():
+    """Adler32 of a BINARY column by zlib, for comparison."""
+
+    @pandas_udf("bigint")
+    def adler32(payload: pd.Series) -> pd.Series:
+        return payload.map(zlib.adler32)
+
+    return adler32

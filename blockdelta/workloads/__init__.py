@@ -127,12 +127,14 @@ def series(spark: SparkSession, sf_dir: str, t: str, days: int | None = None, ra
 
 def series_sizes(spark: SparkSession, sf_dir: str, steps: list[str], days: int | None = None, ranks: int = 4) -> DataFrame:
     """sizes (rank, dataset_id, version, size_bytes) of the series at each step, users without events with size 0."""
-    events = table(spark, sf_dir, "events")
-    asked = spark.createDataFrame([(k + 1, t) for k, t in enumerate(steps)], "version int, t string").select("version", F.col("t").cast("timestamp_ntz").alias("t"))
-    inside = F.col("ts") <= F.col("t")
-    if days is not None:
-        inside = inside & (F.col("ts") > F.col("t") - F.expr(f"INTERVAL '{days}' DAY"))
-    counted = events.crossJoin(F.broadcast(asked)).groupBy("user_id", "version").agg(F.sum(F.when(inside, 8).otherwise(0)).alias("size_bytes"))
+    events, sums = table(spark, sf_dir, "events"), []
+    for k, t in enumerate(steps):
+        inside = _before("ts", t)
+        if days is not None:
+            inside = inside & (F.col("ts") > F.lit(t).cast("timestamp_ntz") - F.expr(f"INTERVAL '{days}' DAY"))
+        sums.append(F.sum(F.when(inside, 8).otherwise(0)).alias(f"s{k}"))
+    stack = ", ".join(f"{k + 1}, s{k}" for k in range(len(steps)))
+    counted = events.groupBy("user_id").agg(*sums).selectExpr("user_id", f"stack({len(steps)}, {stack}) AS (version, size_bytes)")
     return counted.select((F.col("user_id") % ranks).cast("int").alias("rank"), F.col("user_id").cast("string").alias("dataset_id"), "version", "size_bytes")
 
 
