@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import look_up, map_batches, staged
-from .components import connected
+from .components import connected, extended
 from .shingles import shingle_sets
 
 #: Slots of the count table and parts in which it is summed.
@@ -287,15 +287,14 @@ def _stars(crowded: DataFrame, centre: Column, t: Threshold) -> DataFrame:
     return met.where(small * t.den >= large * t.num).select(F.least("cid", "c2").alias("a"), F.greatest("cid", "c2").alias("b")).distinct()
 
 
-def _with_components(rows: DataFrame, links: DataFrame) -> DataFrame:
+def _with_components(rows: DataFrame, parts: DataFrame) -> DataFrame:
     """``rows`` with the component of their class ``cid``; its own where it has no link."""
-    parts = connected(links).select(F.col("node").alias("member"), F.col("component").alias("part"))
-    return rows.join(parts, F.col("cid") == F.col("member"), "left").withColumn("component", F.coalesce("part", "cid")).drop("member", "part")
+    known = parts.select(F.col("node").alias("member"), F.col("component").alias("part"))
+    return rows.join(known, F.col("cid") == F.col("member"), "left").withColumn("component", F.coalesce("part", "cid")).drop("member", "part")
 
 
-def _across(pairs: DataFrame, links: DataFrame) -> DataFrame:
+def _across(pairs: DataFrame, parts: DataFrame) -> DataFrame:
     """The pairs whose classes are not connected yet."""
-    parts = connected(links)
     out = pairs
     for end in "ab":
         out = out.join(parts.select(F.col("node").alias(f"node_{end}"), F.col("component").alias(f"part_{end}")), F.col(end) == F.col(f"node_{end}"), "left")
@@ -303,7 +302,7 @@ def _across(pairs: DataFrame, links: DataFrame) -> DataFrame:
 
 
 def join_classes(docs: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Rows (id, n, sig), classes (cid, sig, min_id, copies, ..) and links between classes (a, b) that connect all components."""
+    """Rows (id, n, sig), classes (cid, sig, min_id, copies, ..) and the component (node, component) of each linked class."""
     t = Threshold(threshold)
     rows = staged(prefixes(docs, slot_counts(docs, text_col), t, id_col, text_col), "join-prefixes")
     named = rows.where(F.col("sig").isNotNull()).groupBy("sig").agg(F.min("id").alias("min_id"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("ranges").alias("ranges"), F.first("prefix").alias("prefix"))
@@ -323,30 +322,30 @@ def join_classes(docs: DataFrame, threshold: Fraction, id_col: str, text_col: st
         best = best.union(_stars(crowded.withColumn("component", F.col("cid")), F.col("spread"), t))
     done = staged(best.distinct(), "join-pairs")
     links = staged(verified(done, docs, classes, t, id_col, text_col), "join-links")
+    parts = staged(connected(links), "components")
     if some_crowded:
         # What missed the main class may well be similar to others around it: try one of these at each shingle, another one each time.
-        parts = staged(_with_components(crowded, links), "join-crowded")
-        main = parts.groupBy("token").agg(F.max(F.struct("spread", "cid", "component")).alias("p")).select(F.col("token").alias("main_at"), F.col("p.component").alias("main"))
+        placed = staged(_with_components(crowded, parts), "join-crowded")
+        main = placed.groupBy("token").agg(F.max(F.struct("spread", "cid", "component")).alias("p")).select(F.col("token").alias("main_at"), F.col("p.component").alias("main"))
         centre = F.when(F.col("component") == F.col("main"), F.xxhash64("token", "cid"))
-        more = _stars(parts.join(main, F.col("token") == F.col("main_at")), centre, t)
+        more = _stars(placed.join(main, F.col("token") == F.col("main_at")), centre, t)
         more = staged(more.join(done, ["a", "b"], "left_anti"), "join-pairs")
         done = done.union(more)
-        links = staged(links.union(verified(more, docs, classes, t, id_col, text_col)), "join-links")
-    more = _across(pairs.join(done, ["a", "b"], "left_anti"), links)
+        parts = extended(parts, staged(verified(more, docs, classes, t, id_col, text_col), "join-links"))
+    more = _across(pairs.join(done, ["a", "b"], "left_anti"), parts)
     if some_crowded:
-        again = _with_components(crowded.select("token", "cid", "n", "pos"), links).select("token", "cid", "n", "pos", "component")
+        again = _with_components(crowded.select("token", "cid", "n", "pos"), parts).select("token", "cid", "n", "pos", "component")
         again = again.repartition(ways, "token").sortWithinPartitions("token", "n", "cid")
         more = more.union(map_batches(again, _second_meeting(t), _MEET).select("a", "b").join(done, ["a", "b"], "left_anti"))
     more = staged(more.distinct(), "join-pairs")
     if more.limit(1).count():
-        links = staged(links.union(verified(more, docs, classes, t, id_col, text_col)), "join-links")
-    return rows.select("id", "n", "sig"), classes.select("cid", "sig", "min_id", "copies"), links
+        parts = extended(parts, staged(verified(more, docs, classes, t, id_col, text_col), "join-links"))
+    return rows.select("id", "n", "sig"), classes.select("cid", "sig", "min_id", "copies"), parts
 
 
 def near_duplicates(docs: DataFrame, threshold: Fraction = Fraction(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id, n_shingles, component_id (the smallest id reachable by links) and copies (rows with the very same set)."""
-    rows, classes, links = join_classes(docs, threshold, id_col, text_col)
-    parts = connected(links)
+    rows, classes, parts = join_classes(docs, threshold, id_col, text_col)
     member = classes.join(parts.select(F.col("node").alias("cid"), "component"), "cid", "left").withColumn("component", F.coalesce("component", "cid"))
     least = member.groupBy("component").agg(F.min("min_id").alias("component_id"))
     names = staged(member.join(least, "component").select("sig", "copies", "component_id"), "join-components")
