@@ -64,10 +64,24 @@ def work_dir(spark: SparkSession) -> str:
     return f"file://{_local_work['dir']}"
 
 
+_staged: list[str] = []
+
+
+def forget_staged(spark: SparkSession) -> int:
+    """Deletes all tables that operators have staged in this process so far; call it when their results are no longer read."""
+    for path in _staged:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+    gone = len(_staged)
+    _staged.clear()
+    return gone
+
+
 def staged(df: DataFrame, name: str, partition_by: str | None = None) -> DataFrame:
     """Writes ``df`` once as Parquet in the shared folder and reads it again: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _staged.append(path)
     writer = df.write
     if partition_by:
         writer = writer.partitionBy(partition_by)

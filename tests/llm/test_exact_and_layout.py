@@ -125,3 +125,10 @@ def test_packing(spark):
     total = sum(r["length"] for r in got)
     assert len(windows) * 2048 - total < 2048 * 2
     assert packing.pack(df.limit(0), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).count() == 0
+
+
+def test_staged_tables_can_be_forgotten(spark, docs):
+    from blockdelta.llm import common
+
+    assert exact_dedup.mark_duplicates(docs).count() == len(ROWS)
+    assert common.forget_staged(spark) > 0 and common.forget_staged(spark) == 0
