@@ -37,7 +37,7 @@ LEAF, WINDOW = 8192, 96
 #: A word end counts as settled at this distance from the edge of an encoded part; the splitter looks three characters ahead.
 GUARD = 8
 #: Words whose ids are kept, at most, and the longest of them.
-KEPT_WORDS, KEPT_LENGTH = 400_000, 48
+KEPT_WORDS, KEPT_LENGTH = 1_000_000, 48
 
 # How the tokenizer of these vocabulary files splits words.
 WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\p{White_Space}\p{L}\p{N}]+")
@@ -107,7 +107,7 @@ class TreeBPE:
             elif stretch:
                 usual = UNUSUAL.search(stretch) is None
                 # White space is dropped by the splitter, so in usual text folding case is all there is to normalise.
-                out.append(self._tree(stretch.lower() if usual else self.library.normalizer.normalize_str(stretch)).ids)
+                out.append(self._tree(stretch.lower() if usual else self.library.normalizer.normalize_str(stretch), usual).ids)
         return np.fromiter(chain.from_iterable(chain.from_iterable(out)), np.uint32)
 
     def decode(self, ids: np.ndarray) -> str:
@@ -116,37 +116,37 @@ class TreeBPE:
             return self.library.decode(ids.tolist(), skip_special_tokens=False)
         return " ".join(map(self.tokens.__getitem__, ids.tolist()))
 
-    def _tree(self, text: str) -> Part:
+    def _tree(self, text: str, usual: bool) -> Part:
         cuts = [0, len(text)]
         while max(b - a for a, b in zip(cuts, cuts[1:])) > self.leaf:
             cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
-        parts = [self._encoded(text, a, b) for a, b in zip(cuts, cuts[1:])]
+        parts = [self._encoded(text, a, b, usual) for a, b in zip(cuts, cuts[1:])]
         while len(parts) > 1:  # one level of the tree
-            parts = [self._join(text, *parts[k : k + 2]) if k + 1 < len(parts) else parts[k] for k in range(0, len(parts), 2)]
+            parts = [self._join(text, *parts[k : k + 2], usual) if k + 1 < len(parts) else parts[k] for k in range(0, len(parts), 2)]
         return parts[0]
 
-    def _encoded(self, text: str, a: int, b: int) -> Part:
-        piece = text[a:b]
-        if UNUSUAL.search(piece) is None:
+    def _encoded(self, text: str, a: int, b: int, usual: bool) -> Part:
+        piece = text if b - a == len(text) else text[a:b]
+        if usual:
             words = WORD.findall(piece)
         else:
             words = [piece[x:y] for _, (x, y) in self.normalised.pre_tokenizer.pre_tokenize_str(piece)]
         kept = self.kept
-        ids = [kept.get(w) for w in words]
-        missing = list({w for w, i in zip(words, ids) if i is None})
-        if missing:
+        ids = list(map(kept.get, words))
+        if None in ids:
+            missing = list({w for w, i in zip(words, ids) if i is None})
             fresh = {w: tuple(e.ids) for w, e in zip(missing, self.normalised.encode_batch(missing, add_special_tokens=False))}
             ids = [fresh[w] if i is None else i for w, i in zip(words, ids)]
             if len(kept) < KEPT_WORDS:
                 kept.update((w, i) for w, i in fresh.items() if len(w) <= KEPT_LENGTH)
         return Part(a, b, words, ids)
 
-    def _join(self, text: str, left: Part, right: Part) -> Part:
+    def _join(self, text: str, left: Part, right: Part, usual: bool) -> Part:
         at, reach = right.begin, self.window
         while True:
             i, a = left.last_end(text, min(at - reach, left.end - GUARD))
             b = min(right.end, at + reach)
-            middle = self._encoded(text, a, b)
+            middle = self._encoded(text, a, b, usual)
             if a == left.begin and b == right.end:
                 return middle
             agreed = self._agree(text, middle, right)
