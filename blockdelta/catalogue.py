@@ -917,7 +917,7 @@ def sampled_dirty_share(spark, sf_dir):
 
 
 def _store(spark, b: int = B, **options) -> BlockStore:
-    return BlockStore(spark, fresh_folder(spark, "store"), b, bucket_blocks=8, **options)
+    return BlockStore(spark, fresh_folder(spark, "store"), b, bucket_blocks=64, **options)
 
 
 def _two_versions(spark, sf_dir, mode: str, **options) -> BlockStore:
@@ -985,7 +985,7 @@ def ledger_after_update(spark, sf_dir):
     return ledger.select("rank", "dataset_id", "block_no", "block_len", F.lower(F.hex("digest")).alias("digest"), "version")
 
 
-@query("verify_version", f"SELECT rank, block_no // 8 AS bucket, true AS ok FROM ({sql_blocks(sql_wave(T2), B)}) GROUP BY rank, block_no // 8")
+@query("verify_version", f"SELECT rank, block_no // 64 AS bucket, true AS ok FROM ({sql_blocks(sql_wave(T2), B)}) GROUP BY rank, block_no // 64")
 def verify_version(spark, sf_dir):
     return restore.verify(_two_versions(spark, sf_dir, "copy_on_write"), 2).select("rank", "bucket", "ok")
 
