@@ -88,7 +88,7 @@ def sql_share(states: str, by: str = "") -> str:
         {sql_ppm(written, 'count(*)')} AS block_ppm, {sql_ppm(wrote, size)} AS byte_ppm FROM ({states}) WHERE status <> 'retired' {group}"""
 
 
-LINE_KEY = "l_orderkey, l_linenumber, l_partkey, l_suppkey"
+LINE_KEY = ", ".join(workloads.LINE_ORDER)
 
 
 def sql_stacked(step: int, config: str, ranks: int = 10) -> str:
