@@ -38,7 +38,7 @@ CLEAR = 2.0
 #: Training texts that the logistic curve is fitted to, about.
 CALIBRATION_ROWS = 20_000
 #: Words whose weights a worker keeps, at most.
-KEPT_WORDS = 500_000
+KEPT_WORDS = 250_000
 
 WORD = re.compile(r"[^\W\d_]+")
 
