@@ -5,12 +5,13 @@
   count may include others that share its slot; any common order keeps the filter exact), then by hash.
 * A similar pair shares one of the first n - ceil(t n) + 1 shingles of each. Rows of these prefixes meet by shingle,
   sorted by set size; length and positional filters drop pairs before they are formed.
-* Few rows at a shingle: all their pairs are candidates. Many rows: at first each is held against one of them, the
-  class that most crowded shingles have. A pair that links already connect needs no look, so candidates are verified in
-  steps, the best one of each class first, and after each step those within a component go. At last the rows of crowded shingles meet again
-  with their components known, and all pairs across components become candidates. No link that joins two components
-  is lost, and a group of thousands of near copies costs rows, not pairs.
-* Each candidate pair is verified once. A suffix filter over the whole sets comes first: every class keeps how many of its shingles fall
+* Components come first. Few rows at a shingle: all their pairs are candidates. Many rows: at first each is held against one of them, the
+  class that most crowded shingles have. Candidates are verified in steps, the best one of each class first, and those within a
+  component wait. At last the rows of crowded shingles meet again with their components known, and all pairs across components
+  become candidates. No link that joins two components is lost.
+* Links come from components: every link lies within one, so the classes of each are dealt into blocks, and in each pair of blocks
+  all intersections are counted exactly. This is quadratic in the size of a component, as the number of its links can be.
+* On the way to components each candidate pair is verified once. A suffix filter over the whole sets comes first: every class keeps how many of its shingles fall
   into each of equal ranges of hashes, about four a range, and the smaller counts of two classes bound their intersection. Then the
   sets of the texts concerned are computed anew and intersected exactly.
 
@@ -39,6 +40,8 @@ SLOT_BITS, PARTS = 18, 16
 FEW = 8
 #: Slots of the filter that tells which texts are hashed again for verification.
 FILTER_BITS = 20
+#: Classes and shingles of a block whose classes are held against each other at once, and cells of a matrix of classes by shingles.
+BLOCK_CLASSES, BLOCK_SHINGLES, CELLS = 512, 500_000, 1 << 23
 #: Bits of the largest number of ranges whose counts bound an intersection, and bits of a shingle by which prefixes meet.
 RANGE_BITS, MEET_BITS = 12, 48
 
@@ -239,15 +242,8 @@ def _verify(t: Threshold):
     return run
 
 
-def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold, id_col: str, text_col: str) -> DataFrame:
-    """The pairs (a, b) of classes that are similar. Sets are computed again, for one text of each class in a pair."""
-    ends = classes.select("cid", "min_id", "sig", "ranges")
-    named = pairs
-    for end in "ab":
-        named = named.join(ends.select(*[F.col(c).alias(f"{c}_{end}") for c in ends.columns]), F.col(end) == F.col(f"cid_{end}"))
-    named = named.select("a", "b", "min_id_a", "sig_a", "min_id_b", "sig_b", "ranges_a", "ranges_b")
-    wanted = staged(map_batches(named, _may_match(t), "a long, b long, min_id_a long, sig_a binary, min_id_b long, sig_b binary"), "join-wanted")
-    ids = wanted.select(F.explode(F.array("min_id_a", "min_id_b")).alias("id"))
+def sets_of(ids: DataFrame, docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(id, sig, items): the sets, computed anew, of the rows with these ids and of some others."""
     mask = np.zeros(1 << FILTER_BITS, bool)
     mask[ids.select(F.pmod(F.xxhash64("id"), F.lit(1 << FILTER_BITS)).alias("s")).distinct().toArrow().column(0).to_numpy()] = True  # at most 2**FILTER_BITS numbers
     shared = docs.sparkSession.sparkContext.broadcast(np.packbits(mask))
@@ -267,8 +263,19 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold
 
     own = F.col(id_col).cast("long")
     hashed = docs.select(F.pmod(F.xxhash64(own), F.lit(1 << FILTER_BITS)).alias("slot"), F.col(text_col).alias("text"), own.alias("id")).where(F.col("id").isNotNull())
+    return map_batches(hashed, again, "id long, sig binary, items array<long>")
+
+
+def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, t: Threshold, id_col: str, text_col: str) -> DataFrame:
+    """The pairs (a, b) of classes that are similar. Sets are computed again, for one text of each class in a pair."""
+    ends = classes.select("cid", "min_id", "sig", "ranges")
+    named = pairs
+    for end in "ab":
+        named = named.join(ends.select(*[F.col(c).alias(f"{c}_{end}") for c in ends.columns]), F.col(end) == F.col(f"cid_{end}"))
+    named = named.select("a", "b", "min_id_a", "sig_a", "min_id_b", "sig_b", "ranges_a", "ranges_b")
+    wanted = staged(map_batches(named, _may_match(t), "a long, b long, min_id_a long, sig_a binary, min_id_b long, sig_b binary"), "join-wanted")
     # The sets are the large side, so they are exchanged by id once and serve both ends of the pairs.
-    sets = map_batches(hashed, again, "id long, sig binary, items array<long>").hint("merge")
+    sets = sets_of(wanted.select(F.explode(F.array("min_id_a", "min_id_b")).alias("id")), docs, id_col, text_col).hint("merge")
     left = wanted.join(sets.select(F.col("id").alias("id_a"), F.col("sig").alias("s_a"), F.col("items").alias("x")), (F.col("min_id_a") == F.col("id_a")) & (F.col("sig_a") == F.col("s_a")))
     left = left.select("a", "b", "min_id_b", "sig_b", "x")
     both = left.join(sets.select(F.col("id").alias("id_b"), F.col("sig").alias("s_b"), F.col("items").alias("y")), (F.col("min_id_b") == F.col("id_b")) & (F.col("sig_b") == F.col("s_b"))).select("a", "b", "x", "y")
@@ -340,14 +347,80 @@ def join_classes(docs: DataFrame, threshold: Fraction, id_col: str, text_col: st
     more = staged(more.distinct(), "join-pairs")
     if more.limit(1).count():
         parts = extended(parts, staged(verified(more, docs, classes, t, id_col, text_col), "join-links"))
-    return rows.select("id", "n", "sig"), classes.select("cid", "sig", "min_id", "copies"), parts
+    return rows.select("id", "n", "sig"), classes.select("cid", "sig", "min_id", "copies", "n"), parts
+
+
+def _common(owner: np.ndarray, items: np.ndarray, k: int) -> np.ndarray:
+    """Above the diagonal, the sizes of the intersections of ``k`` sets, given as all their items with the set of each, sets in order."""
+    order = np.argsort(items, kind="stable")
+    owner, items = owner[order], items[order]
+    edge = np.flatnonzero(np.concatenate([[True], items[1:] != items[:-1]])) if len(items) else np.zeros(0, np.int64)
+    length = np.diff(np.append(edge, len(items)))
+    common, held = np.zeros(k * k, np.int64), np.repeat(length, length)
+    few = (held > 1) & (held <= FEW)
+    item, own = items[few], owner[few]
+    for d in range(1, FEW):
+        same = np.flatnonzero(item[:-d] == item[d:])
+        if not len(same):
+            break
+        common += np.bincount(own[same] * k + own[same + d], minlength=k * k)
+    common = common.reshape(k, k)
+    many = held > FEW
+    own, column = owner[many], np.repeat(np.arange((length > FEW).sum()), length[length > FEW])
+    width = max(1, CELLS // max(1, k))
+    for first in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        lo, hi = np.searchsorted(column, [first, first + width])
+        matrix = np.zeros((k, int(column[hi - 1]) + 1 - first), np.float32)
+        matrix[own[lo:hi], column[lo:hi] - first] = 1
+        common += (matrix @ matrix.T).astype(np.int64)
+    return common
+
+
+def _links_of_blocks(t: Threshold):
+    def run(table: pa.Table) -> pa.Table:
+        cid, at = np.unique(table.column("cid").to_numpy(), return_index=True)  # rows repeated under one id bring a class twice
+        block, sets = table.column("block").to_numpy()[at], table.column("items").take(pa.array(at)).combine_chunks()
+        n = sets.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        common = _common(np.repeat(np.arange(len(cid)), n), sets.flatten().to_numpy(zero_copy_only=False), len(cid))
+        similar = np.triu(common >= t.overlap(n[:, None], n[None, :]), 1)
+        if block.min() != block.max():
+            similar &= block[:, None] != block[None, :]
+        elif table.column("i")[0].as_py() != table.column("j")[0].as_py():
+            similar[:] = False  # the other block has no classes
+        a, b = np.nonzero(similar)
+        return pa.table({"a": pa.array(cid[a], pa.int64()), "b": pa.array(cid[b], pa.int64())})
+
+    return run
 
 
-def near_duplicates(docs: DataFrame, threshold: Fraction = Fraction(4, 5), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row: id, n_shingles, component_id (the smallest id reachable by links) and copies (rows with the very same set)."""
+def all_links(docs: DataFrame, classes: DataFrame, parts: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> DataFrame:
+    """Every pair (a, b) of similar classes, a below b, once."""
+    known = parts.select(F.col("node").alias("cid"), "component")
+    sizes = known.join(classes.select("cid", "n"), "cid").groupBy("component").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("total"), F.min("cid").alias("a"), F.max("cid").alias("b"))
+    sizes = staged(sizes, "join-sizes")
+    alone = sizes.where("k = 2").select("a", "b")
+    ways = F.greatest(F.ceil(F.col("k") / BLOCK_CLASSES), F.ceil(F.col("total") / BLOCK_SHINGLES)).cast("int")
+    members = known.join(sizes.where("k > 2").select("component", ways.alias("ways")), "component").join(classes.select("cid", "min_id", "sig"), "cid")
+    members = staged(members.withColumn("block", F.pmod(F.xxhash64("cid"), F.col("ways")).cast("int")), "join-members")
+    sets = sets_of(members.select(F.col("min_id").alias("id")), docs, id_col, text_col).withColumnRenamed("sig", "own_sig")
+    full = members.join(sets, (F.col("min_id") == F.col("id")) & (F.col("sig") == F.col("own_sig"))).select("component", "ways", "block", "cid", "items")
+    dealt = full.select("component", "block", "cid", "items", F.explode(F.sequence(F.lit(0), F.col("ways") - 1)).alias("other"))
+    dealt = dealt.select("component", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "cid", "items")
+    return alone.union(dealt.groupBy("component", "i", "j").applyInArrow(_links_of_blocks(Threshold(threshold)), "a long, b long"))
+
+
+def near_duplicates(docs: DataFrame, threshold: Fraction = Fraction(4, 5), id_col: str = "doc_id", text_col: str = "text", links: bool = True) -> DataFrame:
+    """Per row: id, n_shingles, component_id (the smallest id reachable by links), copies (rows with the very same set) and n_links
+    (other sets that are similar); without ``links`` the last column is left out, and with it the work on links within components."""
     rows, classes, parts = join_classes(docs, threshold, id_col, text_col)
     member = classes.join(parts.select(F.col("node").alias("cid"), "component"), "cid", "left").withColumn("component", F.coalesce("component", "cid"))
+    if links:
+        pairs = all_links(docs, classes, parts, threshold, id_col, text_col)
+        degree = pairs.select(F.explode(F.array("a", "b")).alias("end")).groupBy("end").agg(F.count(F.lit(1)).alias("n_links"))
+        member = member.join(staged(degree, "join-degrees"), F.col("cid") == F.col("end"), "left")
     least = member.groupBy("component").agg(F.min("min_id").alias("component_id"))
-    names = staged(member.join(least, "component").select("sig", "copies", "component_id"), "join-components")
+    more = ["n_links"] if links else []
+    names = staged(member.join(least, "component").select("sig", "copies", "component_id", *more), "join-components")
     found = look_up(rows, names, "sig", "copies", F.xxhash64("id", "n"))
-    return found.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"))
+    counts = [F.coalesce(c, F.lit(d)).cast("long").alias(c) for c, d in [("copies", 1), *((c, 0) for c in more)]]
+    return found.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"), *counts)

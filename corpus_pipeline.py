@@ -28,7 +28,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of linked documents the one with the smallest doc_id stays."""
-    found = ngram_join.near_duplicates(docs)
+    found = ngram_join.near_duplicates(docs, links=False)
     losers = found.where(F.col("component_id") < F.col("doc_id")).select(F.col("doc_id").alias("__loser")).distinct()
     return docs.join(losers, F.col("doc_id") == F.col("__loser"), "left_anti")
 

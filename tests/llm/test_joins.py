@@ -63,6 +63,26 @@ def test_join(spark):
     assert ngram_join.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_every_link_is_counted(spark, monkeypatch):
+    """A pair that others connect already is a link all the same; components of several blocks lose none."""
+    monkeypatch.setattr(ngram_join, "BLOCK_CLASSES", 8)
+    rows = fixture()
+    sets = {i: s for (i, _), s in zip(rows, shingle_sets([t for _, t in rows]))}
+    classes = {s.tobytes(): set(s.tolist()) for s in sets.values() if len(s)}
+    links = {k: sum(100 * len(x & y) >= 80 * len(x | y) for y in classes.values()) - 1 for k, x in classes.items()}
+    assert sum(links.values()) > 600
+    got = ngram_join.near_duplicates(spark.createDataFrame(rows + [rows[3]], "doc_id long, text string").repartition(5)).collect()
+    assert len(got) == len(rows) + 1
+    assert all(r["n_links"] == links.get(sets[r["doc_id"]].tobytes(), 0) for r in got)
+
+
+def test_common_counts():
+    rng = np.random.default_rng(7)
+    sets = [np.unique(rng.integers(0, 60, 30)) for _ in range(25)] + [np.unique(rng.integers(0, 10**6, 40)) for _ in range(5)]
+    got = ngram_join._common(np.repeat(np.arange(30), [len(s) for s in sets]), np.concatenate(sets), 30)
+    assert all(got[a, b] == len(np.intersect1d(sets[a], sets[b])) for a in range(30) for b in range(a + 1, 30))
+
+
 def test_repeated_rows_and_null_ids(spark):
     rows = [(5, "a b c d e f"), (5, "a b c d e f"), (None, "a b c d e f"), (9, None), (None, None)]
     got = ngram_join.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
