@@ -8,8 +8,8 @@ log-likelihoods. A text's evidence is the sum of the clear weights over its leng
 their number; a logistic curve, fitted to training texts scored by models that had not seen them, turns that into a score.
 
 Counts cover all labelled training rows and grow with them. Word counts are gathered map-side and summed by word, then
-by beginning. Of these the driver gets the ones that make up at least one part in ``RESOLUTION`` of the toxic words, which by
-arithmetic are at most RESOLUTION times LONGEST; branches that can give no clear weight are cut off, and the rest is broadcast.
+by beginning. The driver gets all beginnings with ``LEAST`` toxic sightings, a number that is the same at every size, so these grow
+with the different toxic words of the input; branches that can give no clear weight are cut off, and the rest is broadcast.
 
 Inputs of a score are texts alone. Defined cases: null and wordless texts have no evidence and get the score of none; without any
 training rows all scores are 0; an empty table gives no rows; a text labelled more than once counts as toxic if any label says so.
@@ -29,8 +29,8 @@ from pyspark.sql import functions as F
 
 from .common import map_batches, staged
 
-#: Discount of every count, letters of a beginning, least count of a beginning among toxic words, and parts of these that count.
-DISCOUNT, LONGEST, LEAST, RESOLUTION = 2.0, 12, 3, 50_000
+#: Discount of every count, letters of a beginning, and least count of a beginning among toxic words.
+DISCOUNT, LONGEST, LEAST = 2.0, 12, 3
 #: Folds that are learnt from, and bits of the filter that tells which texts may have a label.
 FOLDS, FILTER_BITS = (0, 1, 3), 20
 #: A word's weight is clear beyond this.
@@ -108,19 +108,16 @@ def _nodes(words: DataFrame) -> tuple[list, Counter, Counter]:
     size = F.length(marked)
     starts = F.transform(F.sequence(F.lit(1), F.least(size, F.lit(LONGEST))), lambda k: F.substring(marked, F.lit(1), k))
     starts = F.when(size > LONGEST, F.array_append(starts, marked)).otherwise(starts)
-    total = words.agg(F.sum(n1)).first()[0] or 0
-    if not total:
+    if not words.agg(F.sum(n1)).first()[0]:
         return [], Counter(), Counter()
-    least = max(LEAST, -(-total // RESOLUTION))
     toxic = words.where(n1 > 0).select(F.explode(starts).alias("node"), n1.alias("n1"))
-    frequent = staged(toxic.groupBy("node").agg(F.sum("n1").alias("n1")).where(F.col("n1") >= least).select("node"), "toxicity-frequent")
-    # At most RESOLUTION * LONGEST rows, so the rest of the work meets them by broadcast before anything is exchanged.
+    frequent = staged(toxic.groupBy("node").agg(F.sum("n1").alias("n1")).where(F.col("n1") >= LEAST).select("node"), "toxicity-frequent")
     spread = words.select("*", F.explode(starts).alias("node"))
     names = [c for c in words.columns if c != "word"]
-    counts = spread.join(F.broadcast(frequent), "node", "left_semi").groupBy("node").agg(*[F.sum(n).alias(n) for n in names]).collect()
+    counts = spread.join(frequent, "node", "left_semi").groupBy("node").agg(*[F.sum(n).alias(n) for n in names]).collect()
     up = F.when(F.length("node") > LONGEST, F.substring("node", 1, LONGEST)).otherwise(F.expr("left(node, length(node) - 1)"))
     below = spread.where("length(node) > 1").select("node", up.alias("parent"), n0.alias("n0"), n1.alias("n1"))
-    below = below.join(F.broadcast(frequent.select(F.col("node").alias("parent"))), "parent", "left_semi")
+    below = below.join(frequent.select(F.col("node").alias("parent")), "parent", "left_semi")
     kinds = below.groupBy("parent", "node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
     kinds = kinds.groupBy("parent").agg(F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1")).collect()
     return counts, Counter({r["parent"]: r["k0"] for r in kinds}), Counter({r["parent"]: r["k1"] for r in kinds})

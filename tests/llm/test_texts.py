@@ -154,6 +154,17 @@ def test_toxicity(spark):
     assert {r["score"] for r in toxicity.score_documents(docs, silent).collect()} == {0.0}
 
 
+def test_rare_toxic_words_stay_in_large_input(spark):
+    """Five sightings weigh the same however many other toxic words there are."""
+    rows = [(k, ("grubword " if k % 2 and k < 10 else "") + "plain words here " * 10, k % 2) for k in range(40)]
+    rows += [(k, "plain words " * 200_000, 1) for k in range(100, 140) if zlib.crc32(str(k).encode()) % 4 != 2][:1]
+    docs = spark.createDataFrame([(k, t) for k, t, _ in rows], "doc_id long, text string")
+    marks = spark.createDataFrame([(k, y) for k, _, y in rows], "doc_id long, toxic int")
+    seen = sum("grubword" in t for k, t, _ in rows if zlib.crc32(str(k).encode()) % 4 != 2)
+    assert 3 <= seen <= 5
+    assert any(b.startswith("^gr") for b in toxicity.train(docs, marks).table)
+
+
 RULES = [url_filter.Rule("block", "com", "/en/"), url_filter.Rule("allow", "example.com", "/en/7"), url_filter.Rule("allow", "net", "/de/"), url_filter.Rule("block", "example.net", "/de/8"), url_filter.Rule("block", "org", "/es/")]
 
 
