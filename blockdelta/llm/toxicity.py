@@ -1,15 +1,15 @@
-"""Toxicity by class-conditional Kneser-Ney models of words, spelt letter by letter from the left.
+"""Toxicity by class-conditional Kneser-Ney models of words, spelt letter by letter.
 
-Toxic and ordinary training texts each give a model of the next letter after the beginning of a word. Absolute
-discounting takes the same amount off every count; what it frees is spread by counts that both classes share, so a
-rare expression gets nearly the same probability from either model and weighs nothing, while an expression that one
-class really uses keeps its weight, and passes it on to inflections never seen. A word's weight is the difference of its two
-log-likelihoods. A text's evidence is the sum of the clear weights over its length in words, its strongest words, and
-their number; a logistic curve, fitted to training texts scored by models that had not seen them, turns that into a score.
+Toxic and ordinary training texts each give a model of the next letter after the last ``ORDER - 1`` ones of a word, its end included.
+Absolute discounting takes the same amount off every count of a class; what it frees is spread by shorter contexts, whose counts
+are continuation counts (in how many different longer contexts a sequence was seen) that both classes share. So a rare expression gets
+nearly the same probability from either model, while one that a class really uses keeps its weight. A text's evidence is the difference
+of its two log-likelihoods over its length in words, and the same for its most toxic stretches of ``STRETCHES`` words; a logistic
+curve, fitted to training texts scored by models that had not seen them, turns that into a score. All words of a text count, for either class.
 
-Counts cover all labelled training rows and grow with them. Word counts are gathered map-side and summed by word, then
-by beginning. The driver gets all beginnings with ``LEAST`` toxic sightings, a number that is the same at every size, so these grow
-with the different toxic words of the input; branches that can give no clear weight are cut off, and the rest is broadcast.
+Letters are folded to ``SYMBOLS`` symbols (a-z, and the others into five classes by code point), so there are SYMBOLS**ORDER sequences
+at any size of the corpus: counts of all labelled training rows are summed map-side, the driver gets at most so many numbers for
+each class and fold, and the broadcast table of log ratios is 4 MB.
 
 Inputs of a score are texts alone. Defined cases: null and wordless texts have no evidence and get the score of none; without any
 training rows all scores are 0; an empty table gives no rows; a text labelled more than once counts as toxic if any label says so.
@@ -18,9 +18,9 @@ training rows all scores are 0; an empty table gives no rows; a text labelled mo
 from __future__ import annotations
 
 import math
-import re
-from collections import Counter
+import unicodedata
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -29,18 +29,14 @@ from pyspark.sql import functions as F
 
 from .common import map_batches, staged
 
-#: Discount of every count, letters of a beginning, and least count of a beginning among toxic words.
-DISCOUNT, LONGEST, LEAST = 2.0, 12, 3
+#: Letters of a sequence, symbols (0 is a word's edge), and the discount of every count.
+ORDER, SYMBOLS, DISCOUNT = 4, 32, 0.75
+#: Words of the stretches that are looked at by themselves.
+STRETCHES = (1, 4, 16)
 #: Folds that are learnt from, and bits of the filter that tells which texts may have a label.
 FOLDS, FILTER_BITS = (0, 1, 3), 20
-#: A word's weight is clear beyond this.
-CLEAR = 2.0
 #: Training texts that the logistic curve is fitted to, about.
 CALIBRATION_ROWS = 20_000
-#: Words whose weights a worker keeps, at most.
-KEPT_WORDS = 250_000
-
-WORD = re.compile(r"[^\W\d_]+")
 
 
 def fold(id_col: str) -> Column:
@@ -48,104 +44,92 @@ def fold(id_col: str) -> Column:
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(4))
 
 
-def beginnings(word: str) -> list[str]:
-    """What is counted of a word: its beginnings, the last one closed by its end. ``^`` alone stands for all words."""
-    marked = f"^{word}$"
-    return [marked[:k] for k in range(2, min(len(marked), LONGEST) + 1)] + ([marked] if len(marked) > LONGEST else [])
-
-
-class WordWeights:
-    """Weights of words: those of the longest beginning in the table, 0 without one or if they are not clear."""
-
-    def __init__(self, table: dict[str, float]):
-        self.table, self.kept = table, {}
-
-    def __getitem__(self, word: str) -> float:
-        weight = self.kept.get(word)
-        if weight is None:
-            found = next((self.table[b] for b in reversed(beginnings(word)) if b in self.table), 0.0)
-            weight = found if found > CLEAR else 0.0
-            if len(self.kept) < KEPT_WORDS:
-                self.kept[word] = weight
-        return weight
-
-
-def evidence(text: str | None, weights: WordWeights) -> tuple[float, float, float]:
-    words = WORD.findall((text or "").lower())
-    clear = sorted(w for w in map(weights.__getitem__, words) if w)
-    return math.log1p(100 * sum(clear) / max(1, len(words))), math.log1p(sum(clear[-3:])), math.log1p(len(clear))
+@lru_cache(maxsize=1)
+def _symbol_of() -> np.ndarray:
+    """The symbol of each code point: 1-26 for a-z, 27-31 for other letters, 0 for anything else."""
+    out = np.zeros(0x110000, np.uint8)
+    for point in range(128, 0x110000):
+        if unicodedata.category(chr(point))[0] == "L":
+            out[point] = 27 + point % 5
+    out[ord("a") : ord("z") + 1] = np.arange(1, 27)
+    return out
 
 
-def _word_counts(train: DataFrame) -> DataFrame:
-    """(word, n0_f and n1_f for each training fold f) of (text, toxic, fold); one row for each word and task before the sum."""
-    names = [f"n{y}_{f}" for f in FOLDS for y in (0, 1)]
+def spelt(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+    """(sequences, first of each word): the number of the last ORDER symbols at every letter and every end of a word."""
+    symbols = _symbol_of()[np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), "<u4")]
+    letter = symbols > 0
+    first = letter & ~np.concatenate([[False], letter[:-1]])
+    words = int(first.sum())
+    if not words:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    # Words are laid out with ORDER - 1 edges before each, the first of which is the end of the word before.
+    word = (np.cumsum(first) - 1)[letter]
+    at = np.arange(len(word)) + (word + 1) * (ORDER - 1)
+    laid = np.zeros(len(word) + (words + 1) * (ORDER - 1), np.int64)
+    laid[at] = symbols[letter]
+    number = np.zeros(len(laid), np.int64)
+    for back in range(ORDER):
+        number[back:] += laid[: len(laid) - back] * SYMBOLS**back
+    begin = np.flatnonzero(first[letter])
+    ends = np.append(at[begin[1:] - 1], at[-1]) + 1
+    counted = np.sort(np.concatenate([at, ends]))
+    return number[counted], begin + np.arange(words)
+
+
+def evidence(text: str | None, ratios: np.ndarray) -> list[float]:
+    """The log-likelihood difference a word, of the whole text and of its most toxic stretches, and the logarithm of its length."""
+    sequences, first = spelt(text)
+    if not len(first):
+        return [0.0] * (len(STRETCHES) + 2)
+    total = np.concatenate([[0.0], np.cumsum(np.add.reduceat(ratios[sequences].astype(np.float64), first))])
+    out = [total[-1] / len(first)]
+    for words in STRETCHES:
+        k = min(words, len(first))
+        out.append((total[k:] - total[:-k]).max() / words)
+    return [*map(float, out), math.log1p(len(first))]
+
+
+def _sequence_counts(train: DataFrame) -> np.ndarray:
+    """Counts by (fold, class, sequence) of the rows (text, toxic, fold), summed in each task and then over all."""
+    kinds = 2 * len(FOLDS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: dict[str, Counter] = {}
-
-        def out() -> pa.RecordBatch:
-            words = list(set().union(*counts.values()))
-            columns = [pa.array([counts[n][w] for w in words] if n in counts else np.zeros(len(words), np.int64), pa.int64()) for n in names]
-            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *columns], names=["word", *names])
-
+        counts = np.zeros((kinds, SYMBOLS**ORDER), np.int64)
         for batch in batches:
             for text, toxic, part in zip(*(batch.column(k) for k in range(3))):
-                counts.setdefault(f"n{toxic.as_py()}_{part.as_py()}", Counter()).update(WORD.findall((text.as_py() or "").lower()))
-            if sum(map(len, counts.values())) > KEPT_WORDS:
-                yield out()
-                counts.clear()
-        if counts:
-            yield out()
-
-    counted = map_batches(train.select("text", "toxic", "fold"), run, "word string, " + ", ".join(f"{n} long" for n in names))
-    return staged(counted.groupBy("word").agg(*[F.sum(n).alias(n) for n in names]), "toxicity-words")
-
-
-def _nodes(words: DataFrame) -> tuple[list, Counter, Counter]:
-    """The frequent beginnings with their counts by fold, and the number of different next letters after each, by class."""
-    n0, n1 = (sum((F.col(f"n{y}_{f}") for f in FOLDS), F.lit(0)) for y in (0, 1))
-    marked = F.concat(F.lit("^"), F.col("word"), F.lit("$"))
-    size = F.length(marked)
-    starts = F.transform(F.sequence(F.lit(1), F.least(size, F.lit(LONGEST))), lambda k: F.substring(marked, F.lit(1), k))
-    starts = F.when(size > LONGEST, F.array_append(starts, marked)).otherwise(starts)
-    if not words.agg(F.sum(n1)).first()[0]:
-        return [], Counter(), Counter()
-    toxic = words.where(n1 > 0).select(F.explode(starts).alias("node"), n1.alias("n1"))
-    frequent = staged(toxic.groupBy("node").agg(F.sum("n1").alias("n1")).where(F.col("n1") >= LEAST).select("node"), "toxicity-frequent")
-    spread = words.select("*", F.explode(starts).alias("node"))
-    names = [c for c in words.columns if c != "word"]
-    counts = spread.join(frequent, "node", "left_semi").groupBy("node").agg(*[F.sum(n).alias(n) for n in names]).collect()
-    up = F.when(F.length("node") > LONGEST, F.substring("node", 1, LONGEST)).otherwise(F.expr("left(node, length(node) - 1)"))
-    below = spread.where("length(node) > 1").select("node", up.alias("parent"), n0.alias("n0"), n1.alias("n1"))
-    below = below.join(frequent.select(F.col("node").alias("parent")), "parent", "left_semi")
-    kinds = below.groupBy("parent", "node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-    kinds = kinds.groupBy("parent").agg(F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1")).collect()
-    return counts, Counter({r["parent"]: r["k0"] for r in kinds}), Counter({r["parent"]: r["k1"] for r in kinds})
-
-
-def weight_table(counts: dict[str, tuple[float, float]], kinds0: Counter, kinds1: Counter) -> dict[str, float]:
-    """Weights of words by their longest beginning in the table, from (ordinary, toxic) counts of beginnings."""
-    total, out, clear = {"^": 0.0}, {}, set()
-    for node in sorted(counts, key=len):
-        n0, n1 = counts[node]
-        if node == "^":
-            continue
-        parent = node[:LONGEST] if len(node) > LONGEST else node[:-1]
-        if parent not in total or n1 < LEAST:
-            continue
-        all0, all1 = counts[parent]
-        free0, free1 = min(DISCOUNT * kinds0[parent], all0), min(DISCOUNT * kinds1[parent], all1)
-        shared = (n0 + n1 + 0.1) / (all0 + all1 + 3.0)
-        toxic = (max(n1 - DISCOUNT, 0) + free1 * shared) / all1
-        ordinary = (max(n0 - DISCOUNT, 0) + free0 * shared) / all0 if all0 else shared
-        total[node] = total[parent] + math.log(toxic / ordinary)
-        # A word that leaves the table here goes on with shared probabilities, times what the toxic model has free.
-        rest = 0.0 if node.endswith("$") else math.log(max(min(DISCOUNT * kinds1[node], n1), 0.1) / n1)
-        weight = total[node] + rest
-        if weight > CLEAR or parent in clear:
-            clear.add(node)
-            out[node] = weight
-    return out
+                np.add.at(counts[2 * FOLDS.index(part.as_py()) + toxic.as_py()], spelt(text.as_py())[0], 1)
+        kind, sequence = np.nonzero(counts)
+        for a in range(0, len(kind), 1 << 16):
+            some = slice(a, a + (1 << 16))
+            yield pa.RecordBatch.from_arrays([pa.array(kind[some]), pa.array(sequence[some]), pa.array(counts[kind[some], sequence[some]])], names=["kind", "sequence", "n"])
+
+    counted = map_batches(train.select("text", "toxic", "fold"), run, "kind long, sequence long, n long")
+    summed = counted.groupBy("kind", "sequence").agg(F.sum("n").alias("n")).toArrow()  # at most kinds * SYMBOLS**ORDER rows
+    out = np.zeros((kinds, SYMBOLS**ORDER), np.int64)
+    out[summed.column("kind").to_numpy(), summed.column("sequence").to_numpy()] = summed.column("n").to_numpy()
+    return out.reshape(len(FOLDS), 2, -1)
+
+
+def _discounted(counts: np.ndarray, lower: np.ndarray) -> np.ndarray:
+    """Probabilities of the last symbol after the others: discounted counts, and the shorter context with what that frees."""
+    total, kinds = counts.sum(-1, keepdims=True), (counts > 0).sum(-1, keepdims=True)
+    spread = np.broadcast_to(lower, counts.shape)
+    return np.where(total > 0, (np.maximum(counts - DISCOUNT, 0) + DISCOUNT * kinds * spread) / np.maximum(total, 1), spread)
+
+
+def log_ratios(ordinary: np.ndarray, toxic: np.ndarray) -> np.ndarray:
+    """The logarithm of toxic over ordinary probability for each sequence, from the classes' counts."""
+    classes = [np.asarray(c).reshape((SYMBOLS,) * ORDER) for c in (ordinary, toxic)]
+    continuations, level = [], classes[0] + classes[1]
+    for _ in range(ORDER - 1):
+        level = (level > 0).sum(0)  # different symbols before what is left
+        continuations.append(level)
+    shared = np.full(SYMBOLS, 1.0 / SYMBOLS)
+    for level in reversed(continuations):
+        shared = _discounted(level, shared)
+    p0, p1 = (_discounted(c, shared) for c in classes)
+    return (np.log(p1) - np.log(p0)).astype(np.float32).ravel()
 
 
 def _fit(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -162,13 +146,13 @@ def _fit(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 
 class ToxicityModel:
-    """Weights of words and the logistic curve."""
+    """Log ratios of sequences and the logistic curve."""
 
-    def __init__(self, table: dict[str, float], curve: np.ndarray):
-        self.table, self.curve = table, curve
+    def __init__(self, ratios: np.ndarray, curve: np.ndarray):
+        self.ratios, self.curve = ratios, curve
 
-    def score(self, text: str | None, weights: WordWeights) -> float:
-        x = float(np.dot(self.curve[:-1], evidence(text, weights)) + self.curve[-1])
+    def score(self, text: str | None) -> float:
+        x = float(np.dot(self.curve[:-1], evidence(text, self.ratios)) + self.curve[-1])
         return 1 / (1 + math.exp(-x)) if x > -700 else 0.0
 
 
@@ -198,40 +182,35 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     # The fold is taken again from the id, so that no part of the label's row but the label itself comes along.
     joined = texts.hint("merge").join(marks, F.col("id") == F.col("mark_id"))
     rows = staged(joined.select("id", "text", "toxic", fold("id").cast("long").alias("fold")), "toxicity-train")
-    nodes, kinds0, kinds1 = _nodes(_word_counts(rows))
-    if not nodes:
-        return ToxicityModel({}, np.array([0.0, 0.0, 0.0, -1000.0]))
-
-    def without(left_out: int | None) -> dict[str, float]:
-        return weight_table({r["node"]: tuple(sum(r[f"n{y}_{f}"] for f in FOLDS if f != left_out) for y in (0, 1)) for r in nodes}, kinds0, kinds1)
-
-    tables, full = {f: without(f) for f in FOLDS}, without(None)
-    shared = docs.sparkSession.sparkContext.broadcast(tables)
+    counts = _sequence_counts(rows)
+    none = np.array([0.0] * (len(STRETCHES) + 2) + [-1000.0])
+    if not counts.any():
+        return ToxicityModel(log_ratios(*counts.sum(0)), none)
+    without = {f: log_ratios(*(counts.sum(0) - counts[k])) for k, f in enumerate(FOLDS)}
+    shared = docs.sparkSession.sparkContext.broadcast(without)
+    names = [f"x{k}" for k in range(len(none) - 1)]
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        weights = {f: WordWeights(t) for f, t in shared.value.items()}
         for batch in batches:
-            x = [evidence(text.as_py(), weights[part.as_py()]) for text, part in zip(batch.column(0), batch.column(1))]
-            yield pa.RecordBatch.from_arrays([*(pa.array([r[k] for r in x], pa.float64()) for k in range(3)), batch.column(2)], names=["a", "b", "c", "y"])
+            x = [evidence(text.as_py(), shared.value[part.as_py()]) for text, part in zip(batch.column(0), batch.column(1))]
+            yield pa.RecordBatch.from_arrays([*(pa.array([r[k] for r in x], pa.float64()) for k in range(len(names))), batch.column(2)], names=[*names, "y"])
 
     share = min(1.0, CALIBRATION_ROWS / max(1, rows.count()))
     some = rows.where(F.pmod(F.xxhash64(F.lit(5), "id"), F.lit(1_000_000)) < int(share * 1_000_000)).select("text", "fold", "toxic")
-    sample = np.array([list(r) for r in map_batches(some, features, "a double, b double, c double, y long").collect()]).reshape(-1, 4)
-    if not len(sample):
-        return ToxicityModel(full, np.array([0.0, 0.0, 0.0, -1000.0]))
-    return ToxicityModel(full, _fit(sample[:, :3], sample[:, 3]))
+    sample = np.array([list(r) for r in map_batches(some, features, ", ".join(f"{n} double" for n in names) + ", y long").collect()]).reshape(-1, len(names) + 1)
+    shared.unpersist()
+    return ToxicityModel(log_ratios(*counts.sum(0)), _fit(sample[:, :-1], sample[:, -1]) if len(sample) else none)
 
 
 def score_documents(docs: DataFrame, model: ToxicityModel, text_col: str = "text", score_col: str = "score") -> DataFrame:
     """All rows and columns of ``docs`` with the score; a column of that name is replaced."""
     docs = docs.drop(score_col)
-    shared, at = docs.sparkSession.sparkContext.broadcast((model.table, model.curve)), docs.columns.index(text_col)
+    shared, at = docs.sparkSession.sparkContext.broadcast((model.ratios, model.curve)), docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, curve = shared.value
-        own, weights = ToxicityModel(table, curve), WordWeights(table)
+        own = ToxicityModel(*shared.value)
         for batch in batches:
-            scores = pa.array([own.score(text.as_py(), weights) for text in batch.column(at)], pa.float64())
+            scores = pa.array([own.score(text.as_py()) for text in batch.column(at)], pa.float64())
             yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, score_col])
 
     schema = docs.select("*", F.lit(0.0).alias(score_col)).schema
