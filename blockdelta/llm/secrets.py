@@ -1,16 +1,22 @@
 """Secrets in texts: three fixed patterns, and strings that pass a battery of randomness tests.
 
-Long runs of encoding characters are candidates. The smallest encoding that holds all characters of a run is its alphabet; under the
-hypothesis that the run is drawn evenly from it, a chi-squared test over cells of the alphabet, a runs test about the
-middle of the alphabet and a lag-one serial correlation give three p-values, combined by Fisher's method. Ordinary
-long strings fail. The candidates of the whole corpus are then judged together, each length class by itself: the
-step-up rule at level ``q`` settles which of them are ordinary, so that of the random ones among all that it discards at most that
-share is to be expected; what it does not discard, and what could hold a key's worth of bits, is reported as ``random``.
-Candidates go out with their p-values, counts per (length class, p-value step) come to the driver (a fixed number of
-rows), and the cuts go back as constants.
+Long runs of encoding characters are candidates, be they letters, digits or both. The smallest encoding that holds all characters
+of a run is its alphabet; under even draws from it a chi-squared test over cells of the alphabet, a runs test about the
+middle of the alphabet and a lag-one serial correlation give three p-values, combined by Fisher's method.
+
+How often ordinary text looks that random depends on length and alphabet, so the corpus itself says it: every stretch of ``STRETCH``
+characters of every text gives strings of each length class, made of its words without the spaces between (as written, in lower case, with
+the words' lengths or hyphens between, and of its digits). A candidate's false-discovery p-value is the part of these ordinary strings
+of its kind and length class that look at least as random; the step-up rule at level ``q`` over all candidates of the corpus then
+bounds the expected part of ordinary strings among what is reported as ``random``. On short runs of letters ordinary words look as
+random as keys, so such a run is not reported; long ones are told apart.
+
+Candidates and ordinary strings are counted by kind, length class and p-value step; a fixed number of rows comes to the driver and
+the cuts go back as constants.
 
 Defined cases: null text is the empty text, without spans; an empty table gives no rows; spans are in code points, end
-exclusive; rows repeated under one id are scanned each. ``redact`` passes all columns through.
+exclusive; a candidate that lies within a pattern's span is none; rows repeated under one id are scanned each; a corpus without
+ordinary strings of a kind reports none of it. ``redact`` passes all columns through.
 """
 
 from __future__ import annotations
@@ -18,8 +24,11 @@ from __future__ import annotations
 import math
 import re
 from bisect import bisect_right
+from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -35,86 +44,162 @@ LEAST_ASSIGN, LEAST_ACCESS, LEAST_HEX = 6, 20, 24
 KINDS = ("assign", "access", "hex", "random")
 
 CANDIDATE = re.compile(r"[A-Za-z0-9+/_-]{20,}={0,2}")
-#: Runs of letters alone or digits alone are no candidates: on a few dozen characters no test tells a long word or number from a key.
-DIGIT, LETTER = re.compile("[0-9]"), re.compile("[A-Za-z]")
-#: First length of each length class.
+#: First length of each length class; ordinary strings of a class have this length.
 LENGTH_CLASSES = (20, 28, 40, 64, 128)
 #: p-values are counted in steps of this part of a power of ten, down to 10**-10.
 STEPS_PER_DECADE, STEPS = 20, 200
-LEAST_BITS = 80
+LEAST_BITS, LEAST_EXPECTED = 80, 3
+#: Each of these many characters of a text gives one ordinary string of each kind and length.
+STRETCH = 4096
+#: What ordinary strings are made of; longer ones may be keys themselves.
+ORDINARY_WORD = re.compile(r"(?<![A-Za-z0-9])[A-Za-z]{1,19}(?![A-Za-z0-9])")
 
 _DIGITS, _LOWER, _UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+#: Kinds of ordinary strings.
+NULLS = ("lower", "letters", "digits", "lower and digits", "letters and digits", "slug")
 
 
 class Alphabet:
-    """Symbols in order with their cells; no cell crosses from digits to letters or from one case to the other."""
+    """Symbols in order, and cells of neighbouring symbols; no cell crosses from digits to letters or from one case to the other."""
 
-    def __init__(self, *classes: str):
+    def __init__(self, null: str, *classes: str):
         symbols = "".join(classes)
+        self.null, self.classes = NULLS.index(null), classes
         self.index = {c: i for i, c in enumerate(symbols)}
         self.bits = math.log2(len(symbols))
         self.middle, self.size = (len(symbols) - 1) / 2, len(symbols)
         self.mean, self.var = self.middle, (len(symbols) ** 2 - 1) / 12
-        self.cell, self.share = {}, []
-        for symbols in classes:
-            parts = max(1, len(symbols) // 6)
+
+    @lru_cache(maxsize=1024)
+    def cells(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """(cell of each symbol, share of each cell): as many as leave at least ``LEAST_EXPECTED`` of ``n`` symbols to each."""
+        cell, share = [], []
+        for part in self.classes:
+            parts = max(1, min(len(part), int(n * len(part) / self.size / LEAST_EXPECTED)))
             for k in range(parts):
-                cell = symbols[len(symbols) * k // parts : len(symbols) * (k + 1) // parts]
-                self.cell.update(dict.fromkeys(cell, len(self.share)))
-                self.share.append(len(cell) / self.size)
+                own = part[len(part) * k // parts : len(part) * (k + 1) // parts]
+                cell += [len(share)] * len(own)
+                share.append(len(own) / self.size)
+        return np.array(cell), np.array(share)
+
+    def numbers(self, token: str) -> list[int]:
+        return [self.index[c] for c in token]
 
 
 #: From the narrowest to the widest.
-ALPHABETS = tuple(
-    Alphabet(*classes)
-    for classes in ((_DIGITS,), (_DIGITS, "abcdef"), (_DIGITS, "ABCDEF"), ("234567", _UPPER), (_DIGITS, _LOWER), (_DIGITS, _UPPER), (_DIGITS, _LOWER, _UPPER), (_DIGITS, _LOWER, _UPPER, "+/"), (_DIGITS, _LOWER, _UPPER, "-_"), (_DIGITS, _LOWER, _UPPER, "+/-_"))
+ALPHABETS = (
+    Alphabet("digits", _DIGITS),
+    Alphabet("lower and digits", _DIGITS, "abcdef"),
+    Alphabet("lower and digits", _DIGITS, "ABCDEF"),
+    Alphabet("lower", _LOWER),
+    Alphabet("lower", _UPPER),
+    Alphabet("lower and digits", "234567", _UPPER),
+    Alphabet("lower and digits", _DIGITS, _LOWER),
+    Alphabet("lower and digits", _DIGITS, _UPPER),
+    Alphabet("letters", _LOWER, _UPPER),
+    Alphabet("letters and digits", _DIGITS, _LOWER, _UPPER),
+    Alphabet("slug", _DIGITS, _LOWER, _UPPER, "+/"),
+    Alphabet("slug", _DIGITS, _LOWER, _UPPER, "-_"),
+    Alphabet("slug", _DIGITS, _LOWER, _UPPER, "+/-_"),
 )
 
 
-def chi2_tail(x: float, df: int) -> float:
-    """Upper tail by the cube-root normal approximation."""
-    if x <= 0:
-        return 1.0
-    z = ((x / df) ** (1 / 3) - (1 - 2 / (9 * df))) / math.sqrt(2 / (9 * df))
-    return 0.5 * math.erfc(z / math.sqrt(2))
+def alphabet_of(body: str) -> Alphabet:
+    kinds = set(body)
+    return next(a for a in ALPHABETS if kinds <= a.index.keys())
+
+
+_erfc = np.frompyfunc(math.erfc, 1, 1)
 
 
-def two_sided(z: float) -> float:
-    return math.erfc(abs(z) / math.sqrt(2))
+def two_sided(z: np.ndarray) -> np.ndarray:
+    return _erfc(np.abs(z) / math.sqrt(2)).astype(np.float64)
+
+
+def chi2_tail(x: np.ndarray, df: int) -> np.ndarray:
+    """Upper tail by the cube-root normal approximation."""
+    z = ((np.maximum(x, 0) / df) ** (1 / 3) - (1 - 2 / (9 * df))) / math.sqrt(2 / (9 * df))
+    return np.where(x > 0, 0.5 * _erfc(z / math.sqrt(2)).astype(np.float64), 1.0)
+
+
+def battery(at: np.ndarray, alphabet: Alphabet) -> np.ndarray:
+    """Combined p-value of each row of symbol numbers, under even draws from the alphabet."""
+    n = at.shape[1]
+    cell, share = alphabet.cells(n)
+    cells, expected = cell[at], n * share
+    observed = np.stack([(cells == k).sum(1) for k in range(len(expected))], 1)
+    even = chi2_tail(((observed - expected) ** 2 / expected).sum(1), max(1, len(expected) - 1))
+    high = at > alphabet.middle
+    up = high.sum(1)
+    runs, mean = 1 + (high[:, 1:] != high[:, :-1]).sum(1), 1 + 2 * up * (n - up) / n
+    spread = (mean - 1) * (mean - 2) / (n - 1)
+    run_p = np.where(spread > 0, two_sided((runs - mean) / np.sqrt(np.maximum(spread, 1e-9))), 1.0)
+    run_p = np.where((up == 0) | (up == n), 2.0 ** (1 - n), run_p)
+    off = at - alphabet.mean
+    serial = (off[:, 1:] * off[:, :-1]).sum(1) / (alphabet.var * math.sqrt(n - 1))
+    half = -sum(np.log(np.maximum(p, 1e-300)) for p in (even, run_p, two_sided(serial)))
+    return np.exp(-half) * (1 + half + half * half / 2)
 
 
 def randomness(token: str) -> tuple[float, float]:
     """(combined p-value under even draws from the inferred alphabet, bits that the token could hold)."""
     body = token.rstrip("=")
-    n, kinds = len(body), set(body)
-    alphabet = next(a for a in ALPHABETS if kinds <= a.index.keys())
-    observed = [0] * len(alphabet.share)
-    for c in body:
-        observed[alphabet.cell[c]] += 1
-    even = chi2_tail(sum((o - n * s) ** 2 / (n * s) for o, s in zip(observed, alphabet.share)), max(1, len(observed) - 1))
-    at = [alphabet.index[c] for c in body]
-    high = [x > alphabet.middle for x in at]
-    up = sum(high)
-    down = n - up
-    if up and down:
-        runs = 1 + sum(a != b for a, b in zip(high, high[1:]))
-        expected = 1 + 2 * up * down / n
-        spread = (expected - 1) * (expected - 2) / (n - 1)
-        run_p = two_sided((runs - expected) / math.sqrt(spread)) if spread > 0 else 1.0
-    else:
-        run_p = 2.0 ** (1 - n)
-    serial = sum((a - alphabet.mean) * (b - alphabet.mean) for a, b in zip(at, at[1:])) / (alphabet.var * math.sqrt(n - 1))
-    half = -sum(math.log(max(p, 1e-300)) for p in (even, run_p, two_sided(serial)))
-    return math.exp(-half) * (1 + half + half * half / 2), alphabet.bits * n
-
-
-def p_step(p: float) -> int:
+    alphabet = alphabet_of(body)
+    return float(battery(np.array([alphabet.numbers(body)]), alphabet)[0]), alphabet.bits * len(body)
+
+
+def ordinary_strings(text: str) -> Iterator[tuple[int, str]]:
+    """(kind, characters) from each stretch of a text: enough for the longest length class where the stretch has them."""
+    longest = LENGTH_CLASSES[-1]
+    for begin in range(0, len(text), STRETCH):
+        stretch = text[begin : begin + STRETCH]
+        words, size = [], 0
+        for m in ORDINARY_WORD.finditer(stretch):
+            words.append(m.group())
+            size += m.end() - m.start()
+            if size >= longest:
+                break
+        written = "".join(words)
+        yield 0, written.lower()[:longest]
+        yield 1, written[:longest]
+        counted = "".join(f"{w}{len(w)}" for w in words)
+        yield 3, counted.lower()[:longest]
+        yield 4, counted[:longest]
+        yield 5, "-".join(f"{w}{len(w)}" if k % 3 == 2 else w for k, w in enumerate(words))[:longest]
+        digits = re.sub("[^0-9]", "", stretch)
+        if len(digits) >= LENGTH_CLASSES[0]:
+            yield 2, digits[:longest]
+
+
+#: The alphabet that ordinary strings of each kind are tested under.
+NULL_ALPHABETS = tuple(alphabet_of(s) for s in (_LOWER, _LOWER + _UPPER, _DIGITS, _DIGITS + _LOWER, _DIGITS + _LOWER + _UPPER, _DIGITS + _LOWER + _UPPER + "-_"))
+
+
+def ordinary_counts(texts: list[str]) -> Counter:
+    """How many ordinary strings there are of each (kind, length class, p-value step)."""
+    held: dict[tuple[int, int], list[list[int]]] = {}
+    for text in texts:
+        for kind, characters in ordinary_strings(text):
+            numbers = NULL_ALPHABETS[kind].numbers(characters)
+            for k, n in enumerate(LENGTH_CLASSES):
+                if len(numbers) >= n:
+                    held.setdefault((kind, k), []).append(numbers[:n])
+    out: Counter = Counter()
+    for (kind, k), rows in held.items():
+        for a in range(0, len(rows), 4096):
+            steps, n = np.unique(p_steps(battery(np.array(rows[a : a + 4096]), NULL_ALPHABETS[kind])), return_counts=True)
+            for step, count in zip(steps.tolist(), n.tolist()):
+                out[kind, k, step] += count
+    return out
+
+
+def p_steps(p: np.ndarray) -> np.ndarray:
     """Steps count from 0 (p near 1) to STEPS (the smallest)."""
-    return min(STEPS, int(-math.log10(max(p, 1e-300)) * STEPS_PER_DECADE))
+    return np.minimum(STEPS, (-np.log10(np.maximum(p, 1e-300)) * STEPS_PER_DECADE).astype(int))
 
 
-def scan(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int, int]]]:
-    """Base spans (start, kind, end) in order, and candidates (start, end, length class, p-value step) that no base span meets."""
+def scan(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int, int, int]]]:
+    """Base spans (start, kind, end) in order, and candidates (start, end, null kind, length class, p-value step) that no base span covers."""
     base: list[tuple[int, int, int]] = []
     lowered = text.lower()
     if any(word in lowered for word in KEYWORDS):
@@ -126,60 +211,92 @@ def scan(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, in
         base += [(m.start(), 2, m.end()) for m in HEX.finditer(text, run.start(), run.end()) if m.end() - m.start() >= LEAST_HEX]
     base.sort()
     found, k = [], 0
-    ordered = sorted((s, e) for s, _, e in base)
+    near: list[tuple[int, int, int]] = []
     for run in runs:
-        while k < len(ordered) and ordered[k][1] <= run.start():
+        begin, end = run.span()
+        near = [s for s in near if s[2] > begin]
+        while k < len(base) and base[k][0] < end:
+            near += [base[k]] if base[k][2] > begin else []
             k += 1
-        if any(s < run.end() and e > run.start() for s, e in ordered[k : k + 4]):
-            continue
-        if not (DIGIT.search(run.group()) and LETTER.search(run.group())):
-            continue
-        p, bits = randomness(run.group())
-        if bits >= LEAST_BITS:
-            found.append((run.start(), run.end(), bisect_right(LENGTH_CLASSES, run.end() - run.start()) - 1, p_step(p)))
+        at, pieces = begin, []
+        for start, _, stop in near:
+            pieces.append((at, start))
+            at = max(at, stop)
+        pieces.append((at, end))
+        if all(b - a <= 2 and not text[a:b].strip("=") for a, b in pieces if a < b):
+            continue  # covered
+        # What base spans leave of a run is tested by itself if it is long enough for that, else the run as a whole.
+        for a, b in [(a, b) for a, b in pieces if len(text[a:b].rstrip("=")) >= LENGTH_CLASSES[0]] or [(begin, end)]:
+            p, bits = randomness(text[a:b])
+            if bits >= LEAST_BITS:
+                body = text[a:b].rstrip("=")
+                found.append((a, b, alphabet_of(body).null, bisect_right(LENGTH_CLASSES, len(body)) - 1, int(p_steps(np.array(p)))))
     return base, found
 
 
 _SPAN = pa.struct([("start", pa.int32()), ("kind", pa.int32()), ("end", pa.int32())])
-_CANDIDATE = pa.struct([("start", pa.int32()), ("end", pa.int32()), ("length_class", pa.int32()), ("step", pa.int32())])
+_FOUND = ("start", "end", "null_kind", "length_class", "step")
+_CANDIDATE = pa.struct([(name, pa.int32()) for name in _FOUND])
+_COUNTED = ("null_kind", "length_class", "step", "n")
+_ORDINARY = pa.struct([(name, pa.int64()) for name in _COUNTED])
 
 
 def scanned(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """id, base and candidates per row."""
+    """id, base and candidates per row; the counts of ordinary strings of a batch of rows come with its first one."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            both = [scan(text.as_py() or "") for text in batch.column(1)]
+            if not batch.num_rows:
+                continue
+            texts = [text.as_py() or "" for text in batch.column(1)]
+            both = [scan(text) for text in texts]
             base = pa.array([[dict(zip(("start", "kind", "end"), s)) for s in b] for b, _ in both], pa.list_(_SPAN))
-            found = pa.array([[dict(zip(("start", "end", "length_class", "step"), s)) for s in c] for _, c in both], pa.list_(_CANDIDATE))
-            yield pa.RecordBatch.from_arrays([batch.column(0), base, found], names=["id", "base", "candidates"])
+            found = pa.array([[dict(zip(_FOUND, s)) for s in c] for _, c in both], pa.list_(_CANDIDATE))
+            counted = [dict(zip(_COUNTED, (*key, n))) for key, n in ordinary_counts(texts).items()]
+            ordinary = pa.array([counted] + [[]] * (len(texts) - 1), pa.list_(_ORDINARY))
+            yield pa.RecordBatch.from_arrays([batch.column(0), base, found, ordinary], names=["id", "base", "candidates", "ordinary"])
 
-    schema = "id long, base array<struct<start:int,kind:int,end:int>>, candidates array<struct<start:int,end:int,length_class:int,step:int>>"
+    structs = [f"array<struct<{','.join(f'{n}:{t}' for n in names)}>>" for names, t in ((_FOUND, "int"), (_COUNTED, "bigint"))]
+    schema = f"id long, base array<struct<start:int,kind:int,end:int>>, candidates {structs[0]}, ordinary {structs[1]}"
     return map_batches(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), run, schema)
 
 
-def step_cuts(found: DataFrame, q: float) -> dict[int, int]:
-    """For each length class the first step whose candidates are discarded as ordinary, by the step-up rule at level q."""
-    counts = found.select(F.explode("candidates").alias("c")).groupBy("c.length_class", "c.step").agg(F.count(F.lit(1)).alias("n")).collect()
-    cuts = {}
-    for k in range(len(LENGTH_CLASSES)):
-        own = sorted(((r["step"], r["n"]) for r in counts if r["length_class"] == k), reverse=True)
-        total, rank, cut = sum(n for _, n in own), 0, STEPS + 1
-        for step, n in own:
-            rank += n
-            if 10 ** (-step / STEPS_PER_DECADE) <= q * rank / total:
-                cut = step
-        cuts[k] = cut
+Cell = tuple[int, int, int]
+
+
+def step_up(candidates: dict[Cell, int], ordinary: dict[Cell, int], q: float) -> dict[tuple[int, int], int]:
+    """For each (null kind, length class) the last step that is still reported, by the step-up rule at level ``q`` over all candidates."""
+    totals: Counter = Counter()
+    for (kind, k, _), n in ordinary.items():
+        totals[kind, k] += n
+    p = {cell: (1 + sum(ordinary.get((cell[0], cell[1], step), 0) for step in range(cell[2] + 1))) / (1 + totals[cell[0], cell[1]]) for cell in candidates}
+    total, rank, limit = sum(candidates.values()), 0, 0.0
+    for cell in sorted(p, key=p.get):
+        rank += candidates[cell]
+        if p[cell] <= q * rank / total:
+            limit = p[cell]
+    cuts: dict[tuple[int, int], int] = {}
+    for (kind, k, step), value in p.items():
+        if value <= limit:
+            cuts[kind, k] = max(step, cuts.get((kind, k), 0))
     return cuts
 
 
-def _survives(cuts: dict[int, int]) -> Column:
-    keep = F.lit(False)
+def step_cuts(found: DataFrame, q: float) -> dict[tuple[int, int], int]:
+    """The cuts from counts over all rows of ``found``; kinds, classes and steps bound what the driver gets."""
+
+    def counted(column: str, n: Column) -> dict[Cell, int]:
+        rows = found.select(F.explode(column).alias("c")).groupBy("c.null_kind", "c.length_class", "c.step").agg(F.sum(n).alias("n")).collect()
+        return {(r["null_kind"], r["length_class"], r["step"]): r["n"] for r in rows}
+
+    return step_up(counted("candidates", F.lit(1)), counted("ordinary", F.col("c.n")), q)
+
 
+def _survives(cuts: dict[tuple[int, int], int]) -> Column:
     def test(c: Column) -> Column:
-        out = keep
-        for k, cut in cuts.items():
-            out = out | ((c["length_class"] == k) & (c["step"] < cut))
+        out = F.lit(False)
+        for (kind, k), cut in cuts.items():
+            out = out | ((c["null_kind"] == kind) & (c["length_class"] == k) & (c["step"] <= cut))
         return out
 
     return F.filter("candidates", test)
@@ -219,7 +336,7 @@ def redact(docs: DataFrame, q: float = 0.05, text_col: str = "text", chars_col:
             changed = False
             for k, text in enumerate(texts):
                 base, found = scan(text or "")
-                spans = sorted([(s, e) for s, _, e in base] + [(s, e) for s, e, c, step in found if step < cuts[c]])
+                spans = sorted([(s, e) for s, _, e in base] + [(s, e) for s, e, kind, k, step in found if step <= cuts.get((kind, k), -1)])
                 if spans:
                     changed, texts[k] = True, _masked(text, spans)
             if changed:

@@ -113,22 +113,59 @@ def test_secrets(spark):
 
 def test_random_strings_are_found(spark):
     rng = random.Random(10)
-    alphabet = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
-    keys = ["".join(rng.choice(alphabet) for _ in range(40)) for _ in range(60)]
-    plain = [f"build-{'ab' * 9}{k:03d}-release-release-{'11' * 8}" for k in range(200)]
+    upper, digits = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+    words = [a + b + c for a in ("Ver", "ent", "hand", "über", "Stein", "lich") for b in ("schl", "geb", "tra", "munt") for c in ("ung", "er", "en", "lichkeit")]
+    prose = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    key = lambda alphabet, n: "".join(rng.choice(alphabet) for _ in range(n))
+    keys = [key(upper + upper.lower() + digits, 40) for _ in range(60)] + [key(upper, 128) for _ in range(20)] + [key(upper.lower() + digits, 64) for _ in range(20)]
+    keys += ["0123456789abcdef" * 2 + key(upper, 100) for _ in range(4)]  # beyond the stretch of hexadecimal digits too
+    plain = [f"build-{rng.choice(words).lower().replace('ü', 'u')}-release-{rng.choice(words).lower().replace('ü', 'u')}-{k:03d}" for k in range(200)]
+    plain += ["".join(rng.choice(words).lower().replace("ü", "u") for _ in range(3)) for _ in range(100)]
     rows = [(k, f"see {v} there") for k, v in enumerate(keys)] + [(1000 + k, f"see {v} there") for k, v in enumerate(plain)]
+    rows += [(5000 + k, prose(300)) for k in range(800)]
     df = spark.createDataFrame([(i, t, len(t)) for i, t in rows], "doc_id long, text string, n_chars long")
     found = {r["doc_id"]: r["spans"] for r in secrets.digest(secrets.find_secrets(df)).collect()}
-    assert sum("random:4:44" in found[k] for k in range(60)) >= 50
-    assert sum(bool(found[1000 + k]) for k in range(200)) <= 4
+    hits = [f"random:{4 if k < 100 else 36}:{4 + len(v)}" in found[k] for k, v in enumerate(keys)]
+    assert sum(hits[:60]) >= 50 and sum(hits[60:80]) >= 15 and sum(hits[80:100]) >= 15 and sum(hits[100:]) >= 3
+    assert sum("random" in found[1000 + k] for k in range(len(plain))) <= 0.1 * sum(hits)
     masked = {r["doc_id"]: (r["text"], r["n_chars"]) for r in secrets.redact(df).collect()}
     assert len(masked) == len(rows)
-    hit = next(k for k in range(60) if found[k])
-    assert masked[hit] == ("see [secret] there", 18)
+    assert masked[hits.index(True)] == ("see [secret] there", 18)
     untouched = next(k for k in range(1000, 1200) if not found[k])
     assert masked[untouched][0] == dict(rows)[untouched]
 
 
+def test_battery_and_step_up_by_hand():
+    """One string at a time, with plain arithmetic; and the step-up rule from the list of all p-values."""
+    import math
+
+    rng = random.Random(3)
+    for token in ("x1" * 15, "".join(rng.choice("0123456789abcdefghijklmnopqrstuvwxyz") for _ in range(50)), "donaudampfschifffahrtsgesellschaft", "31415926535897932384626433832795"):
+        a = secrets.alphabet_of(token)
+        at, n = [a.index[c] for c in token], len(token)
+        cell, share = a.cells(n)
+        x = sum((sum(cell[i] == k for i in at) - n * s) ** 2 / (n * s) for k, s in enumerate(share))
+        df = max(1, len(share) - 1)
+        p = [0.5 * math.erfc(((x / df) ** (1 / 3) - 1 + 2 / (9 * df)) / math.sqrt(4 / (9 * df)))]
+        up = sum(i > a.middle for i in at)
+        mean = 1 + 2 * up * (n - up) / n
+        runs = 1 + sum((i > a.middle) != (j > a.middle) for i, j in zip(at, at[1:]))
+        p.append(math.erfc(abs(runs - mean) / math.sqrt(2 * (mean - 1) * (mean - 2) / (n - 1))))
+        p.append(math.erfc(abs(sum((i - a.mean) * (j - a.mean) for i, j in zip(at, at[1:])) / (a.var * math.sqrt(n - 1))) / math.sqrt(2)))
+        half = -sum(math.log(max(v, 1e-300)) for v in p)
+        assert secrets.randomness(token)[0] == pytest.approx(math.exp(-half) * (1 + half + half * half / 2), rel=1e-9)
+    ordinary = {(0, 0, s): 3 * s for s in range(1, 40)} | {(4, 2, s): s for s in range(30, 60)}
+    candidates = {(0, 0, 0): 5, (0, 0, 30): 9, (4, 2, 10): 2, (4, 2, 33): 1, (2, 0, 0): 4}
+    listed = []
+    for (kind, k, step), n in candidates.items():
+        own = [(s, m) for (a, b, s), m in ordinary.items() if (a, b) == (kind, k)]
+        listed += [((1 + sum(m for s, m in own if s <= step)) / (1 + sum(m for _, m in own)), (kind, k, step))] * n
+    listed.sort()
+    last = max((i for i, (p, _) in enumerate(listed, 1) if p <= 0.05 * i / len(listed)), default=0)
+    cuts = secrets.step_up(candidates, ordinary, 0.05)
+    assert {c for _, c in listed[:last]} == {c for c in candidates if c[2] <= cuts.get(c[:2], -1)} == {(0, 0, 0), (4, 2, 10)}
+
+
 def test_toxicity(spark):
     rng = random.Random(11)
     words = [f"{a}{b}{c}" for a in ("ta", "re", "lo") for b in ("mi", "nu", "sa", "ke") for c in ("do", "ri", "pe")]
