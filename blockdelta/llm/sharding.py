@@ -6,8 +6,8 @@ narrows only the ranges that still hold a splitter, until the bytes below a boun
 holds one text only (a group of copies, whatever its size) is split further by the hash of the id. Counts come to the driver as
 at most (shards - 1) * 2**BITS rows a pass. Then the rows are exchanged once.
 
-Defined cases: null text has size 1 and checksum 0; an empty table gives no rows; rows repeated under one id share a
-key and stay together; a null id hashes like any other. Further columns pass through, columns of the added names are replaced.
+Defined cases: null text has size 1 and checksum 0; an empty table gives no rows; rows repeated under one id
+have keys of their own; a null id hashes like any other. Further columns pass through, columns of the added names are replaced.
 """
 
 from __future__ import annotations
@@ -89,11 +89,11 @@ def _at_least(column: str, boundary: int) -> Column:
     return F.lit(False) if boundary >= 1 << 63 else F.col(column) >= F.lit(boundary)
 
 
-def shard_of(splitters: list[tuple[int, int | None]]) -> Column:
-    """The number of splitters at or below the row's key (h, v)."""
+def shard_of(splitters: list[tuple[int, int | None]], key: str = "h", within: str = "v") -> Column:
+    """The number of splitters at or below the row's key (the columns ``key`` and ``within``)."""
     shard = F.lit(0)
     for h, v in splitters:
-        past = _at_least("h", h) if v is None else _at_least("h", h) & ((F.col("h") != F.lit(h)) | _at_least("v", v))
+        past = _at_least(key, h) if v is None else _at_least(key, h) & ((F.col(key) != F.lit(h)) | _at_least(within, v))
         shard = shard + F.when(past, 1).otherwise(0)
     return shard
 
@@ -102,8 +102,8 @@ def assign_shards(docs: DataFrame, shards: int = 16, tolerance: float = 0.002, i
     """Per row: id, size, text_crc32, law, shard, slot, grown_shard."""
     text = F.col(text_col)
     binary = F.coalesce(text, F.lit("")).cast("binary")
-    compact = docs.select(F.col(id_col), (F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1).alias("size"), F.crc32(binary).alias("text_crc32"), F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), F.col(id_col)).alias("v"))
-    compact = staged(compact, "shard-keys")
+    compact = docs.select(F.col(id_col), (F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1).alias("size"), F.crc32(binary).alias("text_crc32"), F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), F.col(id_col), F.monotonically_increasing_id()).alias("v"))
+    compact = staged(compact, "shard-keys")  # the numbers of rows are written once and do not change any more
     placed = compact.withColumn("shard", shard_of(find_splitters(compact, shards, tolerance)))
     salts = max(64, -(-compact.count() // (shards * ROWS_PER_TASK)))
     placed = placed.withColumn("salt", F.pmod(F.xxhash64(F.lit(2), F.col(id_col), F.col("h")), F.lit(salts)))
@@ -116,9 +116,11 @@ def assign_shards(docs: DataFrame, shards: int = 16, tolerance: float = 0.002, i
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = 16, tolerance: float = 0.002, id_col: str = "doc_id", text_col: str = "text") -> None:
-    """Writes the documents themselves as ``path/shard=k/``; the texts move once, to as many files as their bytes need."""
+    """Writes the documents themselves as ``path/shard=k/``; the texts move once, to as many files as their bytes need.
+
+    All columns pass through but one named ``shard``. Rows repeated under one id and text stay together here."""
     text = F.col(text_col)
-    keyed = docs.withColumns({"h": F.xxhash64(text), "v": F.xxhash64(F.lit(1), F.col(id_col))})
-    sizes = staged(keyed.select("h", "v", (F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1).alias("size")), "shard-keys")
-    out = keyed.withColumn("shard", shard_of(find_splitters(sizes, shards, tolerance))).drop("h", "v")
+    keyed = docs.drop("shard").withColumns({"__key": F.xxhash64(text), "__within": F.xxhash64(F.lit(1), F.col(id_col))})
+    sizes = staged(keyed.select(F.col("__key").alias("h"), F.col("__within").alias("v"), (F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1).alias("size")), "shard-keys")
+    out = keyed.withColumn("shard", shard_of(find_splitters(sizes, shards, tolerance), "__key", "__within")).drop("__key", "__within")
     out.hint("rebalance", "shard").write.partitionBy("shard").parquet(path)
