@@ -14,6 +14,8 @@ under one id are packed each; windows that stay short hold one filling each and
 from __future__ import annotations
 
 import base64
+import os
+import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -30,6 +32,9 @@ from .common import map_batches, staged
 END_OF_TEXT = "<|endoftext|>"
 #: Slices into which the numbering of all pieces is cut, at most, besides one for each length.
 SLICES = 16384
+#: tiktoken's splitter goes back over runs of white space and stops the task at some hundred thousand characters; from here on
+#: the tokenizers library, which has no such limit, encodes the whole text.
+LONG_SPACE = re.compile(r"\s{1000}")
 
 
 @lru_cache(maxsize=2)
@@ -41,22 +46,35 @@ def _encoding(ranks_path: str, pattern: str):
     return tiktoken.Encoding("byte-bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens={END_OF_TEXT: len(ranks)})
 
 
-def token_ids(text: str, ranks_path: str, pattern: str) -> list[int]:
-    """The ids that the tokenizers library gives for the same vocabulary, its special token included."""
+@lru_cache(maxsize=2)
+def _library(path: str):
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(path)
+    library.no_truncation()
+    library.no_padding()
+    return library
+
+
+def token_ids(text: str, ranks_path: str, pattern: str, library_path: str) -> list[int]:
+    """The ids that the tokenizers library gives for the file ``library_path``, its special token included; ``ranks_path`` holds the same vocabulary."""
+    if LONG_SPACE.search(text):
+        return _library(library_path).encode(text, add_special_tokens=False).ids
     encoding = _encoding(ranks_path, pattern)
     if END_OF_TEXT in text:
         return encoding.encode(text, allowed_special={END_OF_TEXT})
     return encoding.encode_ordinary(text)
 
 
-def pieces_of(docs: DataFrame, ranks_path: str, pattern: str, capacity: int, end_id: int, id_col: str, text_col: str) -> DataFrame:
+def pieces_of(docs: DataFrame, ranks_path: str, pattern: str, library_path: str, capacity: int, end_id: int, id_col: str, text_col: str) -> DataFrame:
     """id, start, length, ids_crc32, doc_tokens of every piece; the texts are read once and ids are not kept."""
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows: list[list[int]] = [[], [], [], [], []]
             for k, text in enumerate(batch.column(1)):
-                ids = token_ids(text.as_py() or "", ranks_path, pattern)
+                ids = token_ids(text.as_py() or "", ranks_path, pattern, library_path)
                 ids.append(end_id)
                 raw, total = memoryview(np.array(ids, dtype="<u4").tobytes()), len(ids)
                 for start in range(0, total, capacity):
@@ -164,7 +182,7 @@ def place(pieces: DataFrame, capacity: int) -> DataFrame:
     return map_batches(numbered, look_up, "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
 
 
-def pack(docs: DataFrame, ranks_path: str, pattern: str, capacity: int = 2048, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def pack(docs: DataFrame, ranks_path: str, pattern: str, library_path: str, capacity: int = 2048, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
-    pieces = staged(pieces_of(docs, ranks_path, pattern, capacity, end_id, id_col, text_col), "packing-pieces")
+    pieces = staged(pieces_of(docs, ranks_path, pattern, library_path, capacity, end_id, id_col, text_col), "packing-pieces")
     return place(pieces, capacity).withColumnRenamed("id", id_col)

@@ -42,7 +42,7 @@ def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     """One row for each piece of a document, with its place in a token window."""
     import public_tokenizers
 
-    return packing.pack(docs, tokenizer_file("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return packing.pack(docs, tokenizer_file("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, tokenizer_file("byte_bpe_50k.json"))
 
 
 STAGES = [("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("ngram_join", drop_near_copies), ("secret_scan", mask_secrets), ("packing", pack_windows)]

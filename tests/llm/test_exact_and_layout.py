@@ -74,6 +74,21 @@ def test_shards(spark, docs):
     assert sharding.assign_shards(docs.limit(0)).count() == 0
 
 
+def test_shards_written(spark, tmp_path):
+    rows = [(k % 50, f"text {k % 7} " * (k % 9), k, str(k), "own") for k in range(400)] + [(None, None, 400, None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, h long, v string, shard string")
+    sharding.write_shards(df, str(tmp_path / "out"), shards=4)
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert set(back.columns) == set(df.columns) and back.select("shard").distinct().count() > 1
+    assert sorted(map(repr, back.select("doc_id", "text", "h", "v").collect())) == sorted(map(repr, df.select("doc_id", "text", "h", "v").collect()))
+
+
+def test_shards_of_one_repeated_row(spark):
+    df = spark.createDataFrame([(1, "the same")] * 1600, "doc_id long, text string")
+    sizes = Counter(r["shard"] for r in sharding.assign_shards(df).collect())
+    assert len(sizes) == 16 and max(sizes.values()) <= 110
+
+
 def test_multiset_is_the_closest():
     from itertools import combinations
 
@@ -99,9 +114,9 @@ def test_packing(spark):
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    rows = [(1, None), (2, ""), (3, "hello <|endoftext|> world"), (4, "word " * 9000), (5, "é😀\n\n  x" * 50), *((10 + k, f"document number {k} " * (k % 40)) for k in range(200)), (7, "twice"), (7, "twice")]
+    rows = [(1, None), (2, ""), (3, "hello <|endoftext|> world"), (4, "word " * 9000), (5, "é😀\n\n  x" * 50), *((10 + k, f"document number {k} " * (k % 40)) for k in range(200)), (7, "twice"), (7, "twice"), (8, "a" + " " * 1_000_000 + "\n" * 1_000_000), (9, "ab" * 500_000), (300, "!?" * 500_000), (301, "x" + "\u3000" * 5000 + "y")]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
-    got = packing.pack(df, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).collect()
+    got = packing.pack(df, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, public_tokenizers.path("byte_bpe_50k.json")).collect()
     import numpy as np
 
     pieces, windows = defaultdict(list), defaultdict(list)
@@ -124,7 +139,7 @@ def test_packing(spark):
         assert at <= 2048
     total = sum(r["length"] for r in got)
     assert len(windows) * 2048 - total < 2048 * 2
-    assert packing.pack(df.limit(0), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).count() == 0
+    assert packing.pack(df.limit(0), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, public_tokenizers.path("byte_bpe_50k.json")).count() == 0
 
 
 def test_staged_tables_can_be_forgotten(spark, docs):
