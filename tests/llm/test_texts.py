@@ -46,20 +46,61 @@ def test_personal_data(spark):
     assert pii.digest(pii.find_personal_data(df.limit(0))).count() == 0
 
 
+def brute_terms(rows):
+    """(row, start, end) of the revealing terms, by one pass over each text after the other."""
+    import math
+    from collections import defaultdict
+
+    joint, windows, occurring, near = defaultdict(set), defaultdict(set), defaultdict(int), []
+    for k, text in enumerate(rows):
+        text = text or ""
+        whole = [(m.start(), m.end(), m.group()) for m in re.finditer(r"[^\W\d_]+", text)]
+        for word in {w.lower() for _, _, w in whole}:
+            occurring[word] += 1
+        base = [(kind, m.start(), m.end()) for kind, p in PII for m in re.finditer(p, text) if passes(kind, m.group())]
+        for kind, start, end in base:
+            value, left, right = text[start:end], text[max(0, start - pii.WINDOW) : start], text[end : end + pii.WINDOW]
+            context = (left, text[max(0, start - pii.WINDOW) - 1 : max(0, start - pii.WINDOW)], value, text[end : end + pii.WINDOW + 1])
+            for entity in ((kind, value.lower()), kind):
+                windows[entity].add(context)
+            for a, b, word in whole:
+                inside = start - pii.WINDOW <= a and b <= start or end <= a and b <= end + pii.WINDOW
+                if inside and len(word) >= 3 and not any(s < b and e > a for _, s, e in base):
+                    for entity in ((kind, value.lower()), kind):
+                        joint[entity, word.lower()].add(context)
+                        near.append((entity, word.lower(), k, a, b))
+    out = set()
+    for entity, word, k, a, b in near:
+        both, n = len(joint[entity, word]), len(windows[entity])
+        information = math.log2(len(rows) / n)
+        mutual = math.log2(len(rows) * min(both, occurring[word]) / (n * occurring[word]))
+        if both >= (pii.LEAST_KIND if isinstance(entity, str) else pii.LEAST_VALUE) and information > 0 and mutual * both / (both + 1) >= pii.THRESHOLD * information:
+            out.add((k, a, b))
+    return out
+
+
 def test_revealing_terms(spark):
     rng = random.Random(6)
     words = [f"{a}{b}" for a in ("lorem", "ipsum", "dolor", "amet", "elit") for b in ("ab", "ec", "id", "of", "up")]
     filler = lambda: " ".join(rng.choice(words) for _ in range(30))
-    rows = [(k, f"{filler()} write to Quuxington at joe.{k % 4}@mail.org today {filler()}") for k in range(24)]
-    rows += [(100 + k, filler()) for k in range(300)] + [(900, "Quuxington alone"), (901, None)]
-    df = spark.createDataFrame(rows, "doc_id long, text string")
-    found = {r["doc_id"]: r for r in pii.find_personal_data(df, threshold=0.5).collect()}
-    terms = [s["value"] for k in range(24) for s in found[k]["terms"]]
-    assert "Quuxington" in terms and not {"loremab", "ipsumec"} & set(terms)
-    assert all(not found[100 + k]["terms"] for k in range(300)) and not found[900]["terms"]
-    clean = {r["doc_id"]: r["text"] for r in pii.sanitise(df, threshold=0.5).collect()}
-    assert "joe." not in clean[0] and "[email]" in clean[0] and "Quuxington" not in clean[0]
-    assert clean[100] == dict(rows)[100] and clean[901] is None
+    texts = [f"{filler()} write to Quuxington at joe.{k % 4}@mail.org today {filler()}" for k in range(24)]
+    texts += [f"{filler()} Vexley calls +49 170 55{k:05d} {filler()}" for k in range(5)]  # each number once
+    texts += [filler() for k in range(300)] + ["Quuxington alone", None, "", "Żółć a@b.cd Żółć"]
+    texts += [f"copied Zzyzx a1@copies.org {texts[40]}"] * 6  # one window, six times
+    df = spark.createDataFrame([(k if k % 50 else None, t) for k, t in enumerate(texts)], "doc_id long, text string").coalesce(1)
+    numbered = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = {r["doc_id"]: r for r in pii.find_personal_data(numbered).collect()}
+    got = {(k, s["start"], s["end"]) for k, r in found.items() for s in r["terms"]}
+    assert got == brute_terms(texts)
+    value = lambda k: {s["value"] for s in found[k]["terms"]}
+    assert all("Quuxington" in value(k) for k in range(24)) and all("Vexley" in value(24 + k) for k in range(5))
+    assert not any(found[29 + k]["terms"] for k in range(300)) and not found[329]["terms"] and not value(len(texts) - 1)
+    clean = [r["text"] for r in pii.sanitise(df).collect()]
+    assert len(clean) == len(texts) and not any("joe." in t or "+49" in t for t in clean if t)
+    assert sum(t is not None and "Quuxington" in t for t in clean) == 1 and clean.count(None) == 1
+    assert sorted(t for t in clean if t and t in texts) == sorted(t for t in texts[29:331] if t)
+    repeated = spark.createDataFrame([(1, "to a@b.cd"), (1, "x@y.zz and more"), (None, "call a@b.cd")], "doc_id long, text string")
+    assert sorted(r["text"] for r in pii.sanitise(repeated).collect()) == ["[email] and more", "call [email]", "to [email]"]
 
 
 def test_span_search_and_folding(spark):
