@@ -2,12 +2,15 @@
 
 Addresses that a rule settles train two Markov models of the next character, one of allowed and one of blocked addresses. Counts of
 one to four characters back are mixed by Witten-Bell weights, from the longest context seen down to an even
-distribution. A context counts if it makes up at least one part in ``RESOLUTION`` of all, so by arithmetic the
-tables have at most ORDER * RESOLUTION rows each and go by broadcast. An address's score is its log-likelihood
-difference per character; addresses of one fold are kept from training, and the cut lies midway between what the given part of their
-allowed ones stay below and what the same part of their blocked ones exceed.
+distribution; every context counts, however rare. An address's score is its log-likelihood difference per character; addresses of
+one fold are kept from training, and the cut lies midway between what the given part of their allowed ones stay below
+and what the same part of their blocked ones exceed.
 
-Defined cases: a null address, or one without ``://``, has empty host and path; an address without characters scores 0; if one kind has
+The different longest sequences of all addresses are weighed once, by joins that grow with their number. Sequences that make up at least
+one part in ``HOT_PARTS`` of all characters are by arithmetic no more than that many and meet the addresses by broadcast; the
+others by shuffle, and only their characters move.
+
+Defined cases: a null address, or one without ``://``, has empty host and path; an address without characters is scored by its end alone; if one kind has
 no training rows at all the models are silent and allow; an empty table gives no rows; rows repeated under one id are judged each.
 """
 
@@ -20,8 +23,10 @@ from pyspark.sql import functions as F
 
 from .common import ascii_lower, staged
 
-#: Characters of the longest n-gram, parts of the training text that still count, and the size of the even distribution.
-ORDER, RESOLUTION, SYMBOLS = 4, 200_000, 256
+#: Characters of the longest n-gram, and the size of the even distribution.
+ORDER, SYMBOLS = 4, 256
+#: Sequences of at least this part of all characters go by broadcast.
+HOT_PARTS = 100_000
 #: Addresses with this remainder of five calibrate; the others train.
 CALIBRATION_FOLD = 0
 
@@ -61,54 +66,46 @@ def grams(pages: DataFrame, *keep: str) -> DataFrame:
     return pages.withColumn("padded", padded).select(*keep, F.explode(window).alias("gram"))
 
 
-def markov_model(train: DataFrame) -> DataFrame:
-    """(s, pa, pb, la, lb): probabilities of the last character of s after the others, and the weights of shorter contexts after s; for
-    allowed and blocked. ``train`` has the columns allowed (boolean), host and path."""
+def sequence_counts(train: DataFrame) -> DataFrame:
+    """(s, a, b): how often each sequence of up to ORDER characters stands in allowed and in blocked addresses; ``train`` has allowed (boolean), host and path."""
     longest = grams(train, "allowed").groupBy("gram").agg(F.sum(F.col("allowed").cast("long")).alias("a"), F.sum((~F.col("allowed")).cast("long")).alias("b"))
     parts = longest.select("a", "b", F.explode(F.array(*[F.expr(f"right(gram, {k})") for k in range(1, ORDER + 1)])).alias("s"))
-    counts = staged(parts.groupBy("s").agg(F.sum("a").alias("a"), F.sum("b").alias("b")), "url-counts")
-    total = counts.where("length(s) = 1").agg(F.sum("a"), F.sum("b"), F.sum((F.col("a") > 0).cast("long")), F.sum((F.col("b") > 0).cast("long"))).first()
-    all_a, all_b, kinds_a, kinds_b = (x or 0 for x in total)
-    least = max(2, -(-(all_a + all_b) // RESOLUTION))
-    counts = counts.where(F.col("a") + F.col("b") >= least)
-    follow = counts.where("length(s) > 1").groupBy(F.expr("left(s, length(s) - 1)").alias("c")).agg(
-        F.sum("a").alias("ca"), F.sum("b").alias("cb"), F.sum((F.col("a") > 0).cast("long")).alias("ka"), F.sum((F.col("b") > 0).cast("long")).alias("kb")
-    )
+    return staged(parts.groupBy("s").agg(F.sum("a").alias("a"), F.sum("b").alias("b")), "url-counts")
+
+
+def weigh(seen: DataFrame, counts: DataFrame) -> DataFrame:
+    """``seen`` (gram, n) with x, the log-likelihood difference of the last character after the others."""
+    followers = [f(F.col(c)) for c in "ab" for f in (F.sum, lambda x: F.sum((x > 0).cast("long")))]
+    follow = counts.where("length(s) > 1").groupBy(F.expr("left(s, length(s) - 1)").alias("c")).agg(*[f.alias(n) for f, n in zip(followers, ("all_a", "kinds_a", "all_b", "kinds_b"))])
     follow = staged(follow, "url-contexts")
+    first = counts.where("length(s) = 1").agg(*followers).first()
+    total = dict(zip(("all_a", "kinds_a", "all_b", "kinds_b"), (F.lit(x or 0) for x in first)))
+    rows, p = seen, {"a": F.lit(1.0 / SYMBOLS), "b": F.lit(1.0 / SYMBOLS)}
+    for k in range(1, ORDER + 1):
+        own = counts.where(F.length("s") == k).select(F.col("s").alias(f"s{k}"), F.col("a").alias(f"a{k}"), F.col("b").alias(f"b{k}"))
+        rows = rows.join(own, F.expr(f"right(gram, {k})") == F.col(f"s{k}"), "left")
+        if k > 1:
+            context = follow.where(F.length("c") == k - 1).select(*[F.col(c).alias(f"{c}{k}") for c in follow.columns])
+            rows = rows.join(context, F.expr(f"left(right(gram, {k}), {k - 1})") == F.col(f"c{k}"), "left")
+            total = {c: F.coalesce(f"{c}{k}", F.lit(0)) for c in total}
+        for kind in "ab":
+            n, every, kinds = F.coalesce(f"{kind}{k}", F.lit(0)), total[f"all_{kind}"], total[f"kinds_{kind}"]
+            p[kind] = F.when(every > 0, (n + kinds * p[kind]) / (every + kinds)).otherwise(p[kind])
+    return staged(rows.select("gram", "n", (F.ln(p["a"]) - F.ln(p["b"])).alias("x")), "url-weights")
+
 
-    def share(n: Column, kinds: Column, all_n: Column, lower: Column) -> Column:
-        return F.when(all_n + kinds > 0, (n + kinds * lower) / (all_n + kinds)).otherwise(lower)
-
-    even = F.lit(1.0 / SYMBOLS)
-    level = counts.where("length(s) = 1").select("s", share(F.col("a"), F.lit(kinds_a), F.lit(all_a), even).alias("pa"), share(F.col("b"), F.lit(kinds_b), F.lit(all_b), even).alias("pb"))
-    levels = [level]
-    for k in range(2, ORDER + 1):
-        own = counts.where(F.length("s") == k).join(F.broadcast(follow), F.expr("left(s, length(s) - 1)") == F.col("c"))
-        low = level.select(F.col("s").alias("low"), F.col("pa").alias("qa"), F.col("pb").alias("qb"))
-        own = own.join(F.broadcast(low), F.expr("right(s, length(s) - 1)") == F.col("low"))
-        level = staged(own.select("s", share(F.col("a"), F.col("ka"), F.col("ca"), F.col("qa")).alias("pa"), share(F.col("b"), F.col("kb"), F.col("cb"), F.col("qb")).alias("pb")), f"url-model-{k}")
-        levels.append(level)
-    joined = levels[0]
-    for level in levels[1:]:
-        joined = joined.union(level)
-    weights = follow.select("c", *[F.when(F.col(f"c{x}") > 0, F.col(f"k{x}") / (F.col(f"c{x}") + F.col(f"k{x}"))).otherwise(1.0).alias(f"l{x}") for x in "ab"])
-    return staged(joined.join(F.broadcast(weights), F.col("s") == F.col("c"), "left").select("s", "pa", "pb", "la", "lb"), "url-model")
-
-
-def log_ratio(pages: DataFrame, model: DataFrame) -> DataFrame:
+def log_ratio(pages: DataFrame, counts: DataFrame) -> DataFrame:
     """(rid, score) of ``pages`` (rid, host, path): the mean log-likelihood difference per character."""
+    seen = staged(grams(pages).groupBy("gram").agg(F.count(F.lit(1)).alias("n")), "url-seen")
+    weights = weigh(seen, counts)
+    floor = max(1, (seen.agg(F.sum("n")).first()[0] or 0) // HOT_PARTS)
     rows = grams(pages, "rid")
-    pa, pb = F.lit(1.0 / SYMBOLS), F.lit(1.0 / SYMBOLS)
-    for k in range(1, ORDER + 1):
-        seen = model.select(F.col("s").alias(f"s{k}"), F.col("pa").alias(f"pa{k}"), F.col("pb").alias(f"pb{k}"))
-        rows = rows.join(F.broadcast(seen), F.expr(f"right(gram, {k})") == F.col(f"s{k}"), "left")
-        if k > 1:
-            context = model.where("la is not null").select(F.col("s").alias(f"c{k}"), F.col("la").alias(f"la{k}"), F.col("lb").alias(f"lb{k}"))
-            rows = rows.join(F.broadcast(context), F.expr(f"left(right(gram, {k}), {k - 1})") == F.col(f"c{k}"), "left")
-            pa, pb = F.coalesce(F.col(f"la{k}"), F.lit(1.0)) * pa, F.coalesce(F.col(f"lb{k}"), F.lit(1.0)) * pb
-        pa, pb = F.coalesce(F.col(f"pa{k}"), pa), F.coalesce(F.col(f"pb{k}"), pb)
-    rows = rows.select("rid", (F.ln(pa) - F.ln(pb)).alias("x"))
-    return rows.groupBy("rid").agg((F.sum("x") / F.count(F.lit(1))).alias("score"))
+    hot = F.broadcast(weights.where(F.col("n") >= floor).select(F.col("gram").alias("g"), "x"))
+    frequent = rows.join(hot, F.col("gram") == F.col("g")).select("rid", "x")
+    rare = rows.join(hot.select("g"), F.col("gram") == F.col("g"), "left_anti").join(weights.where(F.col("n") < floor).select("gram", "x"), "gram").select("rid", "x")
+    # Sums are rounded, as the order of addition is not fixed.
+    parts = [part.groupBy("rid").agg(F.sum("x").alias("x"), F.count(F.lit(1)).alias("n")) for part in (frequent, rare)]
+    return parts[0].unionByName(parts[1]).groupBy("rid").agg(F.round(F.sum("x") / F.sum("n"), 9).alias("score"))
 
 
 def judge(pages: DataFrame, rules: list[Rule], tail: float = 0.01, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
@@ -122,8 +119,8 @@ def judge(pages: DataFrame, rules: list[Rule], tail: float = 0.01, id_col: str =
     kinds = known.where(fold != CALIBRATION_FOLD).agg(F.max("allowed"), F.min("allowed")).first()
     if kinds[0] is not True or kinds[1] is not False:
         return named.select(F.col("id").alias(id_col), "host", "path", "rule", F.coalesce("settled", F.lit("allow")).alias("verdict"), F.lit(0.0).alias("score"))
-    model = markov_model(known.where(fold != CALIBRATION_FOLD))
-    scores = staged(log_ratio(named, model), "url-scores")
+    counts = sequence_counts(known.where(fold != CALIBRATION_FOLD))
+    scores = staged(log_ratio(named, counts), "url-scores")
     judged = named.join(scores, "rid")
     held = judged.where(F.col("settled").isNotNull() & (fold == CALIBRATION_FOLD))
     allowed, blocked = (F.when(F.col("settled") == kind, F.col("score")) for kind in ("allow", "block"))

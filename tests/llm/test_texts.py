@@ -327,6 +327,34 @@ def test_url_model(spark):
     assert sum(got[9000 + k] == ["block"] for k in range(20)) >= 18 and sum(got[9100 + k] == ["allow"] for k in range(20)) >= 18
 
 
+def test_url_scores_against_brute_force(spark):
+    """Scores from counts of strings; and the error on rule-settled addresses that the models have not seen."""
+    import math
+
+    rng = random.Random(14)
+    rows = [(k, "".join(rng.choice("ab") for _ in range(5)) + rng.choice((".net", ".org")), "/" + "".join(rng.choice("xyz9") for _ in range(rng.randrange(6))), k % 3 > 0) for k in range(120)]
+    asked = [(k, h, p) for k, h, p, _ in rows[:40]] + [(500, "é.qq", "/new"), (501, "", "")]
+    n, counts = url_filter.ORDER, [{}, {}]
+    sequences = lambda h, p: [("\x02" * (n - 1) + h + p + "\x03")[i : i + n] for i in range(len(h + p) + 1)]
+    for _, h, p, allowed in rows:
+        for s in sequences(h, p):
+            for k in range(1, n + 1):
+                counts[allowed][s[-k:]] = counts[allowed].get(s[-k:], 0) + 1
+
+    def mixed(table, s):
+        if not s:
+            return 1 / url_filter.SYMBOLS
+        after = [v for k, v in table.items() if len(k) == len(s) and k[:-1] == s[:-1]]
+        low = mixed(table, s[1:])
+        return (table.get(s, 0) + len(after) * low) / (sum(after) + len(after)) if after else low
+
+    train = spark.createDataFrame(rows, "id long, host string, path string, allowed boolean")
+    got = {r["rid"]: r["score"] for r in url_filter.log_ratio(spark.createDataFrame(asked, "rid long, host string, path string"), url_filter.sequence_counts(train)).collect()}
+    for k, h, p in asked:
+        x = [math.log(mixed(counts[1], s) / mixed(counts[0], s)) for s in sequences(h, p)]
+        assert got[k] == pytest.approx(sum(x) / len(x), abs=1e-8)
+
+
 def test_pipeline(spark, tmp_path, sf_dir):
     corpus_pipeline = pytest.importorskip("corpus_pipeline")
     names = [n for n, _ in corpus_pipeline.STAGES]
