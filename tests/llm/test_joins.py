@@ -163,3 +163,54 @@ def test_few_and_no_vectors(spark):
     (only,) = ann.nearest(df, df["vec_id"] % 50 == 0).collect()
     assert (only["query_id"], only["rank"], only["vec_id"]) == (0, 1, 1) and only["score"] == pytest.approx(0.5**0.5)
     assert ann.nearest(df.limit(0), df["vec_id"] % 50 == 0).count() == 0
+
+
+def test_nearest_ties_and_repeated_ids(spark):
+    rng = np.random.default_rng(5)
+    rows = [(k, (rng.normal(size=8)).tolist()) for k in range(200) if k not in (50, 60)]
+    same = [3.0, 1.0, -2.0, 0.5, 0.0, 1.0, 1.0, 4.0]
+    rows += [(50, same)] * 10 + [(60, same)]
+    parallel = rng.normal(size=8)
+    rows += [(400 + k, (parallel * (k + 1)).tolist()) for k in range(300)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    for shard_rows in (180, 5000):
+        got = {}
+        for r in ann.nearest(df, df["vec_id"].isin(50, 400, 410), shard_rows=shard_rows).collect():
+            got.setdefault(r["query_id"], {})[r["rank"]] = (r["vec_id"], r["score"])
+        assert got[50][1] == (60, pytest.approx(1.0)) and 50 not in {v for v, _ in got[50].values()}
+        assert [got[400][k][0] for k in range(1, 6)] == [401, 402, 403, 404, 405]
+        assert [got[410][k][0] for k in range(1, 6)] == [400, 401, 402, 403, 404]
+
+
+def test_recall_on_the_given_table(spark):
+    """Over several shards, against all products."""
+    df = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet").select("vec_id", "embedding")
+    rows = [(r["vec_id"], np.array(r["embedding"], float)) for r in df.where(ann.usable(df["embedding"])).collect()]
+    ids, vectors = np.array([k for k, _ in rows]), np.stack([v for _, v in rows])
+    unit = vectors / np.linalg.norm(vectors, axis=1, keepdims=True)
+    found = {}
+    for r in ann.nearest(df, df["vec_id"] % 50 == 0, shard_rows=600).collect():
+        found.setdefault(r["query_id"], set()).add(r["vec_id"])
+    hits = total = 0
+    for q in np.flatnonzero(ids % 50 == 0):
+        sims = unit @ unit[q]
+        sims[ids == ids[q]] = -np.inf
+        best = set(ids[np.lexsort((ids, -sims))[:5]].tolist())
+        hits, total = hits + len(best & found[ids[q]]), total + len(best)
+    assert total >= 5 * 30 and hits / total >= 0.95
+
+
+def test_visits_grow_slowly():
+    rng = np.random.default_rng(6)
+    scored = []
+    for n in (1500, 12000):
+        vectors = rng.normal(size=(n, 12))
+        graph = ann.Graph(**ann.build_graph(np.arange(n)[:, None], vectors))
+        names, _ = graph.nearest(np.arange(0, n, 50), vectors[::50], 5, 64)
+        unit = vectors / np.linalg.norm(vectors, axis=1, keepdims=True)
+        sims = unit[::50] @ unit.T
+        sims[np.arange(len(sims)), np.arange(0, n, 50)] = -1
+        best = np.argsort(-sims, axis=1)[:, :5]
+        assert np.mean([len(set(a) & set(b)) / 5 for a, b in zip(names.tolist(), best.tolist())]) >= 0.9
+        scored.append(graph.scored / len(names))
+    assert scored[1] < 2.5 * scored[0] and scored[1] < 0.2 * 12000
