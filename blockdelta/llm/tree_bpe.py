@@ -1,15 +1,15 @@
 """BPE encoding and decoding by tree concatenation.
 
-A text is halved until no part is longer than a leaf, and the leaves are encoded side by side. Going up the tree, a
-window around each join is encoded anew and must agree with both sides: on the left it begins where the left part ends
-a word, on the right there has to be a place where window and right part both end one, each far enough from the edges
-of what was encoded that nothing beyond them could have moved it. Splitting into words runs from left to right and
-looks only a few characters ahead, so from such a place on parts and whole text have the same tokens. If there is none
-the window doubles, at the end to both parts whole, which are then encoded as one. The result is therefore always that
-of the whole text; unless words are very long, windows stay small.
+A text is split into words as the tokenizer's own rule does, and words of everyday scripts take their ids from a table of bounded size.
+A long stretch that the rule leaves unsplit is halved until no part is longer than a leaf, and the leaves are encoded side by side
+in one call. Going up the tree, a window of tokens around each join is encoded anew and grows until both sides agree exactly: its first token
+must be the left part's token at that place, and its last one the right part's. Any two neighbours in the outcome are then
+neighbours in the encoding of some part of the text, and a sequence of tokens of which that is true is the encoding of the whole.
+Windows stay small, so the characters that are encoded again grow with the number of joins and not with the length of the sides.
+A window that reaches both ends is the plain encoding; the result is therefore always that of the whole text.
 
-A part holds the ids of each of its words. Words of everyday scripts are found by an expression and their ids kept in a table of
-bounded size; all else goes through the library's own normaliser and splitter. Special tokens part a text beforehand.
+Cuts and windows lie on whole characters. Only the part that ends the stretch is encoded with the word's end. Special tokens part a
+text beforehand; all text beyond everyday scripts goes through the library's own normaliser and splitter.
 
 Defined cases: null text is the empty text, without ids; an empty table gives no rows; each row is encoded by itself.
 """
@@ -32,10 +32,8 @@ from pyspark.sql import functions as F
 
 from .common import map_batches
 
-#: Characters of a leaf and of the first window on each side.
-LEAF, WINDOW = 8192, 96
-#: A word end counts as settled at this distance from the edge of an encoded part; the splitter looks three characters ahead.
-GUARD = 8
+#: Characters of a leaf, and tokens of the first window on each side.
+LEAF, WINDOW = 512, 8
 #: Words whose ids are kept, at most, and the longest of them.
 KEPT_WORDS, KEPT_LENGTH = 1_000_000, 48
 
@@ -47,36 +45,6 @@ UNUSUAL = re.compile("[^\x00-ɏ]|[\x1c-\x1f\x85]")
 Ids = tuple[int, ...]
 
 
-class Part:
-    """The words of text[begin:end] and the ids of each."""
-
-    __slots__ = ("begin", "end", "words", "ids")
-
-    def __init__(self, begin: int, end: int, words: list[str], ids: list[Ids]):
-        self.begin, self.end, self.words, self.ids = begin, end, words, ids
-
-    def ends(self, text: str) -> Iterator[int]:
-        """Where each word ends, from the first on; only white space lies between words."""
-        at = self.begin
-        for word in self.words:
-            while not text.startswith(word, at):
-                at += 1
-            at += len(word)
-            yield at
-
-    def last_end(self, text: str, limit: int) -> tuple[int, int]:
-        """(words, end) up to the last word that ends at or before ``limit``; (0, begin) if there is none."""
-        at = self.end
-        for count in range(len(self.words), 0, -1):
-            word = self.words[count - 1]
-            while not text.endswith(word, self.begin, at):
-                at -= 1
-            if at <= limit:
-                return count, at
-            at -= len(word)
-        return 0, self.begin
-
-
 class TreeBPE:
     """Encoder and decoder around one tokenizer file."""
 
@@ -88,27 +56,34 @@ class TreeBPE:
         with open(path) as source:
             parts = json.load(source)
         # Words reach it normalised, and normalising twice is not the same for some letters.
-        self.normalised = Tokenizer.from_str(json.dumps(parts | {"normalizer": None, "truncation": None, "padding": None, "added_tokens": []}))
+        plain = parts | {"normalizer": None, "truncation": None, "padding": None, "added_tokens": []}
+        self.normalised = Tokenizer.from_str(json.dumps(plain))
+        # Parts of a word that do not end it.
+        self.inner = Tokenizer.from_str(json.dumps(plain | {"model": parts["model"] | {"end_of_word_suffix": None}}))
+        suffix = parts["model"].get("end_of_word_suffix") or ""
         vocabulary = self.library.get_vocab(with_added_tokens=True)
         self.tokens: list[str] = [""] * (max(vocabulary.values(), default=-1) + 1)
         for token, i in vocabulary.items():
             self.tokens[i] = token
+        # Every character of a token stands for one byte.
+        self.bytes_of = [len(t.removesuffix(suffix)) if suffix else len(t) for t in self.tokens]
         self.special = {t.content: i for i, t in self.library.get_added_tokens_decoder().items()}
         self.special_text = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.leaf, self.window, self.plain_decoder = leaf, window, self.library.decoder is None
         self.kept: dict[str, Ids] = {}
-        self.widened = 0
+        #: Joins, windows that had to grow, and characters that went through the library in trees.
+        self.joins = self.widened = self.tree_characters = 0
 
     def encode(self, text: str) -> np.ndarray:
-        out: list[list[Ids]] = []
+        out: list[Ids] = []
         for k, stretch in enumerate(self.special_text.split(text) if self.special_text else [text]):
             if k % 2:
-                out.append([(self.special[stretch],)])
+                out.append((self.special[stretch],))
             elif stretch:
                 usual = UNUSUAL.search(stretch) is None
                 # White space is dropped by the splitter, so in usual text folding case is all there is to normalise.
-                out.append(self._tree(stretch.lower() if usual else self.library.normalizer.normalize_str(stretch), usual).ids)
-        return np.fromiter(chain.from_iterable(chain.from_iterable(out)), np.uint32)
+                out += self._words(stretch.lower() if usual else self.library.normalizer.normalize_str(stretch), usual)
+        return np.fromiter(chain.from_iterable(out), np.uint32)
 
     def decode(self, ids: np.ndarray) -> str:
         """As the library's decode(ids, skip_special_tokens=False); without a decoder that is the tokens with blanks between."""
@@ -116,57 +91,62 @@ class TreeBPE:
             return self.library.decode(ids.tolist(), skip_special_tokens=False)
         return " ".join(map(self.tokens.__getitem__, ids.tolist()))
 
-    def _tree(self, text: str, usual: bool) -> Part:
-        cuts = [0, len(text)]
-        while max(b - a for a, b in zip(cuts, cuts[1:])) > self.leaf:
-            cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
-        parts = [self._encoded(text, a, b, usual) for a, b in zip(cuts, cuts[1:])]
-        while len(parts) > 1:  # one level of the tree
-            parts = [self._join(text, *parts[k : k + 2], usual) if k + 1 < len(parts) else parts[k] for k in range(0, len(parts), 2)]
-        return parts[0]
-
-    def _encoded(self, text: str, a: int, b: int, usual: bool) -> Part:
-        piece = text if b - a == len(text) else text[a:b]
+    def _words(self, text: str, usual: bool) -> list[Ids]:
+        """The ids of each word."""
         if usual:
-            words = WORD.findall(piece)
+            words = WORD.findall(text)
         else:
-            words = [piece[x:y] for _, (x, y) in self.normalised.pre_tokenizer.pre_tokenize_str(piece)]
+            words = [text[x:y] for _, (x, y) in self.normalised.pre_tokenizer.pre_tokenize_str(text)]
         kept = self.kept
         ids = list(map(kept.get, words))
         if None in ids:
             missing = list({w for w, i in zip(words, ids) if i is None})
-            fresh = {w: tuple(e.ids) for w, e in zip(missing, self.normalised.encode_batch(missing, add_special_tokens=False))}
+            short = [w for w in missing if len(w) <= self.leaf]
+            fresh = {w: tuple(e.ids) for w, e in zip(short, self.normalised.encode_batch(short, add_special_tokens=False))}
+            fresh |= {w: tuple(self._tree(w)) for w in missing if len(w) > self.leaf}
             ids = [fresh[w] if i is None else i for w, i in zip(words, ids)]
             if len(kept) < KEPT_WORDS:
                 kept.update((w, i) for w, i in fresh.items() if len(w) <= KEPT_LENGTH)
-        return Part(a, b, words, ids)
+        return ids
+
+    def _tree(self, word: str) -> list[int]:
+        cuts = [0, len(word)]
+        while max(b - a for a, b in zip(cuts, cuts[1:])) > self.leaf:
+            cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
+        leaves = [word[a:b] for a, b in zip(cuts, cuts[1:])]
+        self.tree_characters += len(word)
+        parts = [e.ids for e in self.inner.encode_batch(leaves[:-1], add_special_tokens=False)]
+        parts.append(self.normalised.encode(leaves[-1], add_special_tokens=False).ids)
+        raw = word.encode()
+        ends = [len(word[:c].encode()) for c in cuts[1:]]
+        while len(parts) > 1:  # one level of the tree
+            last = len(parts) - 1
+            parts = [self._join(raw, ends[k], parts[k], parts[k + 1], k + 1 == last) if k < last else parts[k] for k in range(0, len(parts), 2)]
+            ends = [*ends[1::2], *([ends[-1]] if len(ends) % 2 else [])]
+        return parts[0]
 
-    def _join(self, text: str, left: Part, right: Part, usual: bool) -> Part:
-        at, reach = right.begin, self.window
+    def _join(self, raw: bytes, at: int, left: list[int], right: list[int], closes: bool) -> list[int]:
+        """The encoding of both parts as one; they meet at byte ``at``, and ``closes`` tells that the right one ends the word."""
+        self.joins += 1
+        size, reach = self.bytes_of, self.window
+        i, begin, j, end = len(left), at, 0, at
         while True:
-            i, a = left.last_end(text, min(at - reach, left.end - GUARD))
-            b = min(right.end, at + reach)
-            middle = self._encoded(text, a, b, usual)
-            if a == left.begin and b == right.end:
-                return middle
-            agreed = self._agree(text, middle, right)
-            if agreed:
-                m, r = agreed
-                return Part(left.begin, right.end, left.words[:i] + middle.words[:m] + right.words[r:], left.ids[:i] + middle.ids[:m] + right.ids[r:])
+            # A window begins and ends where a token and a character do.
+            while i and (len(left) - i < reach or raw[begin] & 0xC0 == 0x80):
+                i -= 1
+                begin -= size[left[i]]
+            while j < len(right) and (j < reach or raw[end] & 0xC0 == 0x80):
+                end += size[right[j]]
+                j += 1
+            text = raw[begin:end].decode()
+            self.tree_characters += len(text)
+            coder = self.normalised if closes and j == len(right) else self.inner
+            middle = coder.encode(text, add_special_tokens=False).ids
+            if (not i or middle[0] == left[i]) and (j == len(right) or middle[-1] == right[j - 1]):
+                return left[:i] + middle + right[j:]
             self.widened += 1
             reach *= 2
 
-    def _agree(self, text: str, middle: Part, right: Part) -> tuple[int, int] | None:
-        """Words (of the window, of the right part) up to the first place where both end one."""
-        settled = middle.end - GUARD if middle.end < right.end else middle.end
-        ends = {end: k for k, end in enumerate(middle.ends(text), 1) if right.begin + GUARD <= end <= settled}
-        for r, end in enumerate(right.ends(text), 1):
-            if end in ends:
-                return ends[end], r
-            if end > settled:
-                break
-        return None
-
 
 @lru_cache(maxsize=2)
 def _coder(path: str, leaf: int, window: int) -> TreeBPE:

@@ -110,7 +110,7 @@ def test_span_search_and_folding(spark):
     assert all(r["l"] == "".join(c.lower() if "A" <= c <= "Z" else c for c in r["u"]) for r in got)
 
 
-@pytest.mark.parametrize("leaf,window", [(8192, 96), (150, 40), (97, 17)])
+@pytest.mark.parametrize("leaf,window", [(512, 8), (40, 2), (7, 1)])
 def test_bpe_is_exact(leaf, window):
     from tokenizers import Tokenizer
 
@@ -123,6 +123,22 @@ def test_bpe_is_exact(leaf, window):
         got = coder.encode(text)
         assert got.tolist() == ids
         assert coder.decode(got) == library.decode(ids, skip_special_tokens=False)
+    for _ in range(1500):  # unsplit stretches of few letters, where merges compete
+        word = "".join(rng.choice(rng.choice(("ab", "ing", "the", "aé", "!?", "日本語", "ßss"))) for _ in range(rng.randrange(8, 120)))
+        assert coder.encode(word).tolist() == library.encode(word, add_special_tokens=False).ids
+    assert coder.joins > 5
+
+
+def test_bpe_of_unsplit_text_is_linear():
+    """Windows settle on tokens: what goes through the library is a small multiple of the text, at any length."""
+    from tokenizers import Tokenizer
+
+    rng, library = random.Random(2), Tokenizer.from_file(BPE)
+    for n in (10_000, 100_000, 1_000_000):
+        for text in ("".join(rng.choice("etaoinshrdlu") for _ in range(n)), "ab" * (n // 2), "!?" * (n // 2)):
+            coder = tree_bpe.TreeBPE(BPE)
+            assert coder.encode(text).tolist() == library.encode(text, add_special_tokens=False).ids
+            assert coder.tree_characters < 2 * n and coder.widened < 0.2 * coder.joins
 
 
 def test_bpe_rows(spark):
