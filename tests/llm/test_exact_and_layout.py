@@ -21,12 +21,12 @@ def lower(text):
     return "".join(c.lower() if "A" <= c <= "Z" else c for c in text or "")
 
 
-@pytest.mark.parametrize("capacity", [1_000_000, 1])
+@pytest.mark.parametrize("capacity", [None, 1])
 def test_dedup(docs, capacity):
     groups = defaultdict(list)
     for i, t in ROWS:
         groups[lower(t)].append(i)
-    got = exact_dedup.mark_duplicates(docs, capacity=capacity, bits=6).collect()
+    got = exact_dedup.mark_duplicates(docs, capacity=capacity).collect()
     assert len(got) == len(ROWS)
     for r in got:
         key = lower(r["text"])
@@ -42,15 +42,37 @@ def test_dedup_empty_and_names(docs):
 
 
 def test_directory_doubles():
-    directory = exact_dedup.grow_directory({0: 5, 1: 5, 8: 1, 15: 1}, 4, 5)
+    def counted(hashes):
+        def measure(bits, within):
+            out = {}
+            for h, size in hashes.items():
+                if within is None or any(h >> (64 - d) == p for p, d in within):
+                    p = h >> (64 - bits)
+                    out[p] = (out.get(p, (0, 0))[0] + size, out.get(p, (0, 0))[1] + 1)
+            return out
+
+        return measure
+
+    top = lambda slot, bits=4: slot << (64 - bits)
+    directory = exact_dedup.grow_directory(counted({top(0): 5, top(1): 5, top(8): 1, top(15): 1}), 4, 5)
     assert directory.depth == 4 and [s for s, _ in directory.buckets()][:2] == [0, 1]
     assert sum(w for _, w in directory.buckets()) == 1 << directory.depth
-    assert exact_dedup.grow_directory({}, 4, 5).depth == 0
+    assert exact_dedup.grow_directory(counted({}), 4, 5).depth == 0
+    # Two hashes that part after 15 bits only split a bucket that deep; a single large one does not.
+    deep = exact_dedup.grow_directory(counted({0: 9, top(1, 15): 9, top(3, 2): 50}), 2, 10)
+    assert deep.depth == 15 and deep.local[0] == deep.local[1] == 15 and deep.local[-1] <= 2
+
+
+def test_owners_compare_in_one_exchange_of_texts(docs):
+    keyed = docs.selectExpr("doc_id AS id", "xxhash64(text) AS h", "text AS norm")
+    held = keyed.withColumn("owner", keyed["h"].cast("int") % 2 + 1).repartitionById(3, "owner").groupBy("owner", "h", "norm").count()
+    plan = held._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange shufflepartitionid") == 1 and "hashpartitioning" not in plan
 
 
 def test_colliding_hashes_stay_apart(spark):
     keyed = spark.createDataFrame([(1, 7, "a"), (2, 7, "b"), (3, 7, "a"), (4, -9, "c")], "id long, h long, norm string")
-    index, _ = exact_dedup.build_index(keyed, 1, 4)
+    index, _ = exact_dedup.build_index(keyed, 1)
     assert sorted((r["h"], r["keep_id"], r["n"]) for r in index.collect()) == [(-9, 4, 1), (7, 2, 1), (7, 3, 2)]
 
 
