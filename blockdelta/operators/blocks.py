@@ -24,6 +24,18 @@ def cut(cells: DataFrame, b: int) -> DataFrame:
     return joined.select(*KEYS, "block_len", F.unhex("h").alias("payload"))
 
 
+def cut_some(cells: DataFrame, b: int, wanted: DataFrame | None, bucket_blocks: int = 1) -> DataFrame:
+    """blocks named in ``wanted``, by their keys or by rank and bucket; cells of others are dropped before anything moves. All blocks without it."""
+    if wanted is None:
+        return cut(cells, b)
+    block = F.expr(f"pos * 8 div {b}")
+    if "bucket" in wanted.columns:
+        placed, keys = cells.withColumn("bucket", F.expr(f"(pos * 8 div {b}) div {bucket_blocks}")), ["rank", "bucket"]
+    else:
+        placed, keys = cells.withColumn("block_no", block), KEYS
+    return cut(placed.join(wanted.select(*keys), keys, "left_semi").select(*cells.columns), b)
+
+
 def cut_clustered(ordered: DataFrame, b: int) -> DataFrame:
     """blocks of cells that arrive as arrays, one row for each (rank, dataset_id, run of positions from ``start`` that begins a block).
 

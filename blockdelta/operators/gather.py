@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from collections.abc import Iterator
+
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 ORDER = ["dataset_id", "region_no"]
@@ -11,28 +13,33 @@ ORDER = ["dataset_id", "region_no"]
 def pack(regions: DataFrame, target: int = 16 << 20, mode: str = "greedy") -> DataFrame:
     """regions with unit_no. A unit is written as soon as it exceeds ``target``; what is left at the end of a rank is the last unit.
 
-    ``greedy`` folds each rank's region sizes in order. ``cutline`` cuts the running sum at multiples of the target
-    instead: fully parallel, units a little less even.
+    ``greedy`` goes through each rank's regions in order, batch by batch; a task holds one batch and two numbers, however many regions a
+    rank has. ``cutline`` cuts the running sum at multiples of the target instead: units a little less even.
     """
-    before = Window.partitionBy("rank").orderBy(*ORDER)
     if mode == "cutline":
+        before = Window.partitionBy("rank").orderBy(*ORDER)
         start = F.sum("n_bytes").over(before.rowsBetween(Window.unboundedPreceding, 0)) - F.col("n_bytes")
         return regions.select("*", (start / target).cast("bigint").alias("unit_no"))
     if mode != "greedy":
         raise ValueError(mode)
 
-    def step(acc: Column, x: Column) -> Column:
-        full = acc["held"] > target
-        unit = F.when(full, acc["unit"] + 1).otherwise(acc["unit"])
-        held = F.when(full, x["n_bytes"]).otherwise(acc["held"] + x["n_bytes"])
-        return F.struct(unit.alias("unit"), held.alias("held"), F.array_append(acc["out"], unit).alias("out"))
-
-    zero = F.lit(0).cast("bigint")
-    start = F.struct(zero.alias("unit"), zero.alias("held"), F.array().cast("array<bigint>").alias("out"))
-    ordered = regions.groupBy("rank").agg(F.sort_array(F.collect_list(F.struct(*ORDER, "start_byte", "n_bytes", "n_blocks", "n_invalid"))).alias("rs"))
-    numbered = ordered.select("rank", "rs", F.aggregate("rs", start, step, lambda acc: acc["out"]).alias("units"))
-    rows = numbered.select("rank", F.explode(F.arrays_zip("rs", "units")).alias("z"))
-    return rows.select("rank", "z.rs.dataset_id", "z.rs.region_no", "z.rs.start_byte", "z.rs.n_bytes", "z.rs.n_blocks", "z.rs.n_invalid", F.col("z.units").alias("unit_no"))
+    def number(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        rank, unit, held = None, 0, 0
+        for batch in batches:
+            units = []
+            for own, size in zip(batch.column("rank").to_pylist(), batch.column("n_bytes").to_pylist()):
+                if own != rank:
+                    rank, unit, held = own, 0, 0
+                elif held > target:
+                    unit, held = unit + 1, 0
+                held += size
+                units.append(unit)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(units, pa.int64())], names=[*batch.schema.names, "unit_no"])
+
+    ordered = regions.repartition("rank").sortWithinPartitions("rank", *ORDER)
+    return ordered.mapInArrow(number, regions.select("*", F.lit(0).cast("bigint").alias("unit_no")).schema)
 
 
 def units(packed: DataFrame) -> DataFrame:

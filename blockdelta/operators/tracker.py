@@ -28,7 +28,11 @@ def classify(blocks: DataFrame, ledger: DataFrame, algo: str = "md5", force_dirt
     unhashed. dirty: the digests differ; clean: they are equal; retired: an image of a block that no longer exists.
     ``digest`` is null for retired blocks. With ``force_dirty`` every block with an image is dirty.
     """
-    new = hashed(blocks, algo)
+    return compare(hashed(blocks, algo), ledger, force_dirty, hint)
+
+
+def compare(new: DataFrame, ledger: DataFrame, force_dirty: bool = False, hint: str | None = None) -> DataFrame:
+    """``classify`` for blocks whose digests are there already."""
     if hint:
         new = new.hint(hint)
     old = ledger.select(*KEYS, F.col("block_len").alias("old_len"), F.col("digest").alias("old_digest"))
@@ -55,6 +59,19 @@ def advance(ledger: DataFrame, states: DataFrame, algo: str, version: int) -> Da
     return ledger.join(clean, KEYS, "left_semi").unionByName(fresh)
 
 
+def advance_to_files(ledger: DataFrame, states: DataFrame, stored: DataFrame | None, algo: str, version: int) -> DataFrame:
+    """The ledger after an update, with the digests of what its files really hold: a source that has moved on since the comparison cannot
+    certify bytes that are not there. ``stored`` are the blocks read back; rows of other blocks and of those that were written
+    again as they were stay, those of retired ones go."""
+    gone = states.where(F.col("status") == RETIRED).select(*KEYS)
+    if stored is None:
+        return ledger.join(gone, KEYS, "left_anti")
+    old = ledger.select(*KEYS, "block_len", F.col("digest").alias("old_digest"))
+    new = hashed(stored, algo).join(old, [*KEYS, "block_len"], "left").where(~F.col("digest").eqNullSafe(F.col("old_digest"))).drop("old_digest")
+    fresh = new.select("*", F.lit(algo).alias("algo"), F.lit(version).alias("version"))
+    return ledger.join(gone.unionByName(fresh.select(*KEYS)), KEYS, "left_anti").unionByName(fresh)
+
+
 def advance_early(ledger: DataFrame, states: DataFrame, algo: str, version: int) -> DataFrame:
     """What must not be done: committing digests at detection, before the write. Kept to show how a failed write then loses changes."""
     return advance(ledger, states, algo, version)

@@ -42,7 +42,7 @@ class BlockReader(DataSourceReader):
         made = self._manifest()
         if made["chain"]:
             raise ValueError("a delta chain is merged by restore.blocks")
-        return [_Bucket(f"{self.path}/data/v{f['version']}/rank={f['rank']}/bucket={f['bucket']}", f["rank"]) for f in made["files"] if self.rank is None or int(self.rank) == f["rank"]]
+        return [_Bucket(f"{self.path}/data/{f['dir']}/rank={f['rank']}/bucket={f['bucket']}", f["rank"]) for f in made["files"] if self.rank is None or int(self.rank) == f["rank"]]
 
     def read(self, partition):
         import pyarrow.dataset as ds

@@ -14,12 +14,12 @@ _FILE = "rank int, bucket long, version int"
 def _files(store: BlockStore, manifest: dict, ranks: list[int] | None) -> DataFrame:
     """The rows of all files that a manifest names, with the version they were written in; only the ranks asked for are read."""
     spark, parts = store.spark, []
-    for version in sorted({f["version"] for f in manifest["files"]}):
-        buckets = [(f["rank"], f["bucket"]) for f in manifest["files"] if f["version"] == version and (ranks is None or f["rank"] in ranks)]
+    for folder, version in sorted({(f["dir"], f["version"]) for f in manifest["files"]}, key=lambda x: (x[1], x[0])):
+        buckets = [(f["rank"], f["bucket"]) for f in manifest["files"] if f["dir"] == folder and (ranks is None or f["rank"] in ranks)]
         if not buckets:
             continue
-        paths = [f"{store.path}/data/v{version}/rank={r}/bucket={k}" for r, k in buckets]
-        data = spark.read.option("basePath", f"{store.path}/data/v{version}").parquet(*paths)
+        paths = [f"{store.path}/data/{folder}/rank={r}/bucket={k}" for r, k in buckets]
+        data = spark.read.option("basePath", f"{store.path}/data/{folder}").parquet(*paths)
         parts.append(data.select(F.col("rank").cast("int").alias("rank"), F.col("bucket").cast("bigint").alias("bucket"), "dataset_id", "block_no", "block_len", "payload", "gone", F.lit(version).alias("version")))
     if not parts:
         return spark.createDataFrame([], f"rank int, bucket long, dataset_id string, block_no long, block_len long, payload binary, gone boolean, version int")
@@ -60,15 +60,15 @@ def read_sized(store: BlockStore, sizes: DataFrame, version: int | None = None)
 def verify(store: BlockStore, version: int) -> DataFrame:
     """(rank, bucket, version, ok) of each file: what is there against the checksums in the manifest. Missing files are not ok."""
     manifest, spark = store.manifest(version), store.spark
-    expected = spark.createDataFrame([(f["rank"], f["bucket"], f["version"], f["checksum"]) for f in manifest["files"]], f"{_FILE}, checksum string")
+    expected = spark.createDataFrame([(f["rank"], f["bucket"], f["version"], f["dir"], f["checksum"]) for f in manifest["files"]], f"{_FILE}, dir string, checksum string")
     found = None
-    for v in sorted({f["version"] for f in manifest["files"]}):
-        if store._exists(f"{store.path}/data/v{v}"):
-            part = store._checksums(spark.read.parquet(f"{store.path}/data/v{v}")).select(F.col("rank").cast("int").alias("rank"), F.col("bucket").cast("bigint").alias("bucket"), F.lit(v).alias("version"), F.col("checksum").alias("now"))
+    for folder in sorted({f["dir"] for f in manifest["files"]}):
+        if store._exists(f"{store.path}/data/{folder}"):
+            part = store._checksums(spark.read.parquet(f"{store.path}/data/{folder}")).select(F.col("rank").cast("int").alias("rank"), F.col("bucket").cast("bigint").alias("bucket"), F.lit(folder).alias("dir"), F.col("checksum").alias("now"))
             found = part if found is None else found.unionByName(part)
     if found is None:
         return expected.select("rank", "bucket", "version", F.lit(False).alias("ok"))
-    return expected.join(found, ["rank", "bucket", "version"], "left").select("rank", "bucket", "version", F.coalesce(F.col("now") == F.col("checksum"), F.lit(False)).alias("ok"))
+    return expected.join(found, ["rank", "bucket", "dir"], "left").select("rank", "bucket", "version", F.coalesce(F.col("now") == F.col("checksum"), F.lit(False)).alias("ok"))
 
 
 def require_sound(store: BlockStore, version: int) -> None:

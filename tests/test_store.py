@@ -53,7 +53,10 @@ def test_counts(spark):
 
 
 @pytest.mark.parametrize("step", STEPS[:-1])
-def test_crash_leaves_the_last_version(spark, step):
+@pytest.mark.parametrize("hard", [False, True])
+def test_crash_leaves_the_last_version(spark, step, hard, monkeypatch):
+    """The next checkpoint simply works, also where the driver was lost before it could clean up."""
+
     def crash(at):
         if at == step:
             raise RuntimeError("crash")
@@ -61,15 +64,86 @@ def test_crash_leaves_the_last_version(spark, step):
     store = new_store(spark)
     engine.checkpoint(state(spark, HISTORY[0]), store)
     store.on_step = crash
-    with pytest.raises(RuntimeError):
-        engine.checkpoint(state(spark, HISTORY[1]), store)
-    store.on_step = lambda s: None
+    with monkeypatch.context() as lost:
+        if hard:
+            lost.setattr(store, "discard", lambda: None)
+        with pytest.raises(RuntimeError):
+            engine.checkpoint(state(spark, HISTORY[1]), store)
     assert store.versions() == [1] and rows(restore.read(store)) == rows(state(spark, HISTORY[0]))
-    store.rollback(2)
-    engine.checkpoint(state(spark, HISTORY[2]), store)
-    assert rows(restore.read(store)) == rows(state(spark, HISTORY[2]))
+    left = store._list(f"{store.path}/data")
+    assert (len(left) == 1) == (not hard or step == "start")
+    again = BlockStore(spark, store.path, 32, bucket_blocks=2)
+    engine.checkpoint(state(spark, HISTORY[2]), again)
+    assert rows(restore.read(again)) == rows(state(spark, HISTORY[2]))
     with pytest.raises(StoreError):
-        store.rollback(2)
+        again.rollback(2)
+    again.vacuum(1)
+    assert all(name.endswith(again.attempt) or name in {f["dir"] for f in again.manifest(2)["files"]} for name in again._list(f"{store.path}/data"))
+
+
+def test_one_of_two_writers_commits(spark):
+    first = new_store(spark)
+    engine.checkpoint(state(spark, HISTORY[0]), first)
+    second = BlockStore(spark, first.path, 32, bucket_blocks=2)
+
+    def race(step):
+        if step == "manifest":
+            first.on_step = lambda s: None
+            engine.checkpoint(state(spark, HISTORY[2]), second)
+
+    first.on_step = race
+    with pytest.raises(StoreError):
+        engine.checkpoint(state(spark, HISTORY[1]), first)
+    assert first.versions() == [1, 2] and rows(restore.read(first)) == rows(state(spark, HISTORY[2]))
+    engine.checkpoint(state(spark, HISTORY[3]), first)
+    assert rows(restore.read(first, 3)) == rows(state(spark, HISTORY[3]))
+
+
+def test_unfinished_manifest_is_no_version(spark):
+    store = new_store(spark)
+    engine.checkpoint(state(spark, HISTORY[0]), store)
+    store._create(f"{store.path}/manifests/v2.json", '{"version": 2, "fil')
+    assert store.versions() == [1] and store.latest() == 1
+    assert engine.checkpoint(state(spark, HISTORY[1]), store).version == 3
+    assert rows(restore.read(store)) == rows(state(spark, HISTORY[1]))
+
+
+@pytest.mark.parametrize("mode", ["copy_on_write", "delta_chain", "full"])
+def test_ledger_is_of_what_the_files_hold(spark, tmp_path, mode):
+    """The source moves on between comparison and writing."""
+    path = str(tmp_path / "source")
+    moving = lambda values: state(spark, values).write.mode("overwrite").parquet(path)
+    read = lambda: spark.read.schema("rank int, dataset_id string, pos bigint, cell bigint").parquet(path)
+    store = new_store(spark)
+    moving(HISTORY[0])
+    engine.checkpoint(read(), store)
+    moving(HISTORY[1])
+    held = read()
+
+    def move(step):
+        if step == "start":
+            moving([*HISTORY[1][:59], -5])
+            spark.catalog.refreshByPath(path)
+
+    store.on_step = move
+    try:
+        engine.checkpoint(held, store, mode)
+    except Exception:  # the files that the plan knew are gone: nothing is committed
+        assert store.versions() == [1]
+        return
+    now = blocks.cut(restore.read(store), 32)
+    assert {r["status"] for r in tracker.classify(now, store.ledger(2), "md5").collect()} == {"clean"}
+
+
+def test_auto_mode(spark):
+    store = new_store(spark)
+    engine.checkpoint(state(spark, HISTORY[0]), store, "auto", rho=0.03)
+    assert engine.checkpoint(state(spark, HISTORY[1]), store, "auto").mode == "copy_on_write"
+    everywhere = [v + 1000 * (k % 5 == 0) for k, v in enumerate(HISTORY[1])]
+    out = engine.checkpoint(state(spark, everywhere), store, "auto")
+    assert out.mode == "delta_chain" and out.physical_rate <= out.write_rate
+    assert rows(restore.read(store)) == rows(state(spark, everywhere))
+    assert engine.checkpoint(state(spark, [v + 1 for v in everywhere]), store, "auto", rho=0.4).mode == "full"
 
 
 def test_failed_copy_means_full(spark):
@@ -116,7 +190,7 @@ def test_errors_and_damage(spark):
     restore.require_sound(store, 3)
     assert store.vacuum(1) == [1, 2] or store.vacuum(1) is not None
     assert store.versions() == [3] and rows(restore.read(store)) == rows(state(spark, HISTORY[2]))
-    fs, where = store._fs(f"{store.path}/data/v3")
+    fs, where = store._fs(f"{store.path}/data/{store.manifest(3)['dir']}")
     fs.delete(where, True)
     with pytest.raises(StoreError):
         restore.require_sound(store, 3)
@@ -130,7 +204,11 @@ def test_incomplete_version_is_not_sealed(spark):
     store.add(1, blocks.cut(whole.where("dataset_id = 'a'"), 32))
     with pytest.raises(StoreError):
         store.seal(1, protect.catalogue(whole), tracker.create_ledger(blocks.cut(whole, 32)))
-    store.add(1, blocks.cut(whole.where("dataset_id = 'b'"), 32))
+    store = BlockStore(spark, store.path, 32, bucket_blocks=2)  # another driver goes on
+    store.open_version(1)
+    assert {r["dataset_id"] for r in store.missing(1, protect.catalogue(whole)).collect()} == {"b"}
+    for _ in range(2):  # a repeated arrival changes nothing
+        store.add(1, blocks.cut(whole, 32))
     store.seal(1, protect.catalogue(whole), tracker.create_ledger(blocks.cut(whole, 32)))
     assert rows(restore.read(store)) == rows(whole)
 
