@@ -837,8 +837,11 @@ def _sql_element(it: str, i: str, seed: int = 42) -> str:
     return f"xor({high} << 32, {low})"
 
 
-def _sql_collisions(b: int, n: int) -> str:
-    base = f"SELECT it AS rank, 'x' AS dataset_id, i AS pos, {_sql_element('it', 'i')} AS cell FROM (SELECT unnest(range({n})) AS it), (SELECT unnest(range({b // 8})) AS i)"
+def _sql_buffers(b: int, n: int) -> str:
+    return f"SELECT it AS rank, 'x' AS dataset_id, i AS pos, {_sql_element('it', 'i')} AS cell FROM (SELECT unnest(range({n})) AS it), (SELECT unnest(range({b // 8})) AS i)"
+
+
+def _sql_collisions(b: int, base: str) -> str:
     parts = []
     for name, mask in collision.PATTERNS["bits"].items():
         change = str(mask) if mask is not None else _sql_element("rank", "CAST(1048576 AS BIGINT)")
@@ -849,7 +852,28 @@ def _sql_collisions(b: int, n: int) -> str:
     return " UNION ALL ".join(parts)
 
 
-@query("collision_rates", _sql_collisions(128, 2000))
+def _sql_cumulative(b: int, n: int) -> str:
+    size, parts = b // 8, []
+    octet = lambda v, k: f"(({v} >> {56 - 8 * k}) & 255)"
+    word = lambda v, k: f"({octet(v, 2 * k)} + 256 * {octet(v, 2 * k + 1)})"
+    for name, mask in collision.PATTERNS["bits"].items():
+        change = str(mask) if mask is not None else _sql_element("rank", "CAST(1048576 AS BIGINT)")
+        gain = {
+            "s": " + ".join(f"{octet('y', k)} - {octet('x', k)}" for k in range(8)),
+            "f": " + ".join(f"(8 * ({size} - pos) - {k}) * ({octet('y', k)} - {octet('x', k)})" for k in range(8)),
+            "w": " + ".join(f"{word('y', k)} - {word('x', k)}" for k in range(4)),
+            "g": " + ".join(f"(4 * ({size} - pos) - {k}) * ({word('y', k)} - {word('x', k)})" for k in range(4)),
+        }
+        so_far = ", ".join(f"sum({e}) OVER (PARTITION BY rank ORDER BY pos) AS {c}" for c, e in gain.items())
+        stages = f"SELECT {so_far} FROM (SELECT rank, pos, cell AS x, xor(cell, {change}) AS y FROM ({_sql_buffers(b, n)}))"
+        for algo, m in collision.MODULI.items():
+            near, far = ("s", "f") if algo == "adler32" else ("w", "g")
+            hit = f"count(*) FILTER ({near} % {m} = 0 AND {far} % {m} = 0)"
+            parts.append(f"SELECT '{algo}' AS algo, {b} AS b, '{name}' AS pattern, count(*) AS n_iter, {hit} AS hits, {hit} * 1000000000 // count(*) AS per_billion FROM ({stages})")
+    return " UNION ALL ".join(parts)
+
+
+@query("collision_rates", _sql_collisions(128, _sql_buffers(128, 2000)))
 def collision_rates(spark, sf_dir):
     return collision.run(spark, 128, 2000, ("adler32", "fletcher32_65535", "fletcher32_65536"), generator="linear")
 
@@ -859,12 +883,32 @@ def collision_strong(spark, sf_dir):
     return collision.run(spark, 128, 2000, ("crc32", "md5"))
 
 
-@query("collision_real_data")
+@query("collision_sizes", " UNION ALL ".join(_sql_collisions(b, _sql_buffers(b, 64)) for b in collision.SIZES))
+def collision_sizes(spark, sf_dir):
+    """Every block size, with few buffers each; ``bench.py --experiments`` runs more of them."""
+    weak = ("adler32", "fletcher32_65535", "fletcher32_65536")
+    runs = [collision.run(spark, b, 64, weak, generator="linear") for b in collision.SIZES]
+    out = runs[0]
+    for one in runs[1:]:
+        out = out.unionByName(one)
+    return out
+
+
+@query("collision_cumulative", " UNION ALL ".join(_sql_cumulative(b, 200) for b in (128, 1024)))
+def collision_cumulative(spark, sf_dir):
+    """Elements change one after the other, and every stage is compared."""
+    return collision.run_cumulative(spark, 128, 200, generator="linear").unionByName(collision.run_cumulative(spark, 1024, 200, generator="linear"))
+
+
+_REAL_BUFFERS = f"SELECT pos // 16 AS rank, 'x' AS dataset_id, pos % 16 AS pos, cell FROM ({sql_scatter('2100-01-01 00:00:00')}) WHERE pos // 16 < (SELECT count(*) // 16 FROM lineitem)"
+
+
+@query("collision_real_data", _sql_collisions(128, _REAL_BUFFERS))
 def collision_real_data(spark, sf_dir):
     """Buffers are blocks of real prices."""
     cells = workloads.scatter(spark, sf_dir, "2100-01-01 00:00:00")
     given = cells.groupBy(F.expr("pos div 16").alias("iteration")).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "cell"))), lambda s: s["cell"]).alias("xs")).where(F.size("xs") == 16)
-    return collision.run(spark, 128, 0, given=given)
+    return collision.run(spark, 128, 0, ("adler32", "fletcher32_65535", "fletcher32_65536"), generator="linear", given=given)
 
 
 @query("collision_grid", " UNION ALL ".join(f"SELECT {b} AS b, '{p}' AS pattern, {m if m is not None else 'CAST(NULL AS BIGINT)'} AS mask FROM (SELECT 1)" for b in collision.SIZES for p, m in collision.PATTERNS["literal"].items()))
@@ -905,6 +949,37 @@ def skew_bracket(spark, sf_dir):
     return rank_skew(spark, sf_dir).select(F.round(1e6 * low).cast("bigint").alias("optimistic_ppm"), F.round(1e6 * high).cast("bigint").alias("pessimistic_ppm"))
 
 
+# A run log in the form that the timed experiments write, with times taken from the orders.
+_RUNS = "SELECT o_orderpriority AS workload, CASE o_orderkey % 3 WHEN 0 THEN 'off' WHEN 1 THEN 'md5' ELSE 'crc32' END AS method, CAST(o_totalprice AS DOUBLE) AS seconds, (o_orderkey % 100) / 100.0 AS dirty_share, (1 + o_orderkey % 50) / 1000.0 AS rho FROM orders"
+
+
+def _runs(spark, sf_dir):
+    key = F.col("o_orderkey")
+    method = F.when(key % 3 == 0, "off").when(key % 3 == 1, "md5").otherwise("crc32")
+    return table(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("workload"), method.alias("method"), F.col("o_totalprice").cast("double").alias("seconds"), ((key % 100) / 100).alias("dirty_share"), ((1 + key % 50) / 1000).alias("rho"))
+
+
+_SQL_RELATIVE = f"SELECT workload, method, avg(d) AS change, coalesce(stddev_samp(d), 0) AS spread, count(*) AS n FROM (SELECT workload, method, seconds / t0 - 1 AS d FROM ({_RUNS}) JOIN (SELECT workload, avg(seconds) AS t0 FROM ({_RUNS}) WHERE method = 'off' GROUP BY workload) USING (workload)) GROUP BY workload, method"
+
+
+@query("relative_times", f"SELECT workload, method, CAST(round(change * 1e6) AS BIGINT) AS change_ppm, CAST(round(spread * 1e6) AS BIGINT) AS spread_ppm, n FROM ({_SQL_RELATIVE})")
+def relative_times(spark, sf_dir):
+    """Mean and spread of times against those of full checkpoints."""
+    found = metrics.relative(_runs(spark, sf_dir))
+    return found.select("workload", "method", F.round(F.col("change") * 1e6).cast("bigint").alias("change_ppm"), F.round(F.col("spread") * 1e6).cast("bigint").alias("spread_ppm"), "n")
+
+
+@query("model_errors", f"""SELECT workload, method, CAST(round((avg(seconds / t0 - 1) - avg(rho - 1 + dirty_share * (1 + rho))) * 1e6) AS BIGINT) AS error_ppm
+    FROM ({_RUNS}) JOIN (SELECT workload, avg(seconds) AS t0 FROM ({_RUNS}) WHERE method = 'off' GROUP BY workload) USING (workload) GROUP BY workload, method""")
+def model_errors(spark, sf_dir):
+    """Measured less predicted change, on average."""
+    runs = _runs(spark, sf_dir)
+    base = runs.where("method = 'off'").groupBy("workload").agg(F.avg("seconds").alias("t0"))
+    measured = runs.join(base, "workload").select(F.concat_ws("|", "workload", "method").alias("workload"), "dirty_share", "rho", (F.col("seconds") / F.col("t0") - 1).alias("change"))
+    found = metrics.model_error(measured).groupBy("workload").agg(F.round(F.avg("error") * 1e6).cast("bigint").alias("error_ppm"))
+    return found.select(F.split_part("workload", F.lit("|"), F.lit(1)).alias("workload"), F.split_part("workload", F.lit("|"), F.lit(2)).alias("method"), "error_ppm")
+
+
 @query("sampled_dirty_share", sql_share(f"SELECT * FROM ({sql_states(_NOOP, _NOOP_NEW, 256)}) WHERE (block_no * 2654435761 + rank * 40503) % 8 = 0"))
 def sampled_dirty_share(spark, sf_dir):
     """The share estimated from one block in eight, which decides between full and differential."""
@@ -967,11 +1042,9 @@ def restore_growth(spark, sf_dir):
     return restore.read(store)
 
 
-@query("write_update")
-def write_update(spark, sf_dir):
-    """What each mode writes for the same update."""
+def _update_rows(spark, sf_dir, modes) -> DataFrame:
     rows = []
-    for mode in ("copy_on_write", "delta_chain", "buffered", "full"):
+    for mode in modes:
         store = _store(spark)
         engine.checkpoint(workloads.wave(spark, sf_dir, T1), store)
         out = engine.checkpoint(workloads.wave(spark, sf_dir, T2), store, mode, gather_target=2048)
@@ -979,6 +1052,26 @@ def write_update(spark, sf_dir):
     return spark.createDataFrame(rows, "mode string, n_blocks long, n_dirty long, written_bytes long, physical_bytes long, n_regions long, files_referred long, files_written long, metadata_records long")
 
 
+_SQL_WRITTEN = f"""WITH s AS (SELECT *, block_no // 64 AS bucket FROM ({SQL_WAVE_STATES})), t AS (SELECT rank, bucket, max(CASE WHEN status <> 'clean' THEN 1 ELSE 0 END) AS touched, sum(block_len) AS size FROM s GROUP BY rank, bucket),
+    u AS (SELECT count(*) AS n_blocks, count(*) FILTER (status = 'dirty') AS n_dirty, sum(block_len) AS state_bytes, sum(block_len) FILTER (status IN ('dirty', 'invalid')) AS written FROM s),
+    v AS (SELECT count(*) AS buckets, sum(touched) AS touched, sum(size) FILTER (touched = 1) AS rewritten FROM t), r AS (SELECT count(*) AS n_regions FROM ({SQL_WAVE_REGIONS}))
+    SELECT mode, n_blocks, n_dirty, CAST(CASE mode WHEN 'full' THEN state_bytes ELSE written END AS BIGINT) AS written_bytes, CAST(CASE mode WHEN 'full' THEN state_bytes WHEN 'copy_on_write' THEN rewritten ELSE written END AS BIGINT) AS physical_bytes, n_regions,
+    CAST(CASE mode WHEN 'delta_chain' THEN buckets + touched ELSE buckets END AS BIGINT) AS files_referred, CAST(CASE mode WHEN 'full' THEN buckets ELSE touched END AS BIGINT) AS files_written, CAST(CASE mode WHEN 'full' THEN buckets ELSE touched END AS BIGINT) AS metadata_records
+    FROM u, v, r, (SELECT unnest(['copy_on_write', 'delta_chain', 'full']) AS mode)"""
+
+
+@query("write_update", _SQL_WRITTEN)
+def write_update(spark, sf_dir):
+    """What each mode writes for the same update."""
+    return _update_rows(spark, sf_dir, ("copy_on_write", "delta_chain", "full"))
+
+
+@query("write_update_buffered")
+def write_update_buffered(spark, sf_dir):
+    """The same with gathered regions."""
+    return _update_rows(spark, sf_dir, ("buffered",))
+
+
 @query("ledger_after_update", f"SELECT rank, dataset_id, block_no, block_len, digest, CASE WHEN status = 'clean' THEN 1 ELSE 2 END AS version FROM ({sql_blocks(sql_wave(T2), B)}) JOIN (SELECT rank, dataset_id, block_no, status FROM ({SQL_WAVE_STATES})) USING (rank, dataset_id, block_no)")
 def ledger_after_update(spark, sf_dir):
     ledger = _two_versions(spark, sf_dir, "copy_on_write").ledger(2)
@@ -1084,9 +1177,17 @@ def stream_sliding(spark, sf_dir):
     return epochs.drained(stream, "sliding", "update").groupBy("until").agg(F.max_by("bytes", "epoch").alias("bytes"))
 
 
-@query("stream_sessions")
+_SQL_SESSIONS = """SELECT user_id, min(ts) AS born, count(*) * 8 AS bytes FROM (
+    SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (
+    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, k"""
+
+
+@query("stream_sessions", _SQL_SESSIONS)
 def stream_sessions(spark, sf_dir):
-    return epochs.drained(epochs.bursts(epochs.read_events(spark, epochs.daily_files(spark, sf_dir)).withWatermark("at", "1 day")), "sessions")
+    """All sessions as they stand after the last epoch."""
+    found = epochs.drained(epochs.bursts(epochs.read_events(spark, epochs.daily_files(spark, sf_dir))), "sessions", "complete")
+    last = found.agg(F.max("epoch").alias("last"))
+    return found.join(F.broadcast(last), F.col("epoch") == F.col("last")).select("user_id", "born", "bytes")
 
 
 @query("stream_dedup", "SELECT event_id FROM events")

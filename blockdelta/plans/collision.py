@@ -72,6 +72,39 @@ def hashes(xs: Column, algos: tuple[str, ...]) -> dict[str, Column]:
     return {a: every[a]() for a in algos}
 
 
+#: Moduli of the weak sums; two sums agree if both their parts do.
+MODULI = {"adler32": 65521, "fletcher32_65535": 65535, "fletcher32_65536": 65536}
+
+
+def run_cumulative(spark: SparkSession, b: int, n_iter: int, patterns: str = "bits", seed: int = 42, generator: str = "hash") -> DataFrame:
+    """(algo, b, pattern, n_iter, hits, per_billion) of the weak sums where elements change one after the other and every
+    stage is compared with the untouched buffer; ``n_iter`` in the result counts the comparisons.
+
+    The sums are linear, so a stage collides when what has been added up so far is 0 in both parts; each element is looked at once."""
+    rows = buffers(spark, b, n_iter, seed, generator)
+    out = None
+    zero = F.lit(0).cast("bigint")
+    for name, mask in PATTERNS[patterns].items():
+        pairs = rows.select(F.arrays_zip("xs", flip(F.col("xs"), mask, F.col("iteration"), seed, generator, "whole").alias("ys")).alias("zs"))
+
+        def step(acc: Column, z: Column) -> Column:
+            _, s, far, w, far_words = (y - x for x, y in zip(weak_sums(F.array(z["xs"])), weak_sums(F.array(z["ys"]))))
+            behind = acc["left"] - 1
+            parts = {"s": acc["s"] + s, "far": acc["far"] + far + 8 * behind * s, "w": acc["w"] + w, "far_words": acc["far_words"] + far_words + 4 * behind * w}
+            hits = []
+            for algo, m in MODULI.items():
+                near, distant = (parts["s"], parts["far"]) if algo == "adler32" else (parts["w"], parts["far_words"])
+                hits.append((acc[algo] + F.when((near % m == 0) & (distant % m == 0), F.lit(1)).otherwise(F.lit(0)).cast("bigint")).alias(algo))
+            return F.struct(behind.alias("left"), *[v.alias(k) for k, v in parts.items()], *hits)
+
+        start = F.struct(F.lit(b // 8).cast("bigint").alias("left"), *[zero.alias(k) for k in ("s", "far", "w", "far_words", *MODULI)])
+        one = pairs.select(F.aggregate("zs", start, step).alias("h")).agg((F.count(F.lit(1)) * (b // 8)).alias("n_iter"), *[F.sum(f"h.{a}").alias(a) for a in MODULI])
+        stack = ", ".join(f"'{a}', {a}" for a in MODULI)
+        one = one.selectExpr("n_iter", f"stack({len(MODULI)}, {stack}) AS (algo, hits)").withColumn("pattern", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out.select("algo", F.lit(b).alias("b"), "pattern", "n_iter", F.coalesce("hits", zero).alias("hits"), F.when(F.col("n_iter") > 0, F.expr("coalesce(hits, 0) * 1000000000 div n_iter")).alias("per_billion"))
+
+
 def run(spark: SparkSession, b: int, n_iter: int = 100_000, algos: tuple[str, ...] = ALGORITHMS, patterns: str = "bits", mode: str = "whole", seed: int = 42, generator: str = "hash", given: DataFrame | None = None) -> DataFrame:
     """(algo, b, pattern, n_iter, hits, per_billion). Each buffer is one row, and a task keeps only its counts. ``given`` are buffers (iteration, xs) from real data."""
     if mode not in MODES:

@@ -123,20 +123,21 @@ def epoch_shares(spark: SparkSession, sf_dir: str, b: int = 512, ranks: int = 16
 
 
 def keyed_digests(events: DataFrame) -> DataFrame:
-    """Arbitrary state: for each user the digest of the last values, kept between epochs; emits users whose digest changed.
+    """Arbitrary state: for each user the digest of the values of its last epoch and the number of its events so far, kept between epochs.
 
-    A digest takes the place of the old one together with the epoch's own commit, so a failed epoch changes nothing.
+    Emits each user that an epoch has events of, with whether its digest is another than the one kept: values that only repeat are
+    clean. A digest takes the place of the old one together with the epoch's own commit, so a failed epoch changes nothing.
     """
     import hashlib
 
     import pandas as pd
 
     def update(key, parts, state):
-        (before, seen) = state.get if state.exists else ("", 0)
-        rows = pd.concat(list(parts)).sort_values("event_id")
-        digest = hashlib.md5((before + ",".join(map(str, rows["event_id"]))).encode()).hexdigest()
+        (before, seen) = state.get if state.exists else (None, 0)
+        rows = pd.concat(list(parts)).sort_values(["event_id", "cell"])
+        digest = hashlib.md5(rows["cell"].to_numpy("<i8").tobytes()).hexdigest()
         state.update((digest, seen + len(rows)))
-        yield pd.DataFrame({"user_id": [key[0]], "seen": [seen + len(rows)], "was_new": [before == ""]})
+        yield pd.DataFrame({"user_id": [key[0]], "seen": [seen + len(rows)], "changed": [digest != before]})
 
-    grouped = events.select("user_id", "event_id").groupBy("user_id")
-    return grouped.applyInPandasWithState(update, "user_id bigint, seen bigint, was_new boolean", "digest string, seen bigint", "append", "NoTimeout")
+    grouped = events.select("user_id", "event_id", cents(F.col("value")).alias("cell")).groupBy("user_id")
+    return grouped.applyInPandasWithState(update, "user_id bigint, seen bigint, changed boolean", "digest string, seen bigint", "append", "NoTimeout")

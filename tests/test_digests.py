@@ -72,3 +72,19 @@ def test_collision_rate_of_single_bit_flips(spark):
 def test_one_changed_element_never_collides(spark):
     rows = collision.run(spark, 128, 2000, ("adler32",), mode="single").where("pattern in ('p0', 'p1', 'p2')").collect()
     assert all(r["hits"] == 0 for r in rows)
+
+
+def test_xor64_by_hand(spark):
+    """The combinable digest against the hash function itself, in any order of the cells."""
+    import xxhash
+
+    from blockdelta.functions.digests import xor_blocks
+
+    cells = [(0, "a", pos, pos * 7919 - 100) for pos in range(10)]
+    got = {r["block_no"]: bytes(r["digest"]) for r in xor_blocks(spark.createDataFrame(cells[::-1], "rank int, dataset_id string, pos bigint, cell bigint"), 32).collect()}
+    for block in range(3):
+        want = 0
+        for _, _, pos, cell in cells[4 * block : 4 * block + 4]:
+            seed = xxhash.xxh64(pos.to_bytes(8, "little", signed=True), seed=42).intdigest()
+            want ^= xxhash.xxh64(cell.to_bytes(8, "little", signed=True), seed=seed).intdigest()
+        assert got[block] == want.to_bytes(8, "big")
