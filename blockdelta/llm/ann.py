@@ -31,9 +31,9 @@ from pyspark.sql import functions as F
 from .common import map_batches, staged
 
 #: Vectors of a shard and its bytes (about), queries of a block, blocks of a visit, and links on upper levels (twice as many on the bottom one).
-SHARD_ROWS, SHARD_BYTES, BLOCK_ROWS, VISIT_BLOCKS, LINKS = 16384, 32 << 20, 512, 64, 16
+SHARD_ROWS, SHARD_BYTES, BLOCK_ROWS, VISIT_BLOCKS, LINKS = 4096, 32 << 20, 512, 64, 16
 #: Candidates that a walk keeps, in a search and in building; nodes of a level that are compared in full, and nodes that enter at once.
-BEAM, BUILD_BEAM, SEED, BATCH = 192, 64, 256, 512
+BEAM, BUILD_BEAM, SEED, BATCH = 128, 48, 256, 512
 #: Fills up the ids of a node; no id can be smaller.
 NO_ID = np.iinfo(np.int64).min
 
@@ -278,9 +278,18 @@ def _build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _direction(vector: Column) -> Column:
     """The vector over its length to 14 places: vectors whose cosines differ by rounding errors only have the same."""
     wide = F.transform(vector, lambda x: x.cast("double"))
-    most = F.array_max(F.transform(wide, F.abs))  # squares neither overflow nor vanish
-    size = most * F.sqrt(F.aggregate(wide, F.lit(0.0), lambda a, x: a + (x / most) * (x / most)))
-    return F.transform(wide, lambda x: F.round(x / size, 14) + 0.0)
+
+    def once(value: Column, use) -> Column:
+        """``use`` of a value that is bound first: inside a lambda function it would be computed anew for each component."""
+        return F.transform(F.array(value), use)[0]
+
+    def over(size: Column) -> Column:
+        return F.transform(wide, lambda x: F.round(x / size, 14) + 0.0)
+
+    def scaled(most: Column) -> Column:  # squares neither overflow nor vanish
+        return once(most * F.sqrt(F.aggregate(wide, F.lit(0.0), lambda a, x: a + (x / most) * (x / most))), over)
+
+    return once(F.array_max(F.transform(wide, F.abs)), scaled)
 
 
 def build_index(vectors: DataFrame, k: int, shard_rows: int | None = None) -> tuple[DataFrame, int]:
