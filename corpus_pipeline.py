@@ -47,7 +47,7 @@ def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 STAGES = [("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("ngram_join", drop_near_copies), ("secret_scan", mask_secrets), ("packing", pack_windows)]
 
-#: Scoring, similarity joins and tokenising are beyond SQL; tests hold the pipeline against brute force.
+#: Scoring, similarity joins and tokenising are beyond SQL; tests hold the stages' operators against brute force, and the pipeline against its stages.
 ORACLE_SQL = None
 
 
