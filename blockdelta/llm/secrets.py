@@ -4,9 +4,9 @@ Long runs of encoding characters are candidates, be they letters, digits or both
 of a run is its alphabet; under even draws from it a chi-squared test over cells of the alphabet, a runs test about the
 middle of the alphabet and a lag-one serial correlation give three p-values, combined by Fisher's method.
 
-How often ordinary text looks that random depends on length and alphabet, so the corpus itself says it: every stretch of ``STRETCH``
-characters of every text gives strings of each length class, made of its words without the spaces between (as written, in lower case, with
-the words' lengths or hyphens between, and of its digits). A candidate's false-discovery p-value is the part of these ordinary strings
+How often ordinary text looks that random depends on length and alphabet, so the corpus itself says it: all words of all texts are
+strung together without the spaces between, in turns of five kinds (as written, in lower case, with the words' lengths or hyphens
+between) and of each length class, each word in one string; all digits likewise. A candidate's false-discovery p-value is the part of these ordinary strings
 of its kind and length class that look at least as random; the step-up rule at level ``q`` over all candidates of the corpus then
 bounds the expected part of ordinary strings among what is reported as ``random``. On short runs of letters ordinary words look as
 random as keys, so such a run is not reported; long ones are told apart.
@@ -23,6 +23,7 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
@@ -49,14 +50,23 @@ LENGTH_CLASSES = (20, 28, 40, 64, 128)
 #: p-values are counted in steps of this part of a power of ten, down to 10**-10.
 STEPS_PER_DECADE, STEPS = 20, 200
 LEAST_BITS, LEAST_EXPECTED = 80, 3
-#: Each of these many characters of a text gives one ordinary string of each kind and length.
-STRETCH = 4096
 #: What ordinary strings are made of; longer ones may be keys themselves.
 ORDINARY_WORD = re.compile(r"(?<![A-Za-z0-9])[A-Za-z]{1,19}(?![A-Za-z0-9])")
 
 _DIGITS, _LOWER, _UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Kinds of ordinary strings.
 NULLS = ("lower", "letters", "digits", "lower and digits", "letters and digits", "slug")
+#: What a word gives to a string of each kind, from its place in the string; digits are taken without words.
+FORMS = {
+    0: lambda place, word: word.lower(),
+    1: lambda place, word: word,
+    3: lambda place, word: f"{word.lower()}{len(word)}",
+    4: lambda place, word: f"{word}{len(word)}",
+    5: lambda place, word: f"{word}{len(word)}-" if place % 3 == 2 else f"{word}-",
+}
+#: Kinds and length classes in the order in which a text's words fill them.
+TURNS = [(kind, k) for kind in FORMS for k in range(len(LENGTH_CLASSES))]
+DIGIT_RUN = re.compile("[0-9]+")
 
 
 class Alphabet:
@@ -148,27 +158,31 @@ def randomness(token: str) -> tuple[float, float]:
     return float(battery(np.array([alphabet.numbers(body)]), alphabet)[0]), alphabet.bits * len(body)
 
 
-def ordinary_strings(text: str) -> Iterator[tuple[int, str]]:
-    """(kind, characters) from each stretch of a text: enough for the longest length class where the stretch has them."""
-    longest = LENGTH_CLASSES[-1]
-    for begin in range(0, len(text), STRETCH):
-        stretch = text[begin : begin + STRETCH]
-        words, size = [], 0
-        for m in ORDINARY_WORD.finditer(stretch):
-            words.append(m.group())
-            size += m.end() - m.start()
-            if size >= longest:
-                break
-        written = "".join(words)
-        yield 0, written.lower()[:longest]
-        yield 1, written[:longest]
-        counted = "".join(f"{w}{len(w)}" for w in words)
-        yield 3, counted.lower()[:longest]
-        yield 4, counted[:longest]
-        yield 5, "-".join(f"{w}{len(w)}" if k % 3 == 2 else w for k, w in enumerate(words))[:longest]
-        digits = re.sub("[^0-9]", "", stretch)
-        if len(digits) >= LENGTH_CLASSES[0]:
-            yield 2, digits[:longest]
+def ordinary_strings(text: str) -> Iterator[tuple[int, int, str]]:
+    """(kind, length class, characters): every ordinary word and every digit of the text goes into one string.
+
+    Kinds and length classes take turns from a beginning that the text's checksum gives, so short texts do not all begin
+    alike; what is left at the end makes a string of the longest class that it fills.
+    """
+    turn = zlib.crc32(text.encode("utf-8", "surrogatepass"))
+    held, size, place, wanted = [], 0, 0, 0
+    for word in ORDINARY_WORD.findall(text):
+        if not held:
+            kind, wanted = TURNS[turn % len(TURNS)]
+        piece = FORMS[kind](place, word)
+        held.append(piece)
+        size, place = size + len(piece), place + 1
+        if size >= LENGTH_CLASSES[wanted]:
+            yield kind, wanted, "".join(held)[: LENGTH_CLASSES[wanted]]
+            held, size, place, turn = [], 0, 0, turn + 1
+    if size >= LENGTH_CLASSES[0]:
+        k = bisect_right(LENGTH_CLASSES, size) - 1
+        yield kind, k, "".join(held)[: LENGTH_CLASSES[k]]
+    digits, at = "".join(DIGIT_RUN.findall(text)), 0
+    while len(digits) - at >= LENGTH_CLASSES[0]:
+        k = min(turn % len(LENGTH_CLASSES), bisect_right(LENGTH_CLASSES, len(digits) - at) - 1)
+        yield 2, k, digits[at : at + LENGTH_CLASSES[k]]
+        at, turn = at + LENGTH_CLASSES[k], turn + 1
 
 
 #: The alphabet that ordinary strings of each kind are tested under.
@@ -179,11 +193,8 @@ def ordinary_counts(texts: list[str]) -> Counter:
     """How many ordinary strings there are of each (kind, length class, p-value step)."""
     held: dict[tuple[int, int], list[list[int]]] = {}
     for text in texts:
-        for kind, characters in ordinary_strings(text):
-            numbers = NULL_ALPHABETS[kind].numbers(characters)
-            for k, n in enumerate(LENGTH_CLASSES):
-                if len(numbers) >= n:
-                    held.setdefault((kind, k), []).append(numbers[:n])
+        for kind, k, characters in ordinary_strings(text):
+            held.setdefault((kind, k), []).append(NULL_ALPHABETS[kind].numbers(characters))
     out: Counter = Counter()
     for (kind, k), rows in held.items():
         for a in range(0, len(rows), 4096):

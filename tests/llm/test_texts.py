@@ -192,6 +192,23 @@ def test_random_strings_are_found(spark):
     assert masked[untouched][0] == dict(rows)[untouched]
 
 
+def test_every_word_is_in_one_ordinary_string():
+    assert list(secrets.ordinary_strings("")) == list(secrets.ordinary_strings("too short 12")) == []
+    rng = random.Random(15)
+    words = ["".join(rng.choice("abcdefgXYZ") for _ in range(rng.randint(1, 19))) for _ in range(60_000)]
+    text = " ".join(w + (f" {rng.randint(0, 999)}" if rng.random() < 0.1 else "") for w in words)
+    strings = list(secrets.ordinary_strings(text))
+    assert all(len(s) == secrets.LENGTH_CLASSES[k] for _, k, s in strings)
+    assert "".join(s for kind, _, s in strings if kind == 2) in "".join(c for c in text if c.isdigit())
+    used = sum(sum(c.isalpha() for c in s) for kind, _, s in strings if kind != 2)
+    # What is cut off is the end of a string's last word.
+    assert used >= sum(map(len, words)) - 19 * len(strings) and used >= 0.8 * sum(map(len, words))
+    met = {(kind, k) for kind, k, _ in strings}
+    assert met >= {(kind, k) for kind in (0, 1, 3, 4, 5) for k in range(len(secrets.LENGTH_CLASSES))} and {kind for kind, _ in met} == set(range(6))
+    firsts = {next(secrets.ordinary_strings(" ".join(words[k * 40 : k * 40 + 40])))[:2] for k in range(300)}
+    assert len(firsts) == len(secrets.TURNS)
+
+
 def test_battery_and_step_up_by_hand():
     """One string at a time, with plain arithmetic; and the step-up rule from the list of all p-values."""
     import math
