@@ -376,25 +376,41 @@ def _common(owner: np.ndarray, items: np.ndarray, k: int) -> np.ndarray:
     return common
 
 
+def _similar(table: pa.Table, t: Threshold) -> tuple[np.ndarray, np.ndarray]:
+    """(cid, matrix): the classes of a pair of blocks, and above the diagonal which are similar; within one block only if it stands alone."""
+    cid, at = np.unique(table.column("cid").to_numpy(), return_index=True)  # rows repeated under one id bring a class twice
+    block, sets = table.column("block").to_numpy()[at], table.column("items").take(pa.array(at)).combine_chunks()
+    n = sets.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    common = _common(np.repeat(np.arange(len(cid)), n), sets.flatten().to_numpy(zero_copy_only=False), len(cid))
+    similar = np.triu(common >= t.overlap(n[:, None], n[None, :]), 1)
+    if block.min() != block.max():
+        similar &= block[:, None] != block[None, :]
+    elif table.column("i")[0].as_py() != table.column("j")[0].as_py():
+        similar[:] = False  # the other block has no classes
+    return cid, similar
+
+
 def _links_of_blocks(t: Threshold):
     def run(table: pa.Table) -> pa.Table:
-        cid, at = np.unique(table.column("cid").to_numpy(), return_index=True)  # rows repeated under one id bring a class twice
-        block, sets = table.column("block").to_numpy()[at], table.column("items").take(pa.array(at)).combine_chunks()
-        n = sets.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-        common = _common(np.repeat(np.arange(len(cid)), n), sets.flatten().to_numpy(zero_copy_only=False), len(cid))
-        similar = np.triu(common >= t.overlap(n[:, None], n[None, :]), 1)
-        if block.min() != block.max():
-            similar &= block[:, None] != block[None, :]
-        elif table.column("i")[0].as_py() != table.column("j")[0].as_py():
-            similar[:] = False  # the other block has no classes
+        cid, similar = _similar(table, t)
         a, b = np.nonzero(similar)
         return pa.table({"a": pa.array(cid[a], pa.int64()), "b": pa.array(cid[b], pa.int64())})
 
     return run
 
 
-def all_links(docs: DataFrame, classes: DataFrame, parts: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> DataFrame:
-    """Every pair (a, b) of similar classes, a below b, once."""
+def _degrees_of_blocks(t: Threshold):
+    def run(table: pa.Table) -> pa.Table:
+        cid, similar = _similar(table, t)
+        degree = similar.sum(0) + similar.sum(1)
+        some = degree > 0
+        return pa.table({"cid": pa.array(cid[some], pa.int64()), "n_links": pa.array(degree[some], pa.int64())})
+
+    return run
+
+
+def _block_pairs(docs: DataFrame, classes: DataFrame, parts: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """Components of two classes as pairs (a, b), and the sets of the larger ones once for each pair (i, j) of blocks they have part in."""
     known = parts.select(F.col("node").alias("cid"), "component")
     sizes = known.join(classes.select("cid", "n"), "cid").groupBy("component").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("total"), F.min("cid").alias("a"), F.max("cid").alias("b"))
     sizes = staged(sizes, "join-sizes")
@@ -406,17 +422,30 @@ def all_links(docs: DataFrame, classes: DataFrame, parts: DataFrame, threshold:
     full = members.join(sets, (F.col("min_id") == F.col("id")) & (F.col("sig") == F.col("own_sig"))).select("component", "ways", "block", "cid", "items")
     dealt = full.select("component", "block", "cid", "items", F.explode(F.sequence(F.lit(0), F.col("ways") - 1)).alias("other"))
     dealt = dealt.select("component", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "cid", "items")
+    return alone, dealt
+
+
+def all_links(docs: DataFrame, classes: DataFrame, parts: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> DataFrame:
+    """Every pair (a, b) of similar classes, a below b, once."""
+    alone, dealt = _block_pairs(docs, classes, parts, id_col, text_col)
     return alone.union(dealt.groupBy("component", "i", "j").applyInArrow(_links_of_blocks(Threshold(threshold)), "a long, b long"))
 
 
+def link_counts(docs: DataFrame, classes: DataFrame, parts: DataFrame, threshold: Fraction, id_col: str, text_col: str) -> DataFrame:
+    """(end, n_links): how many other classes are similar to each linked one. Blocks give sums a class, so no pair leaves its task."""
+    alone, dealt = _block_pairs(docs, classes, parts, id_col, text_col)
+    counted = dealt.groupBy("component", "i", "j").applyInArrow(_degrees_of_blocks(Threshold(threshold)), "cid long, n_links long")
+    ends = alone.select(F.explode(F.array("a", "b")).alias("cid"), F.lit(1).cast("long").alias("n_links"))
+    return counted.union(ends).groupBy(F.col("cid").alias("end")).agg(F.sum("n_links").alias("n_links"))
+
+
 def near_duplicates(docs: DataFrame, threshold: Fraction = Fraction(4, 5), id_col: str = "doc_id", text_col: str = "text", links: bool = True) -> DataFrame:
     """Per row: id, n_shingles, component_id (the smallest id reachable by links), copies (rows with the very same set) and n_links
     (other sets that are similar); without ``links`` the last column is left out, and with it the work on links within components."""
     rows, classes, parts = join_classes(docs, threshold, id_col, text_col)
     member = classes.join(parts.select(F.col("node").alias("cid"), "component"), "cid", "left").withColumn("component", F.coalesce("component", "cid"))
     if links:
-        pairs = all_links(docs, classes, parts, threshold, id_col, text_col)
-        degree = pairs.select(F.explode(F.array("a", "b")).alias("end")).groupBy("end").agg(F.count(F.lit(1)).alias("n_links"))
+        degree = link_counts(docs, classes, parts, threshold, id_col, text_col)
         member = member.join(staged(degree, "join-degrees"), F.col("cid") == F.col("end"), "left")
     least = member.groupBy("component").agg(F.min("min_id").alias("component_id"))
     more = ["n_links"] if links else []

@@ -76,6 +76,17 @@ def test_every_link_is_counted(spark, monkeypatch):
     assert all(r["n_links"] == links.get(sets[r["doc_id"]].tobytes(), 0) for r in got)
 
 
+def test_links_as_pairs(spark, monkeypatch):
+    """The pairs themselves: each once, a below b, and as many at each class as the counts say."""
+    monkeypatch.setattr(ngram_join, "BLOCK_CLASSES", 8)
+    docs, t = spark.createDataFrame(fixture(), "doc_id long, text string").repartition(5), ngram_join.Fraction(4, 5)
+    _, classes, parts = ngram_join.join_classes(docs, t, "doc_id", "text")
+    pairs = [tuple(r) for r in ngram_join.all_links(docs, classes, parts, t, "doc_id", "text").collect()]
+    assert len(set(pairs)) == len(pairs) > 300 and all(a < b for a, b in pairs)
+    counted = {r["end"]: r["n_links"] for r in ngram_join.link_counts(docs, classes, parts, t, "doc_id", "text").collect()}
+    assert counted == Counter(c for pair in pairs for c in pair)
+
+
 def test_common_counts():
     rng = np.random.default_rng(7)
     sets = [np.unique(rng.integers(0, 60, 30)) for _ in range(25)] + [np.unique(rng.integers(0, 10**6, 40)) for _ in range(5)]
