@@ -1,7 +1,9 @@
 """Blocks, regions, containers, gathering on worked cases."""
 
 import pytest
+from pyspark.sql import functions as F
 
+from blockdelta import catalogue, workloads
 from blockdelta.operators import blocks, containers, gather, levels, protect, regions, tracker
 from blockdelta.plans import baselines
 
@@ -116,3 +118,26 @@ def test_numbering_is_dense(spark):
 
     df = spark.range(1000).selectExpr("(id * 37) % 1000 AS k")
     assert [(r["k"], r["number"]) for r in workloads.numbered(df, ["k"], 8).orderBy("k").collect()] == [(k, k) for k in range(1000)]
+
+
+PLASMA = {"_".join(g): g for g in catalogue.GRID}
+
+
+@pytest.mark.parametrize("name", list(PLASMA))
+def test_packed_runs_give_the_states_of_the_ledger(spark, sf_dir, name):
+    """Blocks that straddle runs, columns and groups, short last ones, and several sizes cut at once."""
+    config, expose, layout = PLASMA[name]
+    cells = [workloads.plasma(spark, sf_dir, s, config, expose, layout) for s in (0, 1)]
+    columns = ["rank", "dataset_id", "block_no", "block_len", "status"]
+    for sizes in ([128], [1024], [128, 1024]):
+        found = catalogue.plasma_sweep(spark, sf_dir, config, expose, sizes, layout)
+        for b in sizes:
+            expected = catalogue.states_of(*cells, b).select(*columns).collect()
+            assert sorted(map(repr, found.where(F.col("b") == b).select(*columns).collect())) == sorted(map(repr, expected))
+
+
+@pytest.mark.parametrize("name", ["chunk_cdf"])
+def test_plasma_queries_move_no_single_cells(spark, sf_dir, monkeypatch, name):
+    """Cells of the stacked plasma state are not made one by one."""
+    monkeypatch.setattr(workloads, "plasma", lambda *a, **b: pytest.fail("cells one by one"))
+    catalogue.QUERIES[name](spark, sf_dir)
