@@ -136,7 +136,7 @@ def test_packed_runs_give_the_states_of_the_ledger(spark, sf_dir, name):
             assert sorted(map(repr, found.where(F.col("b") == b).select(*columns).collect())) == sorted(map(repr, expected))
 
 
-@pytest.mark.parametrize("name", ["chunk_cdf", "fragmentation", "block_sweep_plasma", "region_sweep_plasma"])
+@pytest.mark.parametrize("name", ["chunk_cdf", "fragmentation", "block_sweep_plasma", "region_sweep_plasma", "plasma_grid"])
 def test_plasma_queries_move_no_single_cells(spark, sf_dir, monkeypatch, name):
     """Cells of the stacked plasma state are not made one by one."""
     monkeypatch.setattr(workloads, "plasma", lambda *a, **b: pytest.fail("cells one by one"))
