@@ -23,6 +23,10 @@ def test_files_arrive_day_by_day(spark, sf_dir, many_tasks):
     assert len(days) > 20 and days == sorted(days)
 
 
+def test_late_counts_every_event_once(spark, sf_dir, many_tasks):
+    assert catalogue.QUERIES["stream_late"](spark, sf_dir).first()["n"] == table(spark, sf_dir, "events").count()
+
+
 def test_every_update_is_acknowledged(spark, sf_dir, many_tasks):
     found = catalogue.QUERIES["stream_acknowledged"](spark, sf_dir)
     assert found.count() == table(spark, sf_dir, "events").where("event_id % 2 = 0").count()
