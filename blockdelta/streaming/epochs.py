@@ -17,20 +17,38 @@ def daily_files(spark: SparkSession, sf_dir: str) -> str:
     """The events as files by day, as they would arrive."""
     path = fresh_folder(spark, "events-by-day")
     table(spark, sf_dir, "events").withColumn("day", F.date_format("ts", "yyyy-MM-dd")).repartition("day").write.partitionBy("day").parquet(path)
-    _in_turn(spark, path)
-    return path
+    return path if _in_turn(spark, path) else _one_by_one(spark, path)
 
 
-def _in_turn(spark: SparkSession, path: str) -> None:
-    """File times in the order of the days, one second apart and in the past: a stream takes files by time, and tasks that write at once finish
-    in any order. Later days first would move the watermark past the earlier ones, whose events were then dropped."""
+def _days(spark: SparkSession, path: str) -> tuple:
     where = spark._jvm.org.apache.hadoop.fs.Path(path)
     fs = where.getFileSystem(spark._jsc.hadoopConfiguration())
-    days = sorted((f.getPath() for f in fs.listStatus(where) if f.isDirectory()), key=lambda f: f.getName())
+    return fs, sorted((f.getPath() for f in fs.listStatus(where) if f.isDirectory()), key=lambda f: f.getName())
+
+
+def _set_time(fs, file, ms: int) -> None:
+    fs.setTimes(file, ms, -1)
+
+
+def _in_turn(spark: SparkSession, path: str) -> bool:
+    """File times in the order of the days, one second apart and in the past: a stream takes files by time, and tasks that write at once finish
+    in any order. Later days first would move the watermark past the earlier ones, whose events were then dropped. False if the store keeps its own times."""
+    fs, days = _days(spark, path)
     now = int(time.time() * 1000)
     for k, day in enumerate(days):
         for f in fs.listStatus(day):
-            fs.setTimes(f.getPath(), now - (len(days) - k) * 1000, -1)
+            _set_time(fs, f.getPath(), now - (len(days) - k) * 1000)
+    times = [[f.getModificationTime() for f in fs.listStatus(day)] for day in days]
+    return all(max(a) < min(b) for a, b in zip(times, times[1:]))
+
+
+def _one_by_one(spark: SparkSession, path: str) -> str:
+    """For stores that keep their own times: the days are written again one after another, each in a later second."""
+    out = fresh_folder(spark, "events-one-by-one")
+    for day in _days(spark, path)[1]:
+        spark.read.parquet(day.toString()).write.parquet(f"{out}/{day.getName()}")
+        time.sleep(1.1)
+    return out
 
 
 def read_events(spark: SparkSession, path: str, files_per_epoch: int = 4) -> DataFrame:
@@ -56,9 +74,10 @@ def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
 
 
 def drained_with_late(stream: DataFrame, source: str, day: str) -> DataFrame:
-    """Drains an append query, then delivers the files of one day again and drains it on from its progress.
+    """Drains an append query, closes the windows still open by an event far ahead of the last one, then delivers the files of one day again
+    and drains it on from its progress.
 
-    The windows still open at the end are closed by an event far ahead, so every window is in the result.
+    So every window is in the result and the day is behind the watermark, over however many or few days the events go.
     """
     spark, out = stream.sparkSession, fresh_folder(stream.sparkSession, "stream-late")
 
@@ -66,11 +85,10 @@ def drained_with_late(stream: DataFrame, source: str, day: str) -> DataFrame:
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", f"{out}-progress").outputMode("append").trigger(availableNow=True).start().awaitTermination()
 
     run()
-    again = spark.read.option("basePath", source).parquet(f"{source}/day={day}").drop("day")
-    again.write.parquet(f"{source}/again")
+    last = spark.read.parquet(source).drop("day").orderBy(F.desc_nulls_last("ts")).limit(1)
+    last.withColumn("ts", F.col("ts") + F.expr("INTERVAL 400 DAY")).write.parquet(f"{source}/ahead")
     run()
-    ahead = again.limit(1).withColumn("ts", F.col("ts") + F.expr("INTERVAL 400 DAY"))
-    ahead.write.parquet(f"{source}/ahead")
+    spark.read.parquet(f"{source}/day={day}").write.parquet(f"{source}/again")
     run()
     return spark.read.schema(stream.schema).parquet(out)
 
